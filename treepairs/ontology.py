@@ -7,6 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .checkpoints import checkpoint
 from .functions.columns import cut_step, term_distance_col
 from .functions.weights import Rule, exponential
 from .schemas import ONTOLOGY
@@ -62,10 +63,11 @@ class Ontology:
         weights is used, otherwise the rule by level. One join a level."""
         e = edges.select(F.col("child").cast("string").alias("node_id"), F.col("parent").cast("string").alias("parent_id"), (F.col(weight).cast("long") if weight else F.lit(1).cast("long")).alias("ew"))
         # Levels first, without weights; a cycle or an orphan is never reached.
-        front = e.filter("parent_id IS NULL").select("node_id", F.array("node_id").alias("ids"), F.array(F.lit(0).cast("long")).alias("ews"))
+        front = checkpoint(e.filter("parent_id IS NULL").select("node_id", F.array("node_id").alias("ids"), F.array(F.lit(0).cast("long")).alias("ews")))
         reached, height = [front], 0
         while height < max_height:
             front = e.join(front.select(F.col("node_id").alias("p"), "ids", "ews"), F.col("parent_id") == F.col("p")).select("node_id", F.concat("ids", F.array("node_id")).alias("ids"), F.concat("ews", F.array("ew")).alias("ews"))
+            front = checkpoint(front)
             if front.isEmpty():
                 break
             reached.append(front)
@@ -85,7 +87,7 @@ class Ontology:
         steps = F.transform(F.arrays_zip(F.col("ids").alias("i"), ws.alias("w")), lambda s, i: F.struct(s["i"].alias("node_id"), i.cast("int").alias("level"), s["w"].alias("w"), F.aggregate(F.slice(ws, F.lit(1), i + 1), F.lit(0).cast("long"), lambda t, v: t + v).alias("depth")))
         last = F.element_at("path", -1)
         nodes = paths.withColumn("path", steps).select("node_id", F.when(F.size("path") > 1, F.element_at("path", -2)["node_id"]).alias("parent_id"), last["level"].alias("level"), last["w"].alias("w"), F.col("node_id").alias("label"), last["depth"].alias("depth"), "path")
-        return Ontology(nodes, scale, height, stats, top)
+        return Ontology(checkpoint(nodes), scale, height, stats, top)
 
     @staticmethod
     def from_rows(spark: SparkSession, parents: dict[str, str | None], weights: dict[str, int] | None = None, scale: int = 1, rule: Rule | None = None) -> Ontology:
@@ -165,19 +167,18 @@ def dag_to_tree(edges: DataFrame, policy: str = "shallowest", max_height: int =
         grown = links.join(front.select(F.col("node").alias("parent"), "name"), "parent")
         if policy == "shallowest":
             grown = grown.join(seen.select(F.col("node").alias("child")), "child", "left_anti").groupBy("child").agg(F.min("parent").alias("parent"))
-            step = grown.select("child", "parent")
-            front = grown.select(F.col("child").alias("node"), F.col("child").alias("name"))
-            seen = seen.unionByName(front.select("node"))
+            step = grown.select("child", "parent", F.col("child").alias("node"))
         elif policy == "unfold":
             grown = grown.filter(~F.array_contains(F.split("name", "/"), F.col("child")))
-            front = grown.select(F.col("child").alias("node"), F.concat_ws("/", "name", "child").alias("name"), F.col("name").alias("up"))
-            step = front.select(F.col("name").alias("child"), F.col("up").alias("parent"))
-            front = front.select("node", "name")
+            step = grown.select(F.concat_ws("/", "name", "child").alias("child"), F.col("name").alias("parent"), F.col("child").alias("node"))
         else:
             raise ValueError(policy)
-        if front.isEmpty():
+        step = checkpoint(step)
+        if step.isEmpty():
             break
-        out = out.unionByName(step)
+        out = out.unionByName(step.select("child", "parent"))
+        front = step.select("node", F.col("child").alias("name"))
+        seen = seen.unionByName(front.select("node"))
     return out
 
 

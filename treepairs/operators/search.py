@@ -9,6 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..checkpoints import checkpoint
 from ..ontology import ROOT, Ontology
 from .objects import known_sizes, placed
 
@@ -34,14 +35,6 @@ class Metrics:
         return spark.createDataFrame(self.rows, METRICS)
 
 
-def checkpoint(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared folder of spark.checkpoint.dir; one is set only where there is none."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints")
-    return df.checkpoint(eager=True)
-
-
 def ranked(pairs: DataFrame, k: int) -> DataFrame:
     """rank, a, b, dist of the k best in the order (dist, a, b). The window sees k rows only."""
     best = pairs.select("a", "b", "dist").orderBy("dist", "a", "b").limit(k)
@@ -96,3 +89,6 @@ def run_sequential(rows: DataFrame, engine: Callable, counters: list[str]) -> Da
 
     schema = "grp int, rank int, a long, b long, dist double" + "".join(f", {c} long" for c in counters)
     return rows.groupBy("grp").applyInArrow(run, schema)
+
+
+__all__ = ["Metrics", "answers", "checkpoint", "expand_representatives", "item_rows", "ranked", "run_sequential"]

@@ -55,7 +55,7 @@ def objects(spark: SparkSession, n: int, terms: int, size: float = 6.0, spread:
     draws = F.sequence(F.lit(1), F.greatest(2 * F.col("size") + 8, F.lit(0)))
     pick = F.transform(draws, lambda d: F.pmod(F.xxhash64(F.lit(seed + 1), F.col("obj_id"), d), F.lit(terms)))
     chosen = F.slice(F.array_distinct(pick), 1, F.col("size"))
-    return base.select("obj_id", F.explode(chosen).cast("string").alias("term_id"))
+    return base.select("obj_id", F.explode(chosen.cast("array<string>")).alias("term_id"))
 
 
 def register_source(spark: SparkSession) -> None:
