@@ -33,6 +33,10 @@ ROLL = 16
 #: Units and chunks that a worker keeps; the tables start anew beyond it.
 KEPT_UNITS, KEPT_CHUNKS = 600_000, 60_000
 _KEPT_LENGTH = 200
+#: A piece that begins with a single space and ends without one stands apart from any other such piece.
+_APART = re.compile(r" \S(?:.*\S)?\Z", re.DOTALL)
+#: Characters of new pieces that are encoded as one text.
+BLOCK_CHARS = 1 << 15
 _CERTAIN = re.compile(r"(?<=\S) (?=\S)")
 
 
@@ -73,6 +77,12 @@ class ChunkEncoder:
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
+        special = self.library.get_added_tokens_decoder()
+        vocabulary = self.library.get_vocab(with_added_tokens=True)
+        # In a byte-level vocabulary a character of a token stands for a byte.
+        self.token_bytes = np.zeros(max(vocabulary.values()) + 1, np.int64)
+        for token, i in vocabulary.items():
+            self.token_bytes[i] = len(token.encode()) if i in special else len(token)
         self.most_units, self.most_chunks = units, chunks
         self.units: dict[str, bytes] = {}
         self.unlike: dict[str, str] = {}  # decoded forms that differ from their pieces
@@ -117,6 +127,36 @@ class ChunkEncoder:
         cut = _CERTAIN.split(piece)
         return [cut[0], *[" " + p for p in cut[1:]]]
 
+    def _encode_each(self, pieces: list[str]) -> None:
+        for at in range(0, len(pieces), 4096):
+            group = pieces[at : at + 4096]
+            ids = [e.ids for e in self.library.encode_batch_fast(group, add_special_tokens=False)]
+            back = self.library.decode_batch(ids, skip_special_tokens=False)
+            for piece, i, b in zip(group, ids, back, strict=True):
+                self.units[piece] = array("I", i).tobytes()
+                if b != piece:
+                    self.unlike[piece] = b
+
+    def _encode_block(self, pieces: list[str]) -> None:
+        """Encode the pieces as one text and part the ids at their ends. Pieces whose ends are not ends of tokens, or a
+        block that does not decode to itself, are left to be encoded one by one."""
+        text = "".join(pieces)
+        ids = self.library.encode_batch_fast([text], add_special_tokens=False)[0].ids
+        if self.library.decode(ids, skip_special_tokens=False) != text:
+            return
+        packed = np.array(ids, np.uint32)
+        token_ends = np.cumsum(self.token_bytes[packed])
+        raw = packed.astype("<u4").tobytes()
+        ends = np.cumsum([len(p.encode()) for p in pieces])
+        at = np.searchsorted(token_ends, ends)
+        sound = (at < len(token_ends)) & (token_ends[np.minimum(at, len(token_ends) - 1)] == ends)
+        first = 0
+        for piece, last, ok in zip(pieces, (4 * (at + 1)).tolist(), sound.tolist(), strict=True):
+            if not ok:
+                return
+            self.units[piece] = raw[first:last]
+            first = last
+
     def encode(self, texts: list[str]) -> list[tuple[bytes, str]]:
         """For each text its ids, 32-bit little-endian, and their decoded form."""
         lists = [self.pieces(t) for t in texts]
@@ -126,14 +166,19 @@ class ChunkEncoder:
             self.unlike.clear()
             new = set().union(*lists)
         fresh = list(new)
-        for at in range(0, len(fresh), 4096):
-            group = fresh[at : at + 4096]
-            ids = [e.ids for e in self.library.encode_batch_fast(group, add_special_tokens=False)]
-            back = self.library.decode_batch(ids, skip_special_tokens=False)
-            for piece, i, b in zip(group, ids, back, strict=True):
-                self.units[piece] = array("I", i).tobytes()
-                if b != piece:
-                    self.unlike[piece] = b
+        # Pieces that certainly stand apart are encoded as one text; the others one by one.
+        apart = [p for p in fresh if _APART.match(p)]
+        block: list[str] = []
+        size = 0
+        for piece in apart:
+            block.append(piece)
+            size += len(piece)
+            if size >= BLOCK_CHARS:
+                self._encode_block(block)
+                block, size = [], 0
+        if block:
+            self._encode_block(block)
+        self._encode_each([p for p in fresh if p not in self.units])
         get = self.units.__getitem__
         out = []
         for text, pieces in zip(texts, lists, strict=True):
