@@ -15,7 +15,7 @@ def brute_force(objects: DataFrame, tree: Ontology, measure: str, k: int = 10, e
     """All pairs, then the k best. ``blocks``: every distance in the block kernel, without bounds; ``join``: by joins on
     nodes; ``flow``: EMD as a transport problem, the published way."""
     if engine == "blocks":
-        found = dense.search(objects, tree, measure, k, variant="none", bound_height=0, checkpoint=checkpoint) if measure != "avg" else dense.search(objects, tree, "avg", None, radius=float("inf"), bound_height=0, checkpoint=checkpoint)
+        found = dense.search(objects, tree, measure, k, variant="none", bound_height=0, checkpoint=checkpoint)
         return ranked(answers(found), k)
     pairs = all_pairs(objects)
     d = DISTANCES["emd"](pairs, objects, tree, solver="flow") if engine == "flow" else DISTANCES[measure](pairs, objects, tree)

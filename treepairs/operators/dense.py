@@ -38,6 +38,8 @@ class Spec:
     #: factor and kind of the bound: ``edge`` (weighted), ``l1`` (half L1 over reduced terms), ``none``.
     variant: str = "edge"
     factor: float = 1.0
+    #: Keep the k best of each left object instead of the cell's.
+    per_left: bool = False
 
 
 def packed(objects: DataFrame, tree: Ontology, measure: str, side: int = 0) -> DataFrame:
@@ -99,7 +101,7 @@ def _bounds(x: Block, y: Block, spec: Spec) -> np.ndarray:
         a, b = (a * weight).astype(np.float32), (b * weight).astype(np.float32)
         for v in range(a.shape[1]):
             out += np.abs(a[:, v, None] - b[None, :, v])
-    elif spec.measure == "avg":
+    elif spec.measure == "avg" and spec.variant != "none":
         n, m = x.n[:, None], y.n[None, :]
         wx, wy = x.s[:, None], y.s[None, :]
         sx, sy = x.single[:, None], y.single[None, :]
@@ -155,6 +157,35 @@ def exact_numbers(x: Block, y: Block, i: np.ndarray, j: np.ndarray, spec: Spec,
     return num, den
 
 
+def _best_of_each(x: Block, y: Block, bound: np.ndarray, spec: Spec, codes: int) -> tuple[tuple[np.ndarray, ...], int]:
+    """For each left object its k best partners by (distance, id), and the number of exact distances."""
+    limit = np.full(len(x.id), np.inf)
+    left = np.arange(bound.size)
+    flat, size, exact = bound.ravel(), max(4096, 2 * (spec.k or 1) * len(x.id)), 0
+    best = tuple(np.empty(0, np.int64) for _ in range(5)) + (np.empty(0),)
+    while len(left):
+        if len(left) > size:
+            near = np.argpartition(flat[left], size)
+            take, left = left[near[:size]], left[near[size:]]
+        else:
+            take, left = left, left[:0]
+        i, j = take // len(y.id), take % len(y.id)
+        num, den = exact_numbers(x, y, i, j, spec, codes)
+        exact += len(i)
+        found = (i, x.id[i], y.id[j], num, den, num / den)
+        best = tuple(np.concatenate(p) for p in zip(best, found, strict=True))
+        order = np.lexsort((best[2], best[5], best[0]))
+        best = tuple(f[order] for f in best)
+        first = np.searchsorted(best[0], best[0])
+        keep = np.arange(len(order)) - first < spec.k
+        best = tuple(f[keep] for f in best)
+        starts, counts = np.unique(best[0], return_index=True, return_counts=True)[1:]
+        full = counts == spec.k
+        limit[best[0][starts[full]]] = best[5][starts[full] + spec.k - 1]
+        left = left[flat[left] <= limit[left // len(y.id)] + EPS]
+    return best[1:], exact
+
+
 def cell(t: pa.Table, spec: Spec) -> pa.Table:
     """The answers of a cell, and a row of its counts with null ids."""
     side = t.column("side").to_numpy()
@@ -170,7 +201,10 @@ def cell(t: pa.Table, spec: Spec) -> pa.Table:
         if one_block:
             bound[np.tril_indices(len(x.id))] = np.inf
         total = int(np.isfinite(bound).sum())
-        left = np.flatnonzero(np.isfinite(bound.ravel()) & (bound.ravel() <= theta + EPS))
+        if spec.per_left:
+            found, exact = _best_of_each(x, y, bound, spec, len(codes))
+            out.append(found)
+        left = np.empty(0, int) if spec.per_left else np.flatnonzero(np.isfinite(bound.ravel()) & (bound.ravel() <= theta + EPS))
         size = max(4096, 4 * (spec.k or 0))
         if spec.radius is not None:
             size = max(size, 1 << 18)
@@ -254,12 +288,12 @@ def _cells(rows: DataFrame, spec: Spec, theta: float, diagonal: bool) -> DataFra
     return pairs.filter(bound <= F.lit(theta + EPS)).select("x", "y")
 
 
-def search(objects: DataFrame, tree: Ontology, measure: str, k: int | None = None, right: DataFrame | None = None, radius: float | None = None, bound_height: int | None = None, variant: str = "edge", refine: str = "stepwise", block_rows: int = BLOCK_ROWS, checkpoint=None) -> DataFrame:
+def search(objects: DataFrame, tree: Ontology, measure: str, k: int | None = None, right: DataFrame | None = None, radius: float | None = None, bound_height: int | None = None, variant: str = "edge", refine: str = "stepwise", block_rows: int = BLOCK_ROWS, per_left: bool = False, checkpoint=None) -> DataFrame:
     """Rows of ANSWERS: the k best pairs of each cell or all pairs within the radius, and the counts."""
     if bound_height is None:
         bound_height = min(tree.height, 2) if measure == "emd" else int(refine == "stepwise")
     factor = min(1.0, tree.least_top_edge / tree.scale)
-    spec = Spec(measure, k, radius, tree.scale, tree.height, bound_height, right is not None, variant=variant, factor=factor)
+    spec = Spec(measure, k, radius, tree.scale, tree.height, bound_height, right is not None, variant=variant, factor=factor, per_left=per_left)
     rows, g = _blocks(packed(objects, tree, measure), block_rows)
     if right is not None:
         other, h = _blocks(packed(right, tree, measure, 1), block_rows)

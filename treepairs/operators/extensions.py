@@ -36,9 +36,9 @@ def range_join(objects: DataFrame, tree: Ontology, radius: float, measure: str =
 def knn(objects: DataFrame, tree: Ontology, queries: DataFrame, k: int = 5, measure: str = "emd") -> DataFrame:
     """query, rank, b, dist: for each query object its k nearest of the objects, itself left out where it is one.
 
-    Each cell of the kernel holds its own pairs; per query only the first k of a partition are shuffled.
+    A cell of the kernel gives the k+1 best of each of its queries, one more for the query itself.
     """
-    found = answers(dense.search(queries, tree, measure, None, objects, radius=float("inf"), checkpoint=checkpoint)).filter("a <> b") if measure != "min" else _min_to(queries, objects, tree)
+    found = answers(dense.search(queries, tree, measure, k + 1, objects, per_left=True, checkpoint=checkpoint)).filter("a <> b") if measure != "min" else _min_to(queries, objects, tree)
     w = Window.partitionBy("a").orderBy("dist", "b")
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select(F.col("a").alias("query"), "rank", "b", "dist")
 
