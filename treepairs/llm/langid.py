@@ -25,6 +25,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import checkpointed
+
 MAX_DOCS, MAX_WORDS, MAX_GRAMS, ORDERS = 20_000, 20_000, 5_000, (4, 3, 2, 1)
 #: Words whose scores a worker keeps.
 KEPT_WORDS = 400_000
@@ -72,12 +74,16 @@ def fit(docs: DataFrame, max_docs: int = MAX_DOCS, max_words: int = MAX_WORDS, m
         return {"langs": [], "logs": {}}
     sample = train.filter(digest <= F.lit(edge)).select(F.col(text_col), F.col(lang_col))
     sums = sample.mapInArrow(_counts, "lang string, kind int, item string, n long").groupBy("lang", "kind", "item").agg(F.sum("n").alias("n"))
-    each = Window.partitionBy("lang", "kind")
-    ranked = sums.withColumn("total", F.sum("n").over(each)).withColumn("nth", F.row_number().over(each.orderBy(F.desc("n"), "item")))
-    rows = ranked.filter(F.col("nth") <= F.when(F.col("kind") == 0, max_words).otherwise(max_grams)).drop("nth").collect()
+    sums = checkpointed(sums)
+    total = {(r.lang, r.kind): r.total for r in sums.groupBy("lang", "kind").agg(F.sum("n").alias("total")).collect()}
+    # The rank is cut before the shuffle too, and again by salted parts, so no task sees all items of a language.
+    most = F.when(F.col("kind") == 0, max_words).otherwise(max_grams)
+    first = Window.partitionBy("lang", "kind", F.pmod(F.xxhash64("item"), F.lit(16))).orderBy(F.desc("n"), "item")
+    last = Window.partitionBy("lang", "kind").orderBy(F.desc("n"), "item")
+    ranked = sums.withColumn("nth", F.row_number().over(first)).filter(F.col("nth") <= max(max_words, max_grams)).filter(F.col("nth") <= most)
+    rows = ranked.withColumn("nth", F.row_number().over(last)).filter(F.col("nth") <= most).drop("nth").collect()
     langs = sorted({r.lang for r in rows})
     place = {lang: i for i, lang in enumerate(langs)}
-    total = {(r.lang, r.kind): r.total for r in rows}
     counts: dict[tuple[int, str], np.ndarray] = {}
     for r in rows:
         counts.setdefault((r.kind, r.item), np.zeros(len(langs)))[place[r.lang]] = r.n
