@@ -235,15 +235,12 @@ def test_gaps(spark):
     assert ordered_gaps(df, 4).count() == 8
 
 
-def test_threshold_must_be_halved(spark):
-    wrong = 0
+def test_halved_threshold_is_exact(spark):
+    """The published threshold may stop early; it must still run and give k pairs, the halved one must be exact."""
     for seed in range(3):
         o, t = load(spark, 40 + seed, n=9, terms=18, size=3)
-        right = got(emd_join.emd_topk(o, t, 3, engine="progressive", variant="l1_reduced"))
-        published = got(emd_join.progressive(o, t, 3, halved=False).filter("rank > 0").select("rank", "a", "b", "dist"))
-        assert same(right, best(exact(t, o)["emd"], 3))
-        wrong += published != right
-    assert wrong >= 0
+        assert same(got(emd_join.emd_topk(o, t, 3, engine="progressive", variant="l1_reduced")), best(exact(t, o)["emd"], 3))
+        assert emd_join.progressive(o, t, 3, halved=False).filter("rank > 0").count() == 3
 
 
 def test_counts_and_shares(case):
