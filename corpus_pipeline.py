@@ -6,7 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from treepairs.llm import bpe_chunks, decontaminate, exact_dedup, langid, simhash
+from treepairs.llm import bpe_chunks, decontaminate, exact_dedup, langid, near_copies
 from treepairs.llm.queries import BYTE_VOCABULARY, vocabulary
 
 
@@ -21,7 +21,7 @@ def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates stays (five words, similarity 0.8)."""
-    return simhash.keep_one_of_group(docs)
+    return near_copies.keep_one_of_group(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from treepairs.llm import bpe_chunks, debruijn, decontaminate, exact_dedup, langid, pii, sharding, simhash, suffix_dedup, token_counts
+from treepairs.llm import bpe_chunks, debruijn, decontaminate, exact_dedup, langid, near_copies, pii, sharding, simhash, suffix_dedup, token_counts
 from treepairs.llm.queries import BYTE_VOCABULARY, SHARDS, WORD_VOCABULARY, vocabulary
 
 SPACE = re.compile(r"[\x20\x09-\x0D]+")
@@ -158,6 +158,61 @@ def test_simhash_groups(docs, rows, shingle, radius, blocks, choose):
         assert r.fingerprint == f"{prints[r.doc_id]:016x}" and r.component_id == root(r.doc_id)
 
 
+def five_words(text):
+    words = [w for w in SPACE.split((text or "").lower()) if w]
+    return {" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))} if words else set()
+
+
+def near_roots(texts):
+    """id: smallest id that similarities of 0.8 or more lead to."""
+    sets, low = {d: five_words(t) for d, t in texts.items()}, {d: d for d in texts}
+
+    def root(x):
+        while low[x] != x:
+            x = low[x]
+        return x
+
+    for a in sorted(sets):
+        for b in (b for b in sorted(sets) if b > a):
+            if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                x, y = sorted((root(a), root(b)))
+                low[y] = x
+    return {d: root(d) for d in texts}
+
+
+def copies_of_copies():
+    rnd, texts = random.Random(11), {}
+    for _ in range(25):
+        base = [f"w{rnd.randrange(400)}" for _ in range(rnd.randint(60, 200))]
+        for _ in range(rnd.choice([1, 2, 12])):
+            words = list(base)
+            for _ in range(rnd.choice([0, 1, 2, 6])):
+                words[rnd.randrange(len(words))] = f"w{rnd.randrange(400)}"
+            texts[len(texts)] = " ".join(words)
+    return texts | {900: "Ab  c\nd", 901: "ab c d", 902: "ab c e", 903: "", 904: None, 905: " ", 906: "lone"}
+
+
+@pytest.mark.parametrize("block", [256, 3])
+def test_near_copies_against_all_pairs(spark, block):
+    texts = copies_of_copies()
+    want = {d: r for d, r in near_roots(texts).items() if r != d}
+    docs = spark.createDataFrame([(t, d, "clash") for d, t in texts.items()], "text string, doc_id long, component string")
+    got = {r.doc_id: r.group for r in near_copies.copy_groups(docs, block=block).collect()}
+    roots = near_roots(texts)
+    assert all(roots[d] == roots[g] for d, g in got.items()), "a row went without a near copy"
+    assert len(got) >= 0.95 * len(want) > 50
+    assert {901, 904, 905} <= got.keys() and not {900, 902, 903, 906} & got.keys()
+    kept = near_copies.keep_one_of_group(docs, block=block)
+    assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == texts.keys() - got.keys()
+
+
+def test_near_copies_repeated_and_null_ids(spark):
+    text = " ".join(f"w{i}" for i in range(50))
+    rows = [(5, text), (5, text), (7, text + " more"), (None, text), (None, None), (8, "x " * 200_000), (9, "x " * 200_001)]
+    kept = near_copies.keep_one_of_group(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert Counter(r.doc_id for r in kept) == {5: 1, None: 2, 8: 1}
+
+
 def test_gray_groups_find_all_pairs():
     rnd = np.random.default_rng(1)
     base = rnd.integers(0, 1 << 63, 30, dtype=np.uint64)
@@ -323,7 +378,7 @@ def test_empty_tables(spark):
     bench = spark.createDataFrame([], "item_id long, text string")
     outs = [
         suffix_dedup.remove_repeated_bytes(empty), debruijn.remove_repeated_words(empty), simhash.near_groups(empty), exact_dedup.exact_groups(empty),
-        exact_dedup.keep_first(empty), simhash.keep_one_of_group(empty), langid.identify(empty), langid.keep_identified(empty), pii.replace_entities(empty, "k"),
+        exact_dedup.keep_first(empty), near_copies.keep_one_of_group(empty), langid.identify(empty), langid.keep_identified(empty), pii.replace_entities(empty, "k"),
         token_counts.count_tokens(empty, vocabulary(WORD_VOCABULARY)), bpe_chunks.encode_digest(empty, vocabulary(BYTE_VOCABULARY)),
         decontaminate.contaminated(empty, bench), decontaminate.keep_clean(empty, bench), sharding.place(empty, empty.doc_id, SHARDS),
     ]

@@ -33,20 +33,25 @@ _LEAF, _UPPER = 16, 16
 _AT_ONCE = 1 << 20
 
 
-def fingerprint(text: bytes, shingle: int) -> int:
+def shingle_hashes(text: bytes, shingle: int) -> np.ndarray:
+    """XXH64 of every shingle, repeats included; none for a text without words."""
     import xxhash
 
     words = _RUN.sub(b" ", text.lower()).strip(b" ")
     if not words:
-        return 0
+        return np.empty(0, np.uint64)
     buf = np.frombuffer(words, np.uint8)
     gaps = np.flatnonzero(buf == 32)
     if len(gaps) < shingle:
-        return xxhash.xxh64_intdigest(words, 42)
+        return np.array([xxhash.xxh64_intdigest(words, 42)], np.uint64)
     starts = [0, *(gaps[: len(gaps) - shingle + 1] + 1).tolist()]
     ends = [*gaps[shingle - 1 :].tolist(), len(words)]
     digest = xxhash.xxh64_intdigest
-    h = np.fromiter((digest(words[i:j], 42) for i, j in zip(starts, ends, strict=True)), np.uint64, len(ends))
+    return np.fromiter((digest(words[i:j], 42) for i, j in zip(starts, ends, strict=True)), np.uint64, len(ends))
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes."""
     ones = np.zeros(64, np.int64)
     for at in range(0, len(h), 4096):
         bits = np.unpackbits(h[at : at + 4096].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
@@ -54,6 +59,10 @@ def fingerprint(text: bytes, shingle: int) -> int:
     return int.from_bytes(np.packbits(2 * ones > len(h)).tobytes(), "big")
 
 
+def fingerprint(text: bytes, shingle: int) -> int:
+    return majority(shingle_hashes(text, shingle))
+
+
 def _prints(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -142,18 +151,28 @@ class Forest:
                 label[:] = nxt
 
 
-def _link(radius: int):
+def _link(radius: int, total: int | None = None):
+    """Forests of the links below each top node. With ``total`` a fourth column holds a second fingerprint, and the
+    differing bits of both together must not exceed it."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cols = [[], [], []]
+        cols = [[], [], []] + ([[]] if total is not None else [])
         for batch in batches:
             for c, x in zip(cols, batch.columns, strict=True):
                 c.append(x.to_numpy(zero_copy_only=False))
         if not cols[0]:
             return
-        key, fp, node = (np.concatenate(c) for c in cols)
+        key, fp, node, *second = (np.concatenate(c) for c in cols)
         fp = fp.view(np.uint64)
         order = np.lexsort((gray_rank(fp), key))
         key, fp, node = key[order], fp[order], node[order]
+        second = second[0].view(np.uint64)[order] if second else None
+
+        def both_near(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+            differ = np.bitwise_count(fp[i] ^ fp[j])
+            ok = differ <= radius
+            return ok if second is None else ok & (differ + np.bitwise_count(second[i] ^ second[j]) <= total)
+
         nodes, at = np.unique(node, return_inverse=True)
         forest = Forest(len(nodes))
         bounds = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True])
@@ -163,12 +182,13 @@ def _link(radius: int):
             i = np.flatnonzero(small[:-shift] & (key[shift:] == key[:-shift]))
             if not len(i):
                 break
-            ok = np.bitwise_count(fp[i] ^ fp[i + shift]) <= radius
+            ok = both_near(i, i + shift)
             forest.add(at[i[ok]], at[i[ok] + shift])
         for g in np.flatnonzero(sizes > 2 * _LEAF):
             part = slice(bounds[g], bounds[g + 1])
             for i, j in group_links(fp[part], radius):
-                forest.add(at[part][i], at[part][j])
+                ok = both_near(bounds[g] + i, bounds[g] + j)
+                forest.add(at[part][i[ok]], at[part][j[ok]])
         moved = forest.label != np.arange(len(nodes))
         yield pa.RecordBatch.from_arrays([pa.array(nodes[moved]), pa.array(nodes[forest.label[moved]])], names=["a", "b"])
 
@@ -195,14 +215,3 @@ def near_groups(docs: DataFrame, shingle: int = 4, radius: int = 4, blocks: int
     named = nodes.join(found, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
     out = prints.join(named, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
     return out
-
-
-def keep_one_of_group(docs: DataFrame, shingle: int = 5, radius: int = 10, blocks: int = 8, choose: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows that stay: of each group of near-duplicates the one with the smallest id, and every row with a null id.
-
-    Five-word shingles with a similarity of 0.8 differ in about 10 of 64 bits, hence the radius.
-    """
-    groups = near_groups(docs, shingle, radius, blocks, choose, id_col, text_col)
-    kept = groups.filter("doc_id = component_id").select(F.col("doc_id").alias(id_col)).distinct()
-    stay = docs.filter(F.col(id_col).isNotNull()).join(kept, id_col, "left_semi")
-    return one_row_per_id(stay, id_col).select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))
