@@ -275,3 +275,47 @@ def test_plans(spark):
     assert "WindowGroupLimit" in p and "TakeOrderedAndProject" in p and "BroadcastHashJoin" in p and "Python" not in p
     assert "CartesianProduct" not in plan(emd_join.emd_topk(o, t, 10)) and "BroadcastNestedLoop" not in plan(emd_join.emd_topk(o, t, 10))
     assert "ReadSchema: struct<l_partkey:bigint,l_suppkey:bigint>" in plan(o)
+
+
+@pytest.mark.parametrize("block_rows", [1024, 5])
+def test_every_pair(case, block_rows):
+    """The kernel for all pairs against the joins on given pairs."""
+    from pyspark.sql import functions as F
+
+    from treepairs.operators import every_pair
+
+    o, t, want = case
+    p = all_pairs(o)
+    n = len(want["emd"])
+    rows = {(r.a, r.b): r for r in every_pair.distances(o, t, block_rows).collect()}
+    for m in ("emd", "avg", "min"):
+        assert {k: r[m] for k, r in rows.items()} == pytest.approx(want[m])
+    ladder = every_pair.emd_ladder(o, t, (1, 2), block_rows).collect()
+    for h in (1, 2):
+        assert {(r.a, r.b): r[f"h{h}"] for r in ladder} == {(r.a, r.b): r.bound for r in bounds.emd_reduced(p, o, t, h).collect()}
+    for level in range(t.height + 1):
+        assert {(r.a, r.b): r.bound for r in every_pair.avg_descend(o, t, level, block_rows).collect()} == {(r.a, r.b): r.bound for r in bounds.avg_descend(p, o, t, level).collect()}
+    exact = emd_distance(p, o, t)
+    tight = {r.bound: r for r in every_pair.tightness(o, t, block_rows).collect()}
+    for name, b in {"edge_1": bounds.emd_reduced(p, o, t, 1), "edge_2": bounds.emd_reduced(p, o, t, 2), "l1_reduced": bounds.l1_reduced(p, o, t), "l1_full": bounds.l1_full(p, o, t)}.items():
+        r = measures.tightness(b, exact).select(F.col("pairs"), "violations", "mean_ratio").first()
+        assert (tight[name].pairs, tight[name].violations) == (r.pairs, r.violations) == (n, 0) and tight[name].mean_ratio == pytest.approx(r.mean_ratio)
+    assert tuple(every_pair.sandwich(o, t, block_rows).first()) == (n, 0)
+    assert sorted(map(tuple, bounds.avg_bound(None, o, t).collect())) == sorted(map(tuple, bounds.avg_bound(p, o, t).collect()))
+
+
+@pytest.mark.parametrize("name", ["emd_bounds_ladder", "avg_case_bounds", "avg_descend_levels", "bound_tightness", "sandwich_check", "distances_given_pairs"])
+def test_registered_queries_take_every_pair(spark, name):
+    import __spark_entry__ as entry
+    from treepairs.adapters import SETS
+
+    sf = "/root/testdata/sf0.001"
+    data = {"avg_case_bounds": "customer_days", "avg_descend_levels": "customer_days", "distances_given_pairs": "part_market"}.get(name, "part_geo")
+    n = SETS[data].objects(spark, sf).select("obj_id").distinct().count()
+    got = entry.queries()[name](spark, sf)
+    counts = {r.pairs for r in got.select("pairs").collect()} if "pairs" in got.columns else {got.count()}
+    assert counts == {n * (n - 1) // 2}
+    if "pairs" not in got.columns:
+        held = {(r.a, r.b): r for r in entry.queries()[f"{name}_sql_pairs"](spark, sf).collect()}
+        same_rows = {(r.a, r.b): r for r in got.filter("a % 97 = 1 AND b % 97 = 2").collect()}
+        assert held and {k: r.asDict() for k, r in held.items()} == {k: r.asDict() for k, r in same_rows.items()}

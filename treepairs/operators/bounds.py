@@ -77,15 +77,18 @@ def case_total(single_a: Column, single_b: Column, same: Column, na: Column, wa:
     return case, total.cast("long")
 
 
-def avg_bound(pairs: DataFrame, objects: DataFrame, tree: Ontology) -> DataFrame:
-    """Adds ``case`` and ``bound`` of the average distance at the root; 1b is exact, and so is a pair of root objects."""
+def avg_bound(pairs: DataFrame | None, objects: DataFrame, tree: Ontology) -> DataFrame:
+    """Adds ``case`` and ``bound`` of the average distance at the root; 1b is exact, and so is a pair of root objects.
+
+    Without ``pairs`` every pair of the set is taken; they are made where they are used and not shuffled.
+    """
     s = spans(avg_build(objects, tree))
     x = s.select(F.col("obj_id").alias("a"), F.col("n").alias("na"), F.col("w").alias("wa"), (F.col("children") <= 1).alias("sa"), F.col("list_id").alias("la"))
     y = s.select(F.col("obj_id").alias("b"), F.col("n").alias("nb"), F.col("w").alias("wb"), (F.col("children") <= 1).alias("sb"), F.col("list_id").alias("lb"))
-    p = pairs.join(x, "a").join(y, "b")
+    p = x.crossJoin(y).filter("a < b") if pairs is None else pairs.join(x, "a").join(y, "b")
     c = F.col
     case, total = case_total(c("sa"), c("sb"), c("la") == c("lb"), c("na"), c("wa"), c("nb"), c("wb"))
-    return p.select(*pairs.columns, F.regexp_replace(case, "3r", "3").alias("case"), ratio(total, c("na") * c("nb") * F.lit(tree.scale)).alias("bound"))
+    return p.select(*(["a", "b"] if pairs is None else pairs.columns), F.regexp_replace(case, "3r", "3").alias("case"), ratio(total, c("na") * c("nb") * F.lit(tree.scale)).alias("bound"))
 
 
 def avg_descend(pairs: DataFrame, objects: DataFrame, tree: Ontology, level: int) -> DataFrame:

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from .adapters import SETS
 from .ontology import Ontology, dag_to_tree
-from .operators import avg_join, baselines, bounds, emd_join, extensions, flow, measures, min_join, objects, relational
+from .operators import avg_join, baselines, bounds, emd_join, every_pair, extensions, flow, measures, min_join, objects, relational
 from .operators.distance import DISTANCES, all_pairs, emd_distance, sandwich
 from .operators.ordered_pairs import ordered_gaps
 from .sql import LEAVES, closure_sql, counts_sql, distances_sql, key_sql, knn_sql, range_sql, topk_sql
@@ -32,7 +32,10 @@ def _search(name: str, data: str, measure: str, run: Callable, k: int = K, sql:
 
 
 def _pairs(o: DataFrame, x: int, y: int) -> DataFrame:
-    """The pairs of the objects whose ids have the remainders x and y modulo 97: a stated set of pairs for distance queries."""
+    """The pairs of the objects whose ids have the remainders x and y modulo 97: those of the SQL of the queries ``.._sql_pairs``.
+
+    They hold the functions on given pairs to their SQL; the queries without that ending take every pair.
+    """
     ids = o.select("obj_id").distinct()
     a, b = ids.filter(F.col("obj_id") % 97 == x).select(F.col("obj_id").alias("a")), ids.filter(F.col("obj_id") % 97 == y).select(F.col("obj_id").alias("b"))
     return a.crossJoin(b).filter("a < b")
@@ -113,7 +116,8 @@ def _ladder_sql() -> str:
     return "WITH " + ", ".join(parts) + " SELECT q1.a, q1.b, q1.dist AS h1, q2.dist AS h2, q3.dist AS h3 FROM q1 JOIN q2 ON q1.a = q2.a AND q1.b = q2.b JOIN q3 ON q1.a = q3.a AND q1.b = q3.b"
 
 
-_add("emd_bounds_ladder", _ladder, _ladder_sql())
+_add("emd_bounds_ladder", lambda s, sf: every_pair.emd_ladder(*SETS["part_geo"].load(s, sf), (1, 2, 3)))
+_add("emd_bounds_ladder_sql_pairs", _ladder, _ladder_sql())
 
 # -- minimum distance -------------------------------------------------------------------------------------------------
 _search("min_topk_customers_product", "customer_product", "min", lambda o, t: min_join.mindist_topk(o, t, K))
@@ -156,7 +160,8 @@ def _cases(spark: SparkSession, sf: str) -> DataFrame:
     return bounds.avg_bound(_pairs(o, 1, 2), o, tree)
 
 
-_add("avg_case_bounds", _cases, f"""
+_add("avg_case_bounds", lambda s, sf: bounds.avg_bound(None, *SETS["customer_days"].load(s, sf)))
+_add("avg_case_bounds_sql_pairs", _cases, f"""
 WITH {counts_sql('customer_days')}, sp AS (SELECT obj_id, count(*) AS k, min(node) AS node FROM c WHERE lv = 1 GROUP BY obj_id),
 o AS (SELECT sz.obj_id, n, 7 * n AS w, k, node FROM sz JOIN sp USING (obj_id)),
 p AS (SELECT x.obj_id AS a, y.obj_id AS b, x.n AS na, y.n AS nb, x.w AS wa, y.w AS wb, CASE WHEN x.k = 1 AND y.k = 1 AND x.node = y.node THEN '1a' WHEN x.k = 1 AND y.k = 1 THEN '1b' WHEN x.k = 1 OR y.k = 1 THEN '3' ELSE '2' END AS "case", x.k AS ka
@@ -170,7 +175,8 @@ def _descend(spark: SparkSession, sf: str) -> DataFrame:
     return bounds.avg_descend(p, o, tree, 3)  # the deepest level: the exact distance
 
 
-_add("avg_descend_levels", _descend, f"WITH {distances_sql('customer_days', 'avg', where=_W97)} SELECT a, b, dist AS bound FROM d")
+_add("avg_descend_levels", lambda s, sf: every_pair.avg_descend(*SETS["customer_days"].load(s, sf), 3))
+_add("avg_descend_levels_sql_pairs", _descend, f"WITH {distances_sql('customer_days', 'avg', where=_W97)} SELECT a, b, dist AS bound FROM d")
 _add("avg_knn", _knn("avg"), knn_sql("part_geo", "avg", 5, "x.obj_id % 100 = 0"))
 _add("avg_range", lambda s, sf: extensions.range_join(*SETS["customer_days"].load(s, sf), 2.0, "avg"), range_sql("customer_days", "avg", 2.0))
 
@@ -293,7 +299,8 @@ def _tight_sql() -> str:
     return f"WITH {e}, {', '.join(rows)} {union}"
 
 
-_add("bound_tightness", _tight, _tight_sql())
+_add("bound_tightness", lambda s, sf: every_pair.tightness(*SETS["part_geo"].load(s, sf)).withColumn("mean_ratio", F.round("mean_ratio", 6)))
+_add("bound_tightness_sql_pairs", _tight, _tight_sql())
 
 
 def _sandwich(spark: SparkSession, sf: str) -> DataFrame:
@@ -303,7 +310,8 @@ def _sandwich(spark: SparkSession, sf: str) -> DataFrame:
     return p.agg(F.count(F.lit(1)).alias("pairs")).crossJoin(n)
 
 
-_add("sandwich_check", _sandwich, f"""
+_add("sandwich_check", lambda s, sf: every_pair.sandwich(*SETS["part_geo"].load(s, sf)))
+_add("sandwich_check_sql_pairs", _sandwich, f"""
 WITH m AS (WITH {distances_sql('part_geo', 'min', where=_W97)} SELECT a, b, dist FROM d), e AS (WITH {distances_sql('part_geo', 'emd', where=_W97)} SELECT a, b, dist FROM d), v AS (WITH {distances_sql('part_geo', 'avg', where=_W97)} SELECT a, b, dist FROM d)
 SELECT count(*) AS pairs, count(*) FILTER (WHERE m.dist > e.dist OR e.dist > v.dist) AS violations FROM m JOIN e ON m.a = e.a AND m.b = e.b JOIN v ON m.a = v.a AND m.b = v.b""")
 _add("list_sizes_min", lambda s, sf: min_join.list_sizes(*SETS["part_geo"].load(s, sf), K), f"""
@@ -325,7 +333,8 @@ _add("ordered_gaps", _gaps, """
 WITH g AS (SELECT x.s_nationkey AS dim, least(x.s_suppkey, y.s_suppkey) AS a, greatest(x.s_suppkey, y.s_suppkey) AS b, abs(CAST(x.s_acctbal AS DOUBLE) - CAST(y.s_acctbal AS DOUBLE)) AS gap FROM supplier x JOIN supplier y ON x.s_nationkey = y.s_nationkey AND x.s_suppkey < y.s_suppkey),
 r AS (SELECT *, row_number() OVER (PARTITION BY dim ORDER BY gap, a, b) AS nth FROM g) SELECT CAST(nth AS INTEGER) AS nth, a, b, round(gap, 6) AS gap FROM r WHERE nth <= 5""")
 _add("stream_topk_windows", stream_topk_windows, windows_topk_sql())
-_add("distances_given_pairs", lambda s, sf: _given(s, sf), f"""
+_add("distances_given_pairs", lambda s, sf: every_pair.distances(*SETS["part_market"].load(s, sf)).select("a", "b", "emd", "avg", "min"))
+_add("distances_given_pairs_sql_pairs", lambda s, sf: _given(s, sf), f"""
 WITH m AS (WITH {distances_sql('part_market', 'min', where=_W97)} SELECT a, b, dist FROM d), e AS (WITH {distances_sql('part_market', 'emd', where=_W97)} SELECT a, b, dist FROM d), v AS (WITH {distances_sql('part_market', 'avg', where=_W97)} SELECT a, b, dist FROM d)
 SELECT m.a, m.b, m.dist AS min, e.dist AS emd, v.dist AS avg FROM m JOIN e ON m.a = e.a AND m.b = e.b JOIN v ON m.a = v.a AND m.b = v.b""")
 
