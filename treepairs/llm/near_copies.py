@@ -1,10 +1,13 @@
-"""Near-duplicates by word-shingle similarity: SimHash finds the candidates, the shingle sets decide.
+"""Near-duplicates by word-shingle similarity: SimHash and an exact prefix filter find the candidates, the shingle sets decide.
 
 Texts get a fingerprint of 256 bits over their distinct shingles. Its index is that of ``simhash``: the top nodes are
 masked patterns (pairs of bytes) and the shuffle keys, the nodes below are runs in Gray order. A pair is a candidate if
 128 bits of it differ in at most ``total`` places; unrelated texts differ in 64, six standard deviations away, so the
-candidate groups stay apart however many documents there are. At a similarity of 0.8 about 15 % of the bits differ and a
-pair is found with a probability of about 0.98, above 0.8 more often.
+candidate groups stay apart however many documents there are. At a similarity of 0.8 about 15 % of the bits differ, so most
+pairs are found this way, fewer of short texts than of long ones.
+
+The pairs that the fingerprints miss are found by prefixes (``missed_links``): in one order of all shingles two sets of that
+similarity share one of the first ones of both. Only pairs of different groups are looked at, and nothing is lost.
 
 Inside a candidate group the similarity (shared by distinct shingles over all distinct shingles) is computed from the
 shingles. The first ``block`` rows of a group are compared with one another and, in bounded portions, with all others.
@@ -35,8 +38,11 @@ _WORDS = ["f0", "f1", "f2", "f3"]
 _STEPS = (1, 3, 7)
 #: Rows of a candidate group that one task compares with a block.
 _PORTION = 1024
-#: Postings that are counted at once.
+#: Postings or pairs that are counted at once.
 _AT_ONCE = 1 << 21
+#: Shingles that are put last in the order of the prefixes, those that are most frequent among one row of so many.
+_LAST, _ONE_OF = 1 << 16, 8
+_BITS = ["x0", "x1", "x2", "x3"]
 
 
 def _mixed(h: np.ndarray, k: int) -> np.ndarray:
@@ -162,6 +168,130 @@ def candidate_groups(docs: DataFrame, shingle: int = 5, radius: int = 18, total:
     return members.join(shared, "component", "left_semi").select("doc_id", "component")
 
 
+def _frequent(shingle: int):
+    """Shingles that are frequent in a task among one row of ``_ONE_OF``: they set the order of the prefixes, not the result."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column(0).cast(pa.binary()).to_pylist()[::_ONE_OF]
+            every = np.concatenate([np.empty(0, np.uint64), *(np.unique(shingle_hashes(t or b"", shingle)) for t in texts)])
+            values, n = np.unique(every, return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(values[n > 3].view(np.int64)), pa.array(n[n > 3])], names=["value", "n"])
+
+    return run
+
+
+def least_shared(n: np.ndarray, threshold: float) -> np.ndarray:
+    """Shingles that sets of ``n`` share at least with any set of the similarity."""
+    return np.ceil(threshold * n - 1e-9).astype(np.int64)
+
+
+def _signatures(shingle: int, threshold: float, last: np.ndarray):
+    """The prefix of each text's shingles, their number, and the parity of the shingles in each of 256 classes."""
+    by_value = np.argsort(last)
+    values = last[by_value]
+
+    def one(text: bytes) -> tuple[int, bytes, np.ndarray]:
+        s = np.unique(shingle_hashes(text, shingle))
+        rank = np.zeros(len(s), np.int64)
+        if len(values):
+            at = np.minimum(np.searchsorted(values, s), len(values) - 1)
+            rank = np.where(values[at] == s, len(values) - by_value[at], 0)
+        first = s[np.lexsort((s, rank))][: len(s) - int(least_shared(np.array(len(s)), threshold)) + 1]
+        parity = np.bincount((_mixed(s, 9) >> np.uint64(56)).astype(np.int64), minlength=256) & 1
+        return len(s), first.tobytes(), np.packbits(parity.astype(np.uint8)).view(np.int64)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [one(t or b"") for t in batch.column(1).cast(pa.binary()).to_pylist()]
+            bits = np.array([r[2] for r in rows], np.int64).reshape(-1, len(_BITS))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary()), *(pa.array(np.ascontiguousarray(bits[:, k])) for k in range(len(_BITS)))], names=["doc_id", "n", "prefix", *_BITS])
+
+    return run
+
+
+def _postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """doc_id, n, prefix, group to a row for each shingle of the prefix, with its place."""
+    for batch in batches:
+        prefixes = [np.frombuffer(p, np.int64) for p in batch.column(2).to_pylist()]
+        size = np.array([len(p) for p in prefixes], np.int64)
+        row = np.repeat(np.arange(len(size)), size)
+        place = np.arange(len(row)) - np.repeat(np.cumsum(size) - size, size)
+        doc, n, group = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1, 3))
+        cols = [np.concatenate([np.empty(0, np.int64), *prefixes]), doc[row], group[row], n[row].astype(np.int32), place.astype(np.int32)]
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["key", "doc_id", "group", "n", "place"])
+
+
+def _sharing(threshold: float):
+    """Pairs of rows of different groups that share a shingle of both prefixes and whose sizes and places allow the similarity."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cols = [[np.empty(0, np.int64)] for _ in range(5)]
+        for batch in batches:
+            for c, x in zip(cols, batch.columns, strict=True):
+                c.append(x.to_numpy(zero_copy_only=False))
+        key, doc, group, n, place = (np.concatenate(c) for c in cols)
+        order = np.lexsort((n, key))
+        key, doc, group, n, place = (c[order] for c in (key, doc, group, n, place))
+        found, held = [], 0
+
+        def batch_of(pairs: list[np.ndarray]) -> pa.RecordBatch:
+            ab = np.unique(np.concatenate(pairs), axis=0)
+            return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(ab[:, k])) for k in range(2)], names=["a", "b"])
+
+        live, shift = np.arange(len(key)), 1
+        while len(live := live[live + shift < len(key)]):
+            other = live + shift
+            ok = (key[live] == key[other]) & (n[live] >= least_shared(n[other], threshold))  # sizes rise, so no later row fits either
+            live, other = live[ok], other[ok]
+            least = np.ceil(threshold / (1 + threshold) * (n[live] + n[other]) - 1e-9)
+            ok = (group[live] != group[other]) & (np.minimum(n[live] - place[live], n[other] - place[other]) >= least)
+            i, j = doc[live[ok]], doc[other[ok]]
+            found.append(np.column_stack([np.minimum(i, j), np.maximum(i, j)]))
+            held += len(i)
+            if held > _AT_ONCE:
+                yield batch_of(found)
+                found, held = [], 0
+            shift += 1
+        if held:
+            yield batch_of(found)
+
+    return run
+
+
+def _similar(shingle: int, threshold: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x, y = ([np.unique(shingle_hashes(t or b"", shingle)) for t in batch.column(i).cast(pa.binary()).to_pylist()] for i in (2, 3))
+            shared = np.array([len(np.intersect1d(p, q, assume_unique=True)) for p, q in zip(x, y, strict=True)], np.int64)
+            every = np.array([len(p) + len(q) for p, q in zip(x, y, strict=True)], np.int64) - shared
+            yield batch.select(["a", "b"]).filter(pa.array(shared >= threshold * every))
+
+    return run
+
+
+def missed_links(docs: DataFrame, found: DataFrame, shingle: int = 5, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """a, b: every pair of ids of different groups whose texts have the similarity; ``found``: node, component of the groups.
+
+    Candidates share a shingle of both prefixes. Of them those go whose shingles differ in more classes by parity than the
+    similarity allows, which no near copy does; the texts decide on the rest.
+    """
+    texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    counted = texts.select("text").mapInArrow(_frequent(shingle), "value long, n long").groupBy("value").agg(F.sum("n").alias("n"))
+    last = np.array([r.value for r in counted.orderBy(F.desc("n"), "value").limit(_LAST).select("value").collect()], np.int64).view(np.uint64)
+    kinds = ", ".join(["doc_id long, n long, prefix binary", *(f"{x} long" for x in _BITS)])
+    signed = checkpointed(texts.mapInArrow(_signatures(shingle, threshold, last), kinds).filter("n > 0"))
+    grouped = signed.select("doc_id", "n", "prefix").join(found.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
+    postings = grouped.select("doc_id", "n", "prefix", F.coalesce("component", "doc_id").alias("group")).mapInArrow(_postings, "key long, doc_id long, group long, n int, place int")
+    pairs = postings.repartition(shuffle_width(docs.sparkSession), "key").mapInArrow(_sharing(threshold), "a long, b long").distinct()
+    side = lambda name: signed.select(F.col("doc_id").alias(name), F.col("n").alias(f"{name}n"), *(F.col(x).alias(f"{name}{x}") for x in _BITS))
+    differ = sum((F.bit_count(F.col(f"a{x}").bitwiseXOR(F.col(f"b{x}"))) for x in _BITS), F.lit(0))
+    close = pairs.join(side("a"), "a").join(side("b"), "b").filter(differ <= F.lit((1 - threshold) / (1 + threshold)) * (F.col("an") + F.col("bn")) + F.lit(1e-6))
+    close = checkpointed(close.select("a", "b").distinct())
+    both = close.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("x")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("y")), "b")
+    return checkpointed(both.select("a", "b", "x", "y").mapInArrow(_similar(shingle, threshold), "a long, b long"))
+
+
 def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, block: int = 256, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, group: ids of documents with a near copy of a smaller id, and the smallest id of their group."""
     members = candidate_groups(docs, shingle, id_col=id_col, text_col=text_col)
@@ -194,6 +324,8 @@ def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, block
             break
         pool = rows.join(outside, place, "left_semi")
     found = components(reduce(DataFrame.unionByName, links))
+    missed = missed_links(docs, found, shingle, threshold, id_col, text_col)
+    found = components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(missed))
     return found.filter("node <> component").select(F.col("node").alias("doc_id"), F.col("component").alias("group"))
 
 
