@@ -319,3 +319,16 @@ def test_registered_queries_take_every_pair(spark, name):
         held = {(r.a, r.b): r for r in entry.queries()[f"{name}_sql_pairs"](spark, sf).collect()}
         same_rows = {(r.a, r.b): r for r in got.filter("a % 97 = 1 AND b % 97 = 2").collect()}
         assert held and {k: r.asDict() for k, r in held.items()} == {k: r.asDict() for k, r in same_rows.items()}
+
+
+def test_sequential_searches_beyond_their_limit(case, monkeypatch):
+    from treepairs.operators import progressive
+
+    o, t, want = case
+    monkeypatch.setattr(progressive, "MOST_OBJECTS", 5)
+    assert same(got(emd_join.emd_topk(o, t, 4, variant="l1_reduced", engine="progressive")), best(want["emd"], 4))
+    assert same(got(avg_join.avgdist_topk(o, t, 4, engine="progressive")), best(want["avg"], 4))
+    e, a = measures.eta_emd(o, t, 3).first(), measures.eta_avg(o, t, 3).first()
+    assert e.pairs == a.pairs == len(want["emd"]) and 0 < e.eta <= 1 and 0 < a.eta <= 1
+    assert (e.kth, a.kth) == pytest.approx((sorted(want["emd"].values())[2], sorted(want["avg"].values())[2]))
+    assert e.bounds == a.examined == e.pairs and e.calls is None and a.pops is None

@@ -9,7 +9,7 @@ from ..ontology import Ontology
 from . import dense
 from .objects import avg_build, spans
 from .progressive import avg_best_first
-from .search import Metrics, answers, checkpoint, item_rows, ranked, run_sequential
+from .search import Metrics, answers, beyond_sequential, block_counts, checkpoint, item_rows, ranked, run_sequential
 
 COUNTERS = ["pops", "examined", "complete"]
 
@@ -31,6 +31,10 @@ def avgdist_topk(objects: DataFrame, tree: Ontology, k: int = 10, right: DataFra
 
 
 def progressive(objects: DataFrame, tree: Ontology, k: int, refine: str = "stepwise", order: str = "bfs", group=None) -> DataFrame:
+    """The best-first search; beyond the objects of a sequential search the block kernel, as in ``emd_join.progressive``."""
+    if group is None and beyond_sequential(objects):
+        found = dense.search(objects, tree, "avg", k, refine=refine, checkpoint=checkpoint)
+        return block_counts(found, k, {"pops": "none", "examined": "bounds", "complete": "exact"})
     scale, height = tree.scale, tree.height
     return run_sequential(item_rows(objects, tree, 0, group), lambda items: avg_best_first(items, k, scale, height, refine, order), COUNTERS)
 

@@ -9,7 +9,7 @@ from ..ontology import Ontology
 from . import dense
 from .objects import dedupe_objects
 from .progressive import emd_reduced_first, emd_threshold
-from .search import Metrics, answers, checkpoint, expand_representatives, item_rows, ranked, run_sequential
+from .search import Metrics, answers, beyond_sequential, block_counts, checkpoint, expand_representatives, item_rows, ranked, run_sequential
 
 COUNTERS = ["calls", "new", "bounds", "full_l1", "emd", "most_calls"]
 VARIANTS = ("edge", "l1_reduced", "l1_full", "emd_reduced", "brute")
@@ -37,9 +37,7 @@ def emd_topk(objects: DataFrame, tree: Ontology, k: int = 10, right: DataFrame |
                 return ranked(zero, k)
         best = emd_topk(kept, tree, k, None, variant, h, engine, metrics=metrics, block_rows=block_rows)
         return best if curated else ranked(expand_representatives(best, rep, k), k)
-    height = {"edge": h or min(tree.height, 2), "l1_reduced": h or 1, "l1_full": tree.height, "emd_reduced": h or 1, "brute": 0}[variant]
-    kind = {"edge": "edge", "emd_reduced": "edge", "l1_reduced": "l1", "l1_full": "l1", "brute": "none"}[variant]
-    found = dense.search(objects, tree, "emd", k, right, bound_height=height, variant=kind, block_rows=block_rows, checkpoint=checkpoint)
+    found = _blocks(objects, tree, k, right, variant, h, block_rows)
     if metrics is not None:
         found = checkpoint(found)
         s = found.agg(F.sum("bounds"), F.sum("exact")).first()
@@ -48,8 +46,21 @@ def emd_topk(objects: DataFrame, tree: Ontology, k: int = 10, right: DataFrame |
     return ranked(answers(found), k)
 
 
+def _blocks(objects: DataFrame, tree: Ontology, k: int, right: DataFrame | None, variant: str, h: int | None, block_rows: int) -> DataFrame:
+    height = {"edge": h or min(tree.height, 2), "l1_reduced": h or 1, "l1_full": tree.height, "emd_reduced": h or 1, "brute": 0}[variant]
+    kind = {"edge": "edge", "emd_reduced": "edge", "l1_reduced": "l1", "l1_full": "l1", "brute": "none"}[variant]
+    return dense.search(objects, tree, "emd", k, right, bound_height=height, variant=kind, block_rows=block_rows, checkpoint=checkpoint)
+
+
 def progressive(objects: DataFrame, tree: Ontology, k: int, right: DataFrame | None = None, variant: str = "l1_reduced", h: int = 1, halved: bool = True, group=None) -> DataFrame:
-    """The threshold search with a heap for each dimension; a row for each answer with the counters."""
+    """The threshold search with a heap for each dimension; a row for each answer with the counters.
+
+    One group of more objects than a sequential search takes goes to the block kernel: the same answers, its counts of
+    bounds and distances, and no counts (null) of what it does not do.
+    """
+    if group is None and halved and beyond_sequential(objects, right):
+        found = _blocks(objects, tree, k, right, variant, h, dense.BLOCK_ROWS)
+        return block_counts(found, k, {c: {"new": "bounds", "bounds": "bounds", "emd": "exact"}.get(c, "none") for c in COUNTERS})
     rows = item_rows(objects, tree, 0, group)
     if right is not None:
         rows = rows.unionByName(item_rows(right, tree, 1, group))

@@ -67,6 +67,26 @@ def item_rows(objects: DataFrame, tree: Ontology, side: int = 0, group: Column |
     return known_sizes(objects, tree).join(lists, "obj_id", "left").select((F.lit(0) if group is None else group).alias("grp"), "obj_id", F.lit(side).alias("side"), "n", "s", "x")
 
 
+def beyond_sequential(*sets: DataFrame | None) -> bool:
+    """Whether one group of these objects is too large for a sequential search."""
+    from . import progressive
+
+    ids = [o.select("obj_id").distinct().limit(progressive.MOST_OBJECTS + 1).count() for o in sets if o is not None]
+    return sum(ids) > progressive.MOST_OBJECTS
+
+
+def block_counts(found: DataFrame, k: int, counters: dict[str, str]) -> DataFrame:
+    """What :func:`run_sequential` gives, from the block kernel: the answers with the kernel's counts under the given names.
+
+    ``counters``: name to ``bounds``, ``exact`` or ``none`` (null: a count that the kernel does not have).
+    """
+    found = checkpoint(found)
+    total = found.agg(F.coalesce(F.sum("bounds"), F.lit(0)).alias("bounds"), F.coalesce(F.sum("exact"), F.lit(0)).alias("exact"))
+    counts = total.select(F.lit(0).alias("grp"), *[(F.lit(None) if c == "none" else F.col(c)).cast("long").alias(name) for name, c in counters.items()])
+    best = ranked(answers(found), k)
+    return counts.join(best, F.lit(True), "left").select("grp", F.coalesce("rank", F.lit(0)).alias("rank"), "a", "b", "dist", *counters)
+
+
 def run_sequential(rows: DataFrame, engine: Callable, counters: list[str]) -> DataFrame:
     """grp, rank, a, b, dist and the counters (on every row; a group without pairs gives a row with rank 0)."""
     from .progressive import MOST_OBJECTS, Item
@@ -91,4 +111,4 @@ def run_sequential(rows: DataFrame, engine: Callable, counters: list[str]) -> Da
     return rows.groupBy("grp").applyInArrow(run, schema)
 
 
-__all__ = ["Metrics", "answers", "checkpoint", "expand_representatives", "item_rows", "ranked", "run_sequential"]
+__all__ = ["Metrics", "answers", "beyond_sequential", "block_counts", "checkpoint", "expand_representatives", "item_rows", "ranked", "run_sequential"]
