@@ -360,6 +360,20 @@ def test_decontamination(spark):
     assert decontaminate.contaminated(docs, bench.limit(0)).count() == 0
 
 
+def test_decontamination_of_items_cut_short(spark):
+    words = [f"w{i}" for i in range(40)]
+    item = decontaminate.Items([(1, " ".join(words))])
+    for size in range(1, 41):
+        shared = max(0, size - 4)
+        want = {0: (shared / 36, 0)} if shared / 36 >= 0.8 else {}
+        for text in (words[:size], words[40 - size :]):
+            assert item.matches(text) == want
+    assert item.matches(words[:38] + ["other"])[0] == (34 / 37, 0)
+    docs = spark.createDataFrame([(1, " ".join(words[:39])), (2, " ".join(words[:20]))], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, " ".join(words))], "item_id long, text string")
+    assert [r.doc_id for r in decontaminate.keep_clean(docs, bench).collect()] == [2]
+
+
 def test_pii(spark):
     texts = [
         (1, "mail Jo.77@mail0.example.com and jo.77@mail0.example.com, call +1 (578) 555-6437 or +1 578 555 6437."),

@@ -2,8 +2,8 @@
 
 Words are runs of letters and digits in lower case, shingles five words (an item of fewer words is one shingle). Texts are
 first scanned for shingles of the items: a window that is similar to an item at 0.8 or more shares shingles with it, so
-nothing is lost, and only stretches of a text around such shingles get windows. Each window as long as an item gets a
-SimHash fingerprint; eight blocks of eight bits, each looked up with up to two flipped bits, give every item within 23
+nothing is lost, and only stretches of a text around such shingles get windows. A text that is shorter than an item is its
+one window as a whole. Each window as long as an item gets a SimHash fingerprint; eight blocks of eight bits, each looked up with up to two flipped bits, give every item within 23
 differing bits. Candidates are then verified by the weighted Jaccard similarity of the shingles with their counts.
 
 The items are gathered in groups of at most ``group_bytes`` of text, the bound of each broadcast; further groups are
@@ -118,19 +118,27 @@ class Items:
             if not len(hits):
                 continue
             starts: dict[int, set[int]] = defaultdict(set)  # windows by item size
+            cut: dict[int, float] = {}  # items longer than the text
             touched = {k for x in set(h[hits].tolist()) for k in self.by_shingle[length][x]}
             for k in touched:
                 size, count = self.sizes[k], self.sizes[k] - length + 1
+                if size > len(words):
+                    # Similarity is at most the quotient of the counts. An item of one shingle has no shorter text with it.
+                    if len(h) >= SIMILARITY * count - 1e-9:
+                        both = sum((Counter(h.tolist()) & self.weights[k]).values())
+                        cut[k] = both / (len(h) + count - both)
+                    continue
                 # A window of 0.8 or more holds 8/9 of the item's shingles, so it starts at most 1/9 before the first.
                 own = np.array([p for p in hits.tolist() if int(h[p]) in self.weights[k]])
                 enough = np.searchsorted(own, own + count) - np.arange(len(own)) >= 0.88 * count
                 for p in own[enough].tolist():
                     starts[size].update(range(max(0, p - count // 8), min(p, len(words) - size) + 1))
+            out.update((k, (similarity, 0)) for k, similarity in cut.items() if similarity >= SIMILARITY)
             for size, wanted in starts.items():
                 count = size - length + 1
                 at = np.array(sorted(s for s in wanted if s + size <= len(words)), int)
-                for cut in range(0, len(at), 2048):
-                    part = at[cut : cut + 2048]
+                for first in range(0, len(at), 2048):
+                    part = at[first : first + 2048]
                     low, high = int(part[0]), int(part[-1]) + count
                     if high - low > 16 * 2048:  # far apart: a window at a time
                         groups = [np.array([p]) for p in part.tolist()]
