@@ -230,6 +230,18 @@ def test_near_copies_repeated_and_null_ids(spark):
     assert Counter(r.doc_id for r in kept) == {5: 1, None: 2, 8: 1}
 
 
+def test_repeated_ids_with_different_texts(spark):
+    one, two, three = (" ".join(f"{c}{i}" for i in range(30)) for c in "abc")
+    rows = [(1, one), (2, one), (2, two), (3, three), (3, three.replace(" ", "\t")), (4, two + " more"), (4, three + " more"), (4, "alone")]
+    exact = exact_dedup.keep_first(spark.createDataFrame(rows, "doc_id long, text string").repartition(3))
+    left = sorted((r.doc_id, " ".join(r.text.split())) for r in exact.collect())
+    assert left == sorted([(1, one), (2, two), (3, three), (4, two + " more"), (4, three + " more"), (4, "alone")])
+    assert [r.text for r in exact.filter("doc_id = 3").collect()] == [three.replace(" ", "\t")]
+    near = near_copies.keep_one_of_group(exact)
+    assert near.columns == ["doc_id", "text"] and sorted(r.doc_id for r in near.collect()) == [1, 2, 3, 4]
+    assert [r.text for r in near.filter("doc_id = 4").collect()] == ["alone"]
+
+
 def test_gray_groups_find_all_pairs():
     rnd = np.random.default_rng(1)
     base = rnd.integers(0, 1 << 63, 30, dtype=np.uint64)

@@ -31,9 +31,15 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def one_row_per_id(df: DataFrame, id_col: str) -> DataFrame:
-    """Keep one of the rows that repeat an id; the input is already partitioned and sorted by it after a join."""
+def content_digest(text_col: str) -> Column:
+    """SHA-256 of the normalised text: a run of separators counts as one space, null as empty."""
+    return F.sha2(F.regexp_replace(whole_text(text_col), SEPARATORS, " ").cast("binary"), 256)
+
+
+def one_row_per_text(df: DataFrame, id_col: str, text_col: str, digest: str) -> DataFrame:
+    """Of the rows that repeat an id and a normalised text keep the first by text and a hash of the row."""
     from pyspark.sql import Window
 
-    ranked = df.withColumn("__nth", F.row_number().over(Window.partitionBy(id_col).orderBy(F.lit(1))))
+    whole = F.xxhash64(*[f.name for f in df.schema.fields if "map<" not in f.dataType.simpleString()])
+    ranked = df.withColumn("__nth", F.row_number().over(Window.partitionBy(id_col, digest).orderBy(text_col, whole)))
     return ranked.filter("__nth = 1").drop("__nth")

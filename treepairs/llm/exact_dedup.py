@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SEPARATORS, one_row_per_id, shuffle_width
+from .common import SEPARATORS, content_digest, one_row_per_text, shuffle_width
 
 _RUN = re.compile(SEPARATORS.encode())
 _HEAD = struct.Struct("<32sII")
@@ -211,7 +211,8 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows that stay, with all their columns; rows with a null id stay as well, and of rows that repeat an id one."""
-    kept = exact_groups(docs, id_col, text_col).filter("kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias(id_col)).distinct()
-    stay = docs.filter(F.col(id_col).isNotNull()).join(kept, id_col, "left_semi")
-    return one_row_per_id(stay, id_col).select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))
+    """The rows that stay, with all their columns; rows with a null id stay as well. Of rows that repeat an id and a text one
+    stays; rows that repeat an id with different texts are judged each by its text."""
+    kept = exact_groups(docs, id_col, text_col).filter("kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias(id_col), F.col("text_sha256").alias("__digest")).distinct()
+    stay = docs.filter(F.col(id_col).isNotNull()).withColumn("__digest", content_digest(text_col)).join(kept, [id_col, "__digest"], "left_semi")
+    return one_row_per_text(stay, id_col, text_col, "__digest").select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))

@@ -15,8 +15,8 @@ Rows outside the largest group that this leaves form the next blocks, until all
 group: pairs among them can no longer join anything, so no link inside a candidate group is lost.
 
 Defined cases: ASCII case and runs of separators do not count; a text of fewer words is one shingle; texts without words
-(null, empty) are copies of one another; rows that repeat an id have one fate, and one of them stays; rows with a null
-id stay; an empty table gives an empty result; other columns pass through.
+(null, empty) are copies of one another; of rows that repeat an id and a text one stays, and rows that repeat an id with
+different texts are documents of their own, in the order of a digest of the text; rows with a null id stay; an empty table gives an empty result; other columns pass through.
 """
 
 from __future__ import annotations
@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed, one_row_per_id, shuffle_width
+from .common import checkpointed, content_digest, one_row_per_text, shuffle_width
 from .components import components
 from .simhash import Forest, _link, majority, shingle_hashes
 
@@ -331,6 +331,14 @@ def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, block
 
 def keep_one_of_group(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, block: int = 256, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows that stay: one of each group of near-duplicates, the one with the smallest id, and every row with a null id."""
-    gone = copy_groups(docs, shingle, threshold, block, id_col, text_col).select(F.col("doc_id").alias(id_col))
-    stay = docs.filter(F.col(id_col).isNotNull()).join(gone, id_col, "left_anti")
-    return one_row_per_id(stay, id_col).select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))
+    known = docs.filter(F.col(id_col).isNotNull()).withColumn("__digest", content_digest(text_col))
+    several = known.groupBy(id_col).agg(F.min("__digest").alias("low"), F.max("__digest").alias("high")).filter("low <> high")
+    if several.isEmpty():
+        gone = copy_groups(docs, shingle, threshold, block, id_col, text_col).select(F.col("doc_id").alias(id_col))
+        stay = known.join(gone, id_col, "left_anti")
+    else:  # numbers in the order of (id, digest) take the place of the ids
+        numbers = checkpointed(known.select(id_col, "__digest").distinct().orderBy(id_col, "__digest").withColumn("__number", F.monotonically_increasing_id()))
+        numbered = known.join(numbers, [id_col, "__digest"])
+        gone = copy_groups(numbered, shingle, threshold, block, "__number", text_col).select(F.col("doc_id").alias("__number"))
+        stay = numbered.join(gone, "__number", "left_anti")
+    return one_row_per_text(stay, id_col, text_col, "__digest").select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))

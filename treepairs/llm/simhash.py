@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SEPARATORS, checkpointed, one_row_per_id, shuffle_width
+from .common import SEPARATORS, checkpointed, shuffle_width
 from .components import components
 
 _RUN = re.compile(SEPARATORS.encode())
