@@ -137,3 +137,13 @@ def test_faults_are_found(spark):
     t = Ontology.from_edges(e)
     v = t.validate(e)
     assert v["unreached"] == 2 and v["repeated_nodes"] == 1
+
+
+def test_trees_deeper_than_allowed_are_an_error(spark):
+    from treepairs.ontology import Ontology, dag_to_tree
+
+    chain = spark.createDataFrame([("0", None), *((str(i), str(i - 1)) for i in range(1, 5))], "child string, parent string")
+    assert Ontology.from_edges(chain, max_height=4).size() == 5 and dag_to_tree(chain, max_height=4).count() == 5
+    for make in (lambda: Ontology.from_edges(chain, max_height=3), lambda: dag_to_tree(chain, max_height=3), lambda: dag_to_tree(chain, "unfold", max_height=3)):
+        with pytest.raises(ValueError, match="deeper"):
+            make()

@@ -65,11 +65,13 @@ class Ontology:
         # Levels first, without weights; a cycle or an orphan is never reached.
         front = checkpoint(e.filter("parent_id IS NULL").select("node_id", F.array("node_id").alias("ids"), F.array(F.lit(0).cast("long")).alias("ews")))
         reached, height = [front], 0
-        while height < max_height:
+        while True:
             front = e.join(front.select(F.col("node_id").alias("p"), "ids", "ews"), F.col("parent_id") == F.col("p")).select("node_id", F.concat("ids", F.array("node_id")).alias("ids"), F.concat("ews", F.array("ew")).alias("ews"))
             front = checkpoint(front)
             if front.isEmpty():
                 break
+            if height == max_height:
+                raise ValueError(f"the tree is deeper than {max_height} levels")
             reached.append(front)
             height += 1
         paths = reached[0]
@@ -163,7 +165,7 @@ def dag_to_tree(edges: DataFrame, policy: str = "shallowest", max_height: int =
     front = e.filter("parent IS NULL").select(F.col("child").alias("node"), F.col("child").alias("name"))
     out = front.select(F.col("name").alias("child"), F.lit(None).cast("string").alias("parent"))
     links, seen = e.filter("parent IS NOT NULL"), front.select("node")
-    for _ in range(max_height):
+    for height in range(max_height + 1):
         grown = links.join(front.select(F.col("node").alias("parent"), "name"), "parent")
         if policy == "shallowest":
             grown = grown.join(seen.select(F.col("node").alias("child")), "child", "left_anti").groupBy("child").agg(F.min("parent").alias("parent"))
@@ -176,6 +178,8 @@ def dag_to_tree(edges: DataFrame, policy: str = "shallowest", max_height: int =
         step = checkpoint(step)
         if step.isEmpty():
             break
+        if height == max_height:
+            raise ValueError(f"the tree is deeper than {max_height} levels")
         out = out.unionByName(step.select("child", "parent"))
         front = step.select("node", F.col("child").alias("name"))
         seen = seen.unionByName(front.select("node"))
