@@ -1,11 +1,11 @@
 """BPE encoding and decoding with reuse of content-defined chunks.
 
 A gear rolling hash over the UTF-8 bytes cuts a text where its low bits vanish, so equal passages of different documents
-are cut alike. Each chunk is split once into head, body and tail: the body lies between the first and the last place
-where the pre-tokeniser certainly cuts (a single space between two characters that are not white space); its ids and its
-decoded form are kept. A chunk join is repaired by encoding the tail on its left with the head on its right as one piece;
-both ends of that piece are certain cuts, so the ids agree exactly with those of the whole text. A chunk without a
-certain cut has no body and is passed on to the next join.
+are cut alike. Each chunk is split once into head, units of the body and tail, at the places where the pre-tokeniser
+certainly cuts (a single space between two characters that are not white space); what is kept for a chunk is this split.
+A chunk join is repaired by taking the tail on its left with the head on its right as one piece and splitting it anew. A
+chunk without a certain cut has no body and is passed on to the next join. Ids and decoded forms are kept for each unit, not
+for each chunk: units are what is encoded once. Their ends are certain cuts, so the ids agree with those of the whole text.
 
 Pieces are reused within a worker through bounded tables. A global chunk table would have to shuffle every text and its
 ids, more than the disk that the operator may use.
