@@ -192,17 +192,17 @@ def copies_of_copies():
     return texts | {900: "Ab  c\nd", 901: "ab c d", 902: "ab c e", 903: "", 904: None, 905: " ", 906: "lone"}
 
 
-@pytest.mark.parametrize("block", [256, 3])
-def test_near_copies_against_all_pairs(spark, block):
+@pytest.mark.parametrize("hot", [4096, 3])
+def test_near_copies_against_all_pairs(spark, monkeypatch, hot):
+    monkeypatch.setattr(near_copies, "_HOT", hot)
+    monkeypatch.setattr(near_copies, "_FEW_PAIRS", 1 << 14 if hot > 3 else 0)
     texts = copies_of_copies()
     want = {d: r for d, r in near_roots(texts).items() if r != d}
     docs = spark.createDataFrame([(t, d, "clash") for d, t in texts.items()], "text string, doc_id long, component string")
-    got = {r.doc_id: r.group for r in near_copies.copy_groups(docs, block=block).collect()}
-    roots = near_roots(texts)
-    assert all(roots[d] == roots[g] for d, g in got.items()), "a row went without a near copy"
-    assert len(got) >= 0.95 * len(want) > 50
+    got = {r.doc_id: r.group for r in near_copies.copy_groups(docs).collect()}
+    assert got == want and len(want) > 50
     assert {901, 904, 905} <= got.keys() and not {900, 902, 903, 906} & got.keys()
-    kept = near_copies.keep_one_of_group(docs, block=block)
+    kept = near_copies.keep_one_of_group(docs)
     assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == texts.keys() - got.keys()
 
 
@@ -252,10 +252,14 @@ def test_gray_groups_find_all_pairs():
     assert got == want and want
 
 
-def test_components_of_a_chain(spark):
+@pytest.mark.parametrize("few", [0, 1 << 14])
+def test_components_of_a_chain(spark, monkeypatch, few):
+    from treepairs.llm import components as module
     from treepairs.llm.components import components
 
-    n = 200
+    monkeypatch.setattr(module, "FEW", few)
+
+    n = 60
     got = {r.node: r.component for r in components(spark.createDataFrame([(i, i + 1) for i in range(n)] + [(1000, 1001)], "a long, b long")).collect()}
     assert got == {i: 0 for i in range(n + 1)} | {1000: 1000, 1001: 1000}
 

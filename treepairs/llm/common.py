@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -22,24 +24,71 @@ def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the cluster names in spark.checkpoint.dir; a local one is set only in local mode where none is."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named is None:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        named = "/tmp/checkpoints"
+    return named
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared folder of spark.checkpoint.dir; a folder is set only where none is."""
+    """Cut the lineage through the shared folder."""
     context = df.sparkSession.sparkContext
     if context.getCheckpointDir() is None:
-        configured = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(configured or "/tmp/checkpoints")
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
+def remove_folder(spark: SparkSession, path: str) -> None:
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+
+
+class Scratch:
+    """Tables in the shared folder that cut the lineage as checkpoints do, packed, and are removed once nothing needs them."""
+
+    def __init__(self, spark: SparkSession) -> None:
+        self.spark, self.folder, self.held = spark, f"{shared_folder(spark)}/tables-{uuid.uuid4()}", {}
+
+    def table(self, df: DataFrame) -> DataFrame:
+        path = f"{self.folder}/{len(self.held)}"
+        self.held[len(self.held)] = path
+        df.write.option("compression", "zstd").parquet(path)
+        kept = self.spark.read.schema(df.schema).parquet(path)
+        kept._scratch_path = path
+        return kept
+
+    def drop(self, *tables: DataFrame) -> None:
+        for df in tables:
+            remove_folder(self.spark, df._scratch_path)
+
+    def close(self) -> None:
+        remove_folder(self.spark, self.folder)
+
+
+def unused(names: list[str], name: str) -> str:
+    """A column name that is not taken, in any case."""
+    taken = {n.lower() for n in names}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def content_digest(text_col: str) -> Column:
     """SHA-256 of the normalised text: a run of separators counts as one space, null as empty."""
     return F.sha2(F.regexp_replace(whole_text(text_col), SEPARATORS, " ").cast("binary"), 256)
 
 
 def one_row_per_text(df: DataFrame, id_col: str, text_col: str, digest: str) -> DataFrame:
-    """Of the rows that repeat an id and a normalised text keep the first by text and a hash of the row."""
+    """Of the rows that repeat an id and a normalised text keep the first by text and by the other columns as text, so that
+    rows which tie are equal (but for maps)."""
     from pyspark.sql import Window
 
-    whole = F.xxhash64(*[f.name for f in df.schema.fields if "map<" not in f.dataType.simpleString()])
-    ranked = df.withColumn("__nth", F.row_number().over(Window.partitionBy(id_col, digest).orderBy(text_col, whole)))
-    return ranked.filter("__nth = 1").drop("__nth")
+    nth = unused(df.columns, "nth")
+    whole = F.to_json(F.struct(*[F.col(f"`{f.name}`") for f in df.schema.fields if f.name not in (text_col, digest) and "map<" not in f.dataType.simpleString()]))
+    ranked = df.withColumn(nth, F.row_number().over(Window.partitionBy(id_col, digest).orderBy(text_col, F.sha2(whole, 256))))
+    return ranked.filter(F.col(nth) == 1).drop(nth)

@@ -1,254 +1,271 @@
-"""Near-duplicates by word-shingle similarity: SimHash and an exact prefix filter find the candidates, the shingle sets decide.
-
-Texts get a fingerprint of 256 bits over their distinct shingles. Its index is that of ``simhash``: the top nodes are
-masked patterns (pairs of bytes) and the shuffle keys, the nodes below are runs in Gray order. A pair is a candidate if
-128 bits of it differ in at most ``total`` places; unrelated texts differ in 64, six standard deviations away, so the
-candidate groups stay apart however many documents there are. At a similarity of 0.8 about 15 % of the bits differ, so most
-pairs are found this way, fewer of short texts than of long ones.
-
-The pairs that the fingerprints miss are found by prefixes (``missed_links``): in one order of all shingles two sets of that
-similarity share one of the first ones of both. Only pairs of different groups are looked at, and nothing is lost.
-
-Inside a candidate group the similarity (shared by distinct shingles over all distinct shingles) is computed from the
-shingles. The first ``block`` rows of a group are compared with one another and, in bounded portions, with all others.
-Rows outside the largest group that this leaves form the next blocks, until all rows that were in no block belong to one
-group: pairs among them can no longer join anything, so no link inside a candidate group is lost.
+"""Near-duplicates by word-shingle similarity: a Gray-ordered SimHash index first, an exact prefix join for what it leaves.
+
+Texts with the same set of shingles are one class from the start. Then
+
+1. Each class has a fingerprint of 128 bits. Its index is that of ``simhash``: the top nodes are masked patterns (two of
+   eight blocks of 16 bits), below them fingerprints lie in Gray order and groups of runs are pruned by accumulated
+   differences. Fingerprints are dealt by ranges of (top node, Gray rank), so a node that holds a third of all rows is parted
+   among tasks. Every fingerprint names two neighbours within the radius at most in a node, the first and the nearest, so the
+   number of candidates is linear.
+2. A fingerprint cannot be complete at a similarity of 0.8, so an exact prefix join finds the rest: in one order of all
+   shingles, two sets of that similarity share one of the first ones of both. Only pairs of different groups are looked at.
+   A shingle that many texts have is compared block by block, in cells of their own.
+3. Candidates of both kinds are cut by the parity of the shingles in 256 classes, which no pair of the similarity fails, and
+   decided by the shingle sets. In two rounds every text tests its closest open candidate and what is linked then is merged;
+   all pairs that are still between different groups are tested after that. No link between different groups is lost.
 
 Defined cases: ASCII case and runs of separators do not count; a text of fewer words is one shingle; texts without words
 (null, empty) are copies of one another; of rows that repeat an id and a text one stays, and rows that repeat an id with
-different texts are documents of their own, in the order of a digest of the text; rows with a null id stay; an empty table gives an empty result; other columns pass through.
+different texts are documents of their own, in the order of a digest of the text; rows with a null id stay; an empty table
+gives an empty result; other columns pass through, whatever their names.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, content_digest, one_row_per_text, shuffle_width
+from .common import Scratch, checkpointed, content_digest, one_row_per_text, shuffle_width, unused
 from .components import components
-from .simhash import Forest, _link, majority, shingle_hashes
+from .shingles import mixed, shingle_sets
+from .simhash import gray_rank, pairs_below
+
+_PRINTS, _BITS, _SUMS = ["f0", "f1"], ["x0", "x1", "x2", "x3"], ["d0", "d1"]
+_SIGNED = ", ".join(["doc_id long", "n long", *(f"{c} long" for c in (*_PRINTS, *_BITS, *_SUMS)), "frequent array<long>", "times array<long>"])
+_BLOCKS = 8
+#: Rows of one top node that are compared at once.
+_NODE_ROWS = 4096
+#: Shingles that come last in the order of the prefixes: the most frequent ones, of those that some batch holds more than three times.
+_LAST = 1 << 18
+#: A shingle in the prefixes of more texts than this is compared in cells, of blocks of so many texts.
+_HOT = 4096
+#: Postings in one task, rows of fingerprints in one task, and pairs that are held at once.
+_POSTINGS, _ROWS, _AT_ONCE = 1 << 20, 1 << 20, 1 << 20
+#: Candidates that are tested all at once.
+_FEW_PAIRS = 1 << 14
+
+
+def _signatures(shingle: int):
+    """A row for each text: number of shingles, fingerprint, parities, sums that tell sets apart; the first row of a batch
+    carries the batch's frequent shingles."""
 
-_WORDS = ["f0", "f1", "f2", "f3"]
-#: Distances between the two bytes of a top node, of 32 bytes in a ring.
-_STEPS = (1, 3, 7)
-#: Rows of a candidate group that one task compares with a block.
-_PORTION = 1024
-#: Postings or pairs that are counted at once.
-_AT_ONCE = 1 << 21
-#: Shingles that are put last in the order of the prefixes, those that are most frequent among one row of so many.
-_LAST, _ONE_OF = 1 << 16, 8
-_BITS = ["x0", "x1", "x2", "x3"]
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column(0)
+            every = [np.empty(0, np.uint64)]
+            rows = []
+            for _, s in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), shingle):
+                parity = s.parities()
+                rows.append([s.sizes, *(s.majority(k).view(np.int64) for k in range(2)), *(parity[:, k] for k in range(4)), s.sums(3).view(np.int64), s.sums(4).view(np.int64)])
+                every.append(s.values)
+            if not rows:
+                continue
+            values, times = np.unique(np.concatenate(every), return_counts=True)
+            values, times = values[times > 3].view(np.int64), times[times > 3]
+            lists = [pa.array([x, *[None] * (len(ids) - 1)], pa.list_(pa.int64())) for x in (values, times)]
+            cols = [pa.array(np.ascontiguousarray(np.concatenate(c))) for c in zip(*rows, strict=True)]
+            yield pa.RecordBatch.from_arrays([ids, *cols, *lists], names=["doc_id", "n", *_PRINTS, *_BITS, *_SUMS, "frequent", "times"])
 
+    return run
 
-def _mixed(h: np.ndarray, k: int) -> np.ndarray:
-    """Another hash of the same shingles (the finaliser of SplitMix64)."""
-    z = h + np.uint64((k * 0x9E3779B97F4A7C15) & (2**64 - 1))
-    z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return z ^ (z >> np.uint64(31))
 
+def _block(i: int) -> Column:
+    return F.shiftrightunsigned(_PRINTS[i // 4], 16 * (i % 4)).bitwiseAND(F.lit(0xFFFF))
 
-def wide_print(h: np.ndarray) -> list[int]:
-    return [majority(h if k == 0 else _mixed(h, k)) for k in range(len(_WORDS))]
 
+def _neighbours(radius: int, total: int):
+    """For each row of each top node its first and its nearest neighbour before it, in Gray order."""
 
-def _prints(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cols = [[np.empty(0, np.int64)] for _ in range(4)]
         for batch in batches:
-            texts = batch.column(1).cast(pa.binary()).to_pylist()
-            fps = np.array([wide_print(np.unique(shingle_hashes(t or b"", shingle))) for t in texts], np.uint64).reshape(-1, len(_WORDS)).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(np.ascontiguousarray(fps[:, k])) for k in range(len(_WORDS)))], names=["doc_id", *_WORDS])
+            for c, x in zip(cols, batch.columns, strict=True):
+                c.append(x.to_numpy(zero_copy_only=False))
+        key, f0, f1, node = (np.concatenate(c) for c in cols)
+        f0, f1 = f0.view(np.uint64), f1.view(np.uint64)
+        order = np.lexsort((gray_rank(f0), key))
+        key, f0, f1, node = (c[order] for c in (key, f0, f1, node))
+        n = len(key)
+        # a node of many rows is compared in portions of Gray order
+        first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        place = np.arange(n) - np.repeat(first, np.diff(np.r_[first, n]))
+        part = np.cumsum(np.r_[True, (key[1:] != key[:-1]) | (place[1:] % _NODE_ROWS == 0)]) if n else key
+        low, best = np.full(n, n), np.full(n, 1 << 40)
+        for i, j in pairs_below(part, f0, radius):
+            differ = (np.bitwise_count(f0[i] ^ f0[j]) + np.bitwise_count(f1[i] ^ f1[j])).astype(np.int64)
+            ok = differ <= total
+            i, j, differ = i[ok], j[ok], differ[ok]
+            np.minimum.at(low, j, i)
+            np.minimum.at(best, j, differ << 32 | i)
+        near = np.flatnonzero(low < n)
+        a, b = np.r_[node[near], node[near]], np.r_[node[low[near]], node[best[near] & 0xFFFFFFFF]]
+        pairs = np.unique(np.column_stack([np.minimum(a, b), np.maximum(a, b)])[a != b], axis=0).reshape(-1, 2)
+        yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(pairs[:, k])) for k in range(2)], names=["a", "b"])
 
     return run
 
 
-def _sets(shingle: int):
+def simhash_candidates(classes: DataFrame, radius: int = 18, total: int = 30) -> DataFrame:
+    """a, b: pairs of classes whose fingerprints are near, at most two for a class and top node."""
+    prints = classes.groupBy(*_PRINTS).agg(F.min("doc_id").alias("node"))
+    same = classes.join(prints, _PRINTS).filter("doc_id <> node").select(F.col("node").alias("a"), F.col("doc_id").alias("b"))
+    tops = [F.xxhash64(F.lit(k), _block(i), _block(j)) for k, (i, j) in enumerate(combinations(range(_BLOCKS), 2))]
+    keyed = prints.select(F.explode(F.array(*tops)).alias("key"), *_PRINTS, "node")
+    gray = F.col("f0")
+    for s in (1, 2, 4, 8, 16, 32):
+        gray = gray.bitwiseXOR(F.shiftrightunsigned(gray, s))
+    # The top bit decides first: a signed order of the ranks' upper halves is enough to part a node in Gray order.
+    ranked = keyed.withColumn("rank", F.shiftrightunsigned(gray, 1))
+    ranges = max(shuffle_width(classes.sparkSession), len(tops) * classes.count() // _ROWS)
+    linked = ranked.repartitionByRange(ranges, "key", "rank").drop("rank").mapInArrow(_neighbours(radius, total), "a long, b long")
+    return linked.unionByName(same).distinct()
+
+
+def least_shared(n: np.ndarray, threshold: float) -> np.ndarray:
+    """Shingles that sets of ``n`` share at least with any set of the similarity."""
+    return np.ceil(threshold * n - 1e-9).astype(np.int64)
+
+
+def _prefixes(shingle: int, threshold: float, last: np.ndarray):
+    """The first shingles of each text in the order of all shingles: those of ``last`` come last, the most frequent at the end."""
+    by_value = np.argsort(last)
+    values = last[by_value]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(2).cast(pa.binary()).to_pylist()
-            sets = [np.unique(shingle_hashes(t or b"", shingle)).tobytes() for t in texts]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sets, pa.binary())], names=["doc_id", "component", "shingles"])
+            prefixes: list[bytes] = []
+            for _, s in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), shingle):
+                rank = np.zeros(len(s.values), np.int64)
+                if len(values):
+                    at = np.minimum(np.searchsorted(values, s.values), len(values) - 1)
+                    rank = np.where(values[at] == s.values, len(values) - by_value[at], 0)
+                ordered = s.values[np.lexsort((s.values, rank, s.owner))]
+                size = s.sizes
+                upto = s.bounds[:-1] + np.where(size > 0, size - least_shared(size, threshold) + 1, 0)
+                prefixes += [ordered[i:j].tobytes() for i, j in zip(s.bounds[:-1].tolist(), upto.tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prefixes, pa.binary())], names=["doc_id", "prefix"])
 
     return run
 
 
-class Postings:
-    """Rows by shingle, for counts of shared shingles."""
-
-    def __init__(self, sets: list[np.ndarray]) -> None:
-        self.sizes = np.array([len(s) for s in sets], np.int64)
-        row = np.repeat(np.arange(len(sets)), self.sizes)
-        every = np.concatenate([*sets, np.empty(0, np.uint64)])
-        order = np.argsort(every, kind="stable")
-        self.row = row[order]
-        self.shingle, first = np.unique(every[order], return_index=True)
-        self.bounds = np.r_[first, len(every)]
-
-    def near(self, one: np.ndarray, threshold: float) -> np.ndarray:
-        """Rows with at least this similarity to ``one``."""
-        if not len(one):
-            return np.flatnonzero(self.sizes == 0)
-        if not len(self.shingle):
-            return np.empty(0, np.int64)
-        at = np.minimum(np.searchsorted(self.shingle, one), len(self.shingle) - 1)
-        at = at[self.shingle[at] == one]
-        shared = np.zeros(len(self.sizes), np.int64)
-        step = max(1, _AT_ONCE // len(self.sizes))
-        for cut in range(0, len(at), step):
-            part = at[cut : cut + step]
-            start, size = self.bounds[part], self.bounds[part + 1] - self.bounds[part]
-            places = np.repeat(start - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
-            shared += np.bincount(self.row[places], minlength=len(shared))
-        return np.flatnonzero((shared > 0) & (shared >= threshold * (self.sizes + len(one) - shared)))
-
-
-def _unpacked(table: pa.Table) -> tuple[np.ndarray, list[np.ndarray]]:
-    return table["doc_id"].to_numpy(), [np.frombuffer(s, np.uint64) for s in table["shingles"].to_pylist()]
-
-
-def _within(threshold: float):
-    def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("doc_id")
-        ids, sets = _unpacked(table)
-        postings, forest = Postings(sets), Forest(len(ids))
-        for i, s in enumerate(sets):
-            others = postings.near(s, threshold)
-            forest.add(np.full(len(others), i), others)
-        return table.append_column("group", pa.array(ids[forest.label])).select(["doc_id", "group", "component", "row", "shingles"])
+_ENTRY = np.dtype([("key", "<i8"), ("doc", "<i8"), ("group", "<i8"), ("n", "<i4"), ("place", "<i4"), ("side", "<i4")])
 
-    return run
 
+def _repeated(times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each place its number of copies: the place and the number of each copy."""
+    at = np.repeat(np.arange(len(times)), times)
+    return at, np.arange(len(at)) - np.repeat(np.cumsum(times) - times, times)
 
-def _against(threshold: float):
-    """Links of each row to every group of the block that it is near to."""
-
-    def run(rest: pa.Table, block: pa.Table) -> pa.Table:
-        ids, sets = _unpacked(rest)
-        _, known = _unpacked(block)
-        group = block["group"].to_numpy()
-        lead = np.flatnonzero(block["doc_id"].to_numpy() == group)
-        leaders, every = Postings([known[i] for i in lead]), Postings(known)
-        one_group = len(np.unique(group)) == 1
-        a, b = [], []
-        for i, s in enumerate(sets):
-            hit = lead[leaders.near(s, threshold)] if one_group else every.near(s, threshold)
-            if one_group and not len(hit):
-                hit = every.near(s, threshold)
-            near = np.unique(group[hit])
-            a.append(np.full(len(near), ids[i]))
-            b.append(near)
-        none = np.empty(0, np.int64)
-        return pa.table({"a": np.concatenate([none, *a]), "b": np.concatenate([none, *b])})
 
-    return run
+def _cells(e: np.ndarray, nth: np.ndarray, main: np.ndarray, main_blocks: np.ndarray, other_blocks: np.ndarray) -> np.ndarray:
+    """Entries of hot shingles under the keys of their cells. Those of the shingle's largest group are never compared with one
+    another: each lies in one block. The others go to all these blocks, and to the cells of their own block with the rest."""
+    digest = mixed(e["doc"].view(np.uint64), 5)
+    inside = e["group"] == main[nth]
+    low, out = [], []
 
+    def put(at: np.ndarray, side: np.ndarray | int, cell: np.ndarray) -> None:
+        part = e[at]
+        part["side"] = side
+        part["key"] = mixed(mixed(part["key"].view(np.uint64), 11) + cell.astype(np.uint64), 13).view(np.int64)
+        out.append(part)
 
-def candidate_groups(docs: DataFrame, shingle: int = 5, radius: int = 18, total: int = 30, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, component: the ids that have a candidate, with the smallest id of their candidate group."""
-    pairs = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    prints = checkpointed(pairs.mapInArrow(_prints(shingle), ", ".join(["doc_id long", *(f"{w} long" for w in _WORDS)])))
-    nodes = prints.groupBy(*_WORDS).agg(F.min("doc_id").alias("node"))
+    low = np.flatnonzero(inside)
+    put(low, 0, digest[low] % main_blocks[nth[low]].astype(np.uint64))
+    rest = np.flatnonzero(~inside)
+    at, block = _repeated(main_blocks[nth[rest]])
+    put(rest[at], 1, block)
+    at, block = _repeated(other_blocks[nth[rest]])
+    own = (digest[rest[at]] % other_blocks[nth[rest[at]]].astype(np.uint64)).astype(np.int64)
+    cell = (1 << 48) + (np.minimum(own, block) << 24) + np.maximum(own, block)
+    put(rest[at], np.where(own == block, 2, own < block), cell)
+    return np.concatenate(out)
 
-    def byte(i: int):
-        return F.shiftrightunsigned(_WORDS[i // 8], 8 * (i % 8)).bitwiseAND(F.lit(255))
 
-    bytes_ = nodes.select("node", "f0", "f1", *(byte(i).alias(f"b{i}") for i in range(32)))
-    tops = [F.xxhash64(F.lit(32 * s + i), f"b{i}", f"b{(i + s) % 32}") for s in _STEPS for i in range(32)]
-    keyed = bytes_.select(F.explode(F.array(*tops)).alias("key"), "f0", "node", "f1")
-    links = keyed.repartition(shuffle_width(docs.sparkSession), "key").mapInArrow(_link(radius, total), "a long, b long")
-    found = components(links)
-    named = nodes.join(found, "node", "left").select(*_WORDS, F.coalesce("component", "node").alias("component"))
-    members = checkpointed(prints.join(named, _WORDS).select("doc_id", "component").distinct())
-    shared = members.groupBy("component").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("component")
-    return members.join(shared, "component", "left_semi").select("doc_id", "component")
+def _entries(columns: list[pa.Array]) -> np.ndarray:
+    """The entries of doc_id, n, prefix, group."""
+    prefixes = [np.frombuffer(p, np.int64) for p in columns[2].to_pylist()]
+    row, place = _repeated(np.array([len(p) for p in prefixes], np.int64))
+    e = np.zeros(len(row), _ENTRY)
+    e["key"], e["place"], e["side"] = np.concatenate([np.empty(0, np.int64), *prefixes]), place, 2
+    for name, i in (("doc", 0), ("n", 1), ("group", 3)):
+        e[name] = columns[i].to_numpy(zero_copy_only=False)[row]
+    return e
 
 
-def _frequent(shingle: int):
-    """Shingles that are frequent in a task among one row of ``_ONE_OF``: they set the order of the prefixes, not the result."""
+def _found_in(values: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Whether each of ``x`` is among the ascending values, and its place."""
+    if not len(values):
+        return np.zeros(len(x), bool), np.zeros(len(x), np.int64)
+    at = np.minimum(np.searchsorted(values, x), len(values) - 1)
+    return values[at] == x, at
+
+
+def _hot_counts(values: np.ndarray):
+    """key, group, n: entries of the shingles that may be hot, by group, summed within a batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(0).cast(pa.binary()).to_pylist()[::_ONE_OF]
-            every = np.concatenate([np.empty(0, np.uint64), *(np.unique(shingle_hashes(t or b"", shingle)) for t in texts)])
-            values, n = np.unique(every, return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(values[n > 3].view(np.int64)), pa.array(n[n > 3])], names=["value", "n"])
+            e = _entries(batch.columns)
+            e = e[_found_in(values, e["key"])[0]]
+            both, n = np.unique(np.column_stack([e["key"], e["group"]]), axis=0, return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1])), pa.array(n)], names=["key", "group", "n"])
 
     return run
 
 
-def least_shared(n: np.ndarray, threshold: float) -> np.ndarray:
-    """Shingles that sets of ``n`` share at least with any set of the similarity."""
-    return np.ceil(threshold * n - 1e-9).astype(np.int64)
-
-
-def _signatures(shingle: int, threshold: float, last: np.ndarray):
-    """The prefix of each text's shingles, their number, and the parity of the shingles in each of 256 classes."""
-    by_value = np.argsort(last)
-    values = last[by_value]
-
-    def one(text: bytes) -> tuple[int, bytes, np.ndarray]:
-        s = np.unique(shingle_hashes(text, shingle))
-        rank = np.zeros(len(s), np.int64)
-        if len(values):
-            at = np.minimum(np.searchsorted(values, s), len(values) - 1)
-            rank = np.where(values[at] == s, len(values) - by_value[at], 0)
-        first = s[np.lexsort((s, rank))][: len(s) - int(least_shared(np.array(len(s)), threshold)) + 1]
-        parity = np.bincount((_mixed(s, 9) >> np.uint64(56)).astype(np.int64), minlength=256) & 1
-        return len(s), first.tobytes(), np.packbits(parity.astype(np.uint8)).view(np.int64)
+def _postings(buckets: int, hot: tuple[np.ndarray, ...]):
+    """doc_id, n, prefix, group to packed entries by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = [one(t or b"") for t in batch.column(1).cast(pa.binary()).to_pylist()]
-            bits = np.array([r[2] for r in rows], np.int64).reshape(-1, len(_BITS))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary()), *(pa.array(np.ascontiguousarray(bits[:, k])) for k in range(len(_BITS)))], names=["doc_id", "n", "prefix", *_BITS])
+            e = _entries(batch.columns)
+            is_hot, nth = _found_in(hot[0], e["key"])
+            if is_hot.any():
+                e = np.concatenate([e[~is_hot], _cells(e[is_hot], nth[is_hot], *hot[1:])])
+            bucket = (mixed(e["key"].view(np.uint64), 17) % np.uint64(buckets)).astype(np.int64)
+            order = np.argsort(bucket, kind="stable")
+            bucket, e = bucket[order], e[order]
+            first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]][: len(e)])
+            packed = [e[i:j].tobytes() for i, j in zip(first.tolist(), [*first[1:].tolist(), len(e)], strict=False)]
+            yield pa.RecordBatch.from_arrays([pa.array(bucket[first]), pa.array(packed, pa.binary())], names=["bucket", "entries"])
 
     return run
 
 
-def _postings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """doc_id, n, prefix, group to a row for each shingle of the prefix, with its place."""
-    for batch in batches:
-        prefixes = [np.frombuffer(p, np.int64) for p in batch.column(2).to_pylist()]
-        size = np.array([len(p) for p in prefixes], np.int64)
-        row = np.repeat(np.arange(len(size)), size)
-        place = np.arange(len(row)) - np.repeat(np.cumsum(size) - size, size)
-        doc, n, group = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1, 3))
-        cols = [np.concatenate([np.empty(0, np.int64), *prefixes]), doc[row], group[row], n[row].astype(np.int32), place.astype(np.int32)]
-        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["key", "doc_id", "group", "n", "place"])
-
-
 def _sharing(threshold: float):
-    """Pairs of rows of different groups that share a shingle of both prefixes and whose sizes and places allow the similarity."""
+    """Pairs of different groups that share a shingle of both prefixes and whose sizes and places allow the similarity."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cols = [[np.empty(0, np.int64)] for _ in range(5)]
-        for batch in batches:
-            for c, x in zip(cols, batch.columns, strict=True):
-                c.append(x.to_numpy(zero_copy_only=False))
-        key, doc, group, n, place = (np.concatenate(c) for c in cols)
-        order = np.lexsort((n, key))
-        key, doc, group, n, place = (c[order] for c in (key, doc, group, n, place))
+        e = np.concatenate([np.empty(0, _ENTRY), *(np.frombuffer(b, _ENTRY) for batch in batches for b in batch.column(1).to_pylist())])
+        e = e[np.lexsort((e["n"], e["key"]))]
+        again = e["key"][1:] == e["key"][:-1]
+        e = e[(np.r_[again, False] | np.r_[False, again])[: len(e)]]
+        key, doc, group, n, place, side = (e[c].astype(np.int64) for c in e.dtype.names)
         found, held = [], 0
 
         def batch_of(pairs: list[np.ndarray]) -> pa.RecordBatch:
             ab = np.unique(np.concatenate(pairs), axis=0)
             return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(ab[:, k])) for k in range(2)], names=["a", "b"])
 
-        live, shift = np.arange(len(key)), 1
+        # The first shingle that a pair shares leaves enough behind it only if it lies in the inner prefix of the smaller set.
+        live, shift = np.flatnonzero(place <= n - np.ceil(2 * threshold / (1 + threshold) * n - 1e-9)), 1
         while len(live := live[live + shift < len(key)]):
             other = live + shift
             ok = (key[live] == key[other]) & (n[live] >= least_shared(n[other], threshold))  # sizes rise, so no later row fits either
             live, other = live[ok], other[ok]
             least = np.ceil(threshold / (1 + threshold) * (n[live] + n[other]) - 1e-9)
             ok = (group[live] != group[other]) & (np.minimum(n[live] - place[live], n[other] - place[other]) >= least)
+            ok &= (side[live] == 2) | (side[live] != side[other])
             i, j = doc[live[ok]], doc[other[ok]]
-            found.append(np.column_stack([np.minimum(i, j), np.maximum(i, j)]))
-            held += len(i)
+            if len(i):
+                found.append(np.column_stack([np.minimum(i, j), np.maximum(i, j)]))
+                held += len(i)
             if held > _AT_ONCE:
                 yield batch_of(found)
                 found, held = [], 0
@@ -259,86 +276,128 @@ def _sharing(threshold: float):
     return run
 
 
-def _similar(shingle: int, threshold: float):
+def _grouped(df: DataFrame, groups: DataFrame, id_col: str, name: str) -> DataFrame:
+    """With the group of an id, which is the id itself where it has none."""
+    named = groups.select(F.col("node").alias(id_col), F.col("component").alias(name))
+    return df.join(named, id_col, "left").withColumn(name, F.coalesce(name, id_col))
+
+
+def prefix_candidates(texts: DataFrame, classes: DataFrame, frequent: DataFrame, groups: DataFrame, scratch: Scratch, shingle: int, threshold: float) -> DataFrame:
+    """a, b: every pair of classes of different groups that may have the similarity."""
+    spark = texts.sparkSession
+    last = np.array([r.value for r in frequent.orderBy(F.desc("n"), "value").limit(_LAST).select("value").collect()], np.int64)
+    prefixes = texts.mapInArrow(_prefixes(shingle, threshold, last.view(np.uint64)), "doc_id long, prefix binary")
+    sized = _grouped(classes.filter("n > 0").select("doc_id", "n"), groups, "doc_id", "group")
+    rows = scratch.table(prefixes.join(sized, "doc_id").select("doc_id", "n", "prefix", "group"))
+    parts = rows.mapInArrow(_hot_counts(np.sort(last)), "key long, group long, n long").groupBy("key", "group").agg(F.sum("n").alias("n"))
+    whole = parts.groupBy("key").agg(F.sum("n").alias("all"), F.max_by("group", F.struct("n", "group")).alias("main"), F.max("n").alias("most")).filter(F.col("all") > _HOT)
+    hot = np.array([(r.key, r.main, -(-r.most // _HOT), -(-(r["all"] - r.most) // _HOT)) for r in whole.collect()], np.int64).reshape(-1, 4)
+    hot = hot[np.argsort(hot[:, 0])]
+    total = rows.agg(F.sum(F.length("prefix") / 8)).first()[0] or 0
+    tasks = max(shuffle_width(spark), int(total) // _POSTINGS)
+    packed = rows.mapInArrow(_postings(8 * tasks, tuple(np.ascontiguousarray(hot[:, i]) for i in range(4))), "bucket long, entries binary")
+    return packed.repartition(tasks, "bucket").mapInArrow(_sharing(threshold), "a long, b long").distinct()
+
+
+def may_be_similar(pairs: DataFrame, classes: DataFrame, threshold: float) -> DataFrame:
+    """a, b, differ: the pairs whose sizes and parities allow the similarity; ``differ`` counts the classes of odd difference."""
+    side = lambda name: classes.select(F.col("doc_id").alias(name), F.col("n").alias(f"{name}n"), *(F.col(x).alias(f"{name}{x}") for x in _BITS))
+    differ = sum((F.bit_count(F.col(f"a{x}").bitwiseXOR(F.col(f"b{x}"))) for x in _BITS), F.lit(0))
+    both = F.col("an") + F.col("bn")
+    ok = (differ <= F.lit((1 - threshold) / (1 + threshold)) * both + F.lit(1e-6)) & (F.least("an", "bn") >= F.lit(threshold) * F.greatest("an", "bn") - F.lit(1e-6))
+    return pairs.join(side("a"), "a").join(side("b"), "b").filter(ok).select("a", "b", differ.alias("differ"))
+
+
+def _sets(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x, y = ([np.unique(shingle_hashes(t or b"", shingle)) for t in batch.column(i).cast(pa.binary()).to_pylist()] for i in (2, 3))
-            shared = np.array([len(np.intersect1d(p, q, assume_unique=True)) for p, q in zip(x, y, strict=True)], np.int64)
-            every = np.array([len(p) + len(q) for p, q in zip(x, y, strict=True)], np.int64) - shared
-            yield batch.select(["a", "b"]).filter(pa.array(shared >= threshold * every))
+            at = 0
+            for _, s in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), shingle):
+                lists = pa.ListArray.from_arrays(pa.array(s.bounds.astype(np.int32)), pa.array(s.values.view(np.int64)))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(s)), lists], names=["doc_id", "shingles"])
+                at += len(s)
 
     return run
 
 
-def missed_links(docs: DataFrame, found: DataFrame, shingle: int = 5, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """a, b: every pair of ids of different groups whose texts have the similarity; ``found``: node, component of the groups.
+def shingle_lists(texts: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
+    """doc_id, shingles of the texts that occur in pairs."""
+    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    return texts.join(ids, "doc_id", "left_semi").mapInArrow(_sets(shingle), "doc_id long, shingles array<long>")
 
-    Candidates share a shingle of both prefixes. Of them those go whose shingles differ in more classes by parity than the
-    similarity allows, which no near copy does; the texts decide on the rest.
-    """
-    texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    counted = texts.select("text").mapInArrow(_frequent(shingle), "value long, n long").groupBy("value").agg(F.sum("n").alias("n"))
-    last = np.array([r.value for r in counted.orderBy(F.desc("n"), "value").limit(_LAST).select("value").collect()], np.int64).view(np.uint64)
-    kinds = ", ".join(["doc_id long, n long, prefix binary", *(f"{x} long" for x in _BITS)])
-    signed = checkpointed(texts.mapInArrow(_signatures(shingle, threshold, last), kinds).filter("n > 0"))
-    grouped = signed.select("doc_id", "n", "prefix").join(found.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
-    postings = grouped.select("doc_id", "n", "prefix", F.coalesce("component", "doc_id").alias("group")).mapInArrow(_postings, "key long, doc_id long, group long, n int, place int")
-    pairs = postings.repartition(shuffle_width(docs.sparkSession), "key").mapInArrow(_sharing(threshold), "a long, b long").distinct()
-    side = lambda name: signed.select(F.col("doc_id").alias(name), F.col("n").alias(f"{name}n"), *(F.col(x).alias(f"{name}{x}") for x in _BITS))
-    differ = sum((F.bit_count(F.col(f"a{x}").bitwiseXOR(F.col(f"b{x}"))) for x in _BITS), F.lit(0))
-    close = pairs.join(side("a"), "a").join(side("b"), "b").filter(differ <= F.lit((1 - threshold) / (1 + threshold)) * (F.col("an") + F.col("bn")) + F.lit(1e-6))
-    close = checkpointed(close.select("a", "b").distinct())
-    both = close.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("x")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("y")), "b")
-    return checkpointed(both.select("a", "b", "x", "y").mapInArrow(_similar(shingle, threshold), "a long, b long"))
 
+def similar(pairs: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
+    """The pairs whose sets have the similarity."""
+    side = lambda name: lists.select(F.col("doc_id").alias(name), F.col("shingles").alias(f"{name}s"))
+    shared = F.size(F.array_intersect("as", "bs"))
+    return pairs.join(side("a"), "a").join(side("b"), "b").filter(shared >= F.lit(threshold) * (F.size("as") + F.size("bs") - shared)).select("a", "b")
 
-def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, block: int = 256, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, group: ids of documents with a near copy of a smaller id, and the smallest id of their group."""
-    members = candidate_groups(docs, shingle, id_col=id_col, text_col=text_col)
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    sets = texts.join(members, "doc_id").select("doc_id", "component", "text").mapInArrow(_sets(shingle), "doc_id long, component long, shingles binary")
-    rows = checkpointed(sets.withColumn("row", F.xxhash64("doc_id", "shingles")))
-    first = Window.partitionBy("component").orderBy("doc_id", "row")
-    place, by = ["component", "row"], ["component", "portion"]
-    pool, links, heads = rows, [], []
-    while True:
-        head = pool.withColumn("nth", F.row_number().over(first)).filter(F.col("nth") <= block).drop("nth")
-        head = checkpointed(head.groupBy("component").applyInArrow(_within(threshold), "doc_id long, group long, component long, row long, shingles binary"))
-        links.append(head.select(F.col("doc_id").alias("a"), F.col("group").alias("b")).filter("a <> b"))
-        size = head.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
-        going = (size if heads else size.filter(F.col("n") >= block)).select("component")
-        heads.append(head.select(*place))
-        rest = rows.join(going, "component", "left_semi").join(reduce(DataFrame.unionByName, heads), place, "left_anti")
-        portions = checkpointed(rest.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / _PORTION).cast("int").alias("portions")))
-        if portions.isEmpty():
-            break
-        dealt = rest.join(portions, "component").withColumn("portion", F.pmod("row", "portions").cast("int")).drop("portions")
-        copied = head.join(portions, "component").withColumn("portion", F.explode(F.sequence(F.lit(0), F.col("portions") - 1))).drop("portions")
-        links.append(checkpointed(dealt.groupBy(*by).cogroup(copied.groupBy(*by)).applyInArrow(_against(threshold), "a long, b long").filter("a <> b")))
-        known = components(reduce(DataFrame.unionByName, links)).select(F.col("node").alias("doc_id"), F.col("component").alias("group"))
-        labelled = rest.select(*place, "doc_id").join(known, "doc_id", "left").select(*place, F.coalesce("group", "doc_id").alias("group"))
-        counts = labelled.groupBy("component", "group").agg(F.count(F.lit(1)).alias("n"))
-        largest = counts.groupBy("component").agg(F.max_by("group", F.struct("n", "group")).alias("largest"))
-        outside = checkpointed(labelled.join(largest, "component").filter("group <> largest").select(*place))
-        if outside.isEmpty():
+
+def _as_links(groups: DataFrame) -> DataFrame:
+    return groups.filter("node <> component").select(F.col("node").alias("a"), F.col("component").alias("b"))
+
+
+def _merged(scratch: Scratch, groups: DataFrame, links: DataFrame) -> DataFrame:
+    return scratch.table(components(_as_links(groups).unionByName(links.select("a", "b")), scratch=scratch))
+
+
+def _between(pairs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The pairs that lie between different groups."""
+    named = _grouped(_grouped(pairs, groups, "a", "ga"), groups, "b", "gb")
+    return named.filter("ga <> gb").select("a", "b", "differ")
+
+
+def _closest(pairs: DataFrame) -> DataFrame:
+    """The closest pair of each id, as either side."""
+    sides = [pairs.groupBy(F.col(x).alias("x")).agg(F.min(F.struct("differ", "a", "b")).alias("p")) for x in ("a", "b")]
+    return sides[0].unionByName(sides[1]).select("p.a", "p.b", "p.differ").distinct()
+
+
+def joined_groups(scratch: Scratch, groups: DataFrame, pairs: DataFrame, lists: DataFrame, threshold: float, rounds: int = 2) -> DataFrame:
+    """The groups after all similar pairs among the candidates have been joined; few pairs need no rounds."""
+    for _ in range(rounds):
+        if pairs.count() <= _FEW_PAIRS:
             break
-        pool = rows.join(outside, place, "left_semi")
-    found = components(reduce(DataFrame.unionByName, links))
-    missed = missed_links(docs, found, shingle, threshold, id_col, text_col)
-    found = components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(missed))
-    return found.filter("node <> component").select(F.col("node").alias("doc_id"), F.col("component").alias("group"))
+        tried = scratch.table(_closest(pairs))
+        groups = _merged(scratch, groups, similar(tried, lists, threshold))
+        pairs = scratch.table(_between(pairs.join(tried, ["a", "b"], "left_anti"), groups))
+    return _merged(scratch, groups, similar(pairs, lists, threshold))
 
 
-def keep_one_of_group(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, block: int = 256, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, group: ids of documents with a near copy of a smaller id, and the smallest id of their group."""
+    scratch = Scratch(docs.sparkSession)
+    texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    signed = scratch.table(texts.mapInArrow(_signatures(shingle), _SIGNED))
+    frequent = signed.filter("frequent IS NOT NULL").select(F.explode(F.arrays_zip("frequent", "times")).alias("f")).groupBy(F.col("f.frequent").alias("value")).agg(F.sum("f.times").alias("n"))
+    kinds = ["n", *_SUMS]
+    classes = scratch.table(signed.groupBy(*kinds).agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in (*_PRINTS, *_BITS))))
+    groups = docs.sparkSession.createDataFrame([], "node long, component long")
+    near = scratch.table(may_be_similar(simhash_candidates(classes), classes, threshold))
+    lists = scratch.table(shingle_lists(texts, near, shingle))
+    groups = joined_groups(scratch, groups, near, lists, threshold, rounds=0)
+    left = scratch.table(may_be_similar(prefix_candidates(texts, classes, frequent, groups, scratch, shingle, threshold), classes, threshold))
+    if not left.isEmpty():
+        scratch.drop(lists)
+        lists = scratch.table(shingle_lists(texts, left, shingle))
+        groups = joined_groups(scratch, groups, left, lists, threshold)
+    members = signed.select("doc_id", *kinds).join(classes.select(*kinds, F.col("doc_id").alias("node")), kinds)
+    found = checkpointed(_grouped(members.select("doc_id", "node"), groups, "node", "group").filter("doc_id <> group").select("doc_id", "group").distinct())
+    scratch.close()
+    return found
+
+
+def keep_one_of_group(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows that stay: one of each group of near-duplicates, the one with the smallest id, and every row with a null id."""
-    known = docs.filter(F.col(id_col).isNotNull()).withColumn("__digest", content_digest(text_col))
-    several = known.groupBy(id_col).agg(F.min("__digest").alias("low"), F.max("__digest").alias("high")).filter("low <> high")
+    digest, number = unused(docs.columns, "digest"), unused(docs.columns, "number")
+    known = docs.filter(F.col(id_col).isNotNull()).withColumn(digest, content_digest(text_col))
+    several = known.groupBy(id_col).agg(F.min(digest).alias("low"), F.max(digest).alias("high")).filter("low <> high")
     if several.isEmpty():
-        gone = copy_groups(docs, shingle, threshold, block, id_col, text_col).select(F.col("doc_id").alias(id_col))
+        gone = copy_groups(docs, shingle, threshold, id_col, text_col).select(F.col("doc_id").alias(id_col))
         stay = known.join(gone, id_col, "left_anti")
     else:  # numbers in the order of (id, digest) take the place of the ids
-        numbers = checkpointed(known.select(id_col, "__digest").distinct().orderBy(id_col, "__digest").withColumn("__number", F.monotonically_increasing_id()))
-        numbered = known.join(numbers, [id_col, "__digest"])
-        gone = copy_groups(numbered, shingle, threshold, block, "__number", text_col).select(F.col("doc_id").alias("__number"))
-        stay = numbered.join(gone, "__number", "left_anti")
-    return one_row_per_text(stay, id_col, text_col, "__digest").select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))
+        numbers = checkpointed(known.select(id_col, digest).distinct().orderBy(id_col, digest).withColumn(number, F.monotonically_increasing_id()))
+        numbered = known.join(numbers, [id_col, digest])
+        gone = copy_groups(numbered, shingle, threshold, number, text_col).select(F.col("doc_id").alias(number))
+        stay = numbered.join(gone, number, "left_anti")
+    return one_row_per_text(stay, id_col, text_col, digest).select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))

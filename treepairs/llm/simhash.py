@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import SEPARATORS, checkpointed, shuffle_width
-from .components import components
+from .components import Forest, components
 
 _RUN = re.compile(SEPARATORS.encode())
 _LEAF, _UPPER = 16, 16
@@ -130,65 +130,40 @@ def group_links(fp: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.nd
                     yield i[ok], j[ok]
 
 
-class Forest:
-    """Union of positions by smallest label, many links at once."""
+def pairs_below(key: np.ndarray, fp: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of places within the radius under one top node; the rows are sorted by top node and Gray rank."""
+    bounds = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True]) if len(key) else np.zeros(1, int)
+    sizes = np.diff(bounds)
+    small = np.repeat(sizes <= 2 * _LEAF, sizes)
+    for shift in range(1, 2 * _LEAF):  # small groups, all at once
+        i = np.flatnonzero(small[:-shift] & (key[shift:] == key[:-shift]))
+        if not len(i):
+            break
+        i = i[np.bitwise_count(fp[i] ^ fp[i + shift]) <= radius]
+        yield i, i + shift
+    for g in np.flatnonzero(sizes > 2 * _LEAF):
+        for i, j in group_links(fp[bounds[g] : bounds[g + 1]], radius):
+            yield bounds[g] + i, bounds[g] + j
 
-    def __init__(self, n: int) -> None:
-        self.label = np.arange(n)
 
-    def add(self, a: np.ndarray, b: np.ndarray) -> None:
-        label = self.label
-        while len(a):
-            la, lb = label[a], label[b]
-            open_ = la != lb
-            if not open_.any():
-                break
-            a, b, la, lb = a[open_], b[open_], la[open_], lb[open_]
-            low = np.minimum(la, lb)
-            np.minimum.at(label, la, low)
-            np.minimum.at(label, lb, low)
-            while not np.array_equal(nxt := label[label], label):
-                label[:] = nxt
-
-
-def _link(radius: int, total: int | None = None):
-    """Forests of the links below each top node. With ``total`` a fourth column holds a second fingerprint, and the
-    differing bits of both together must not exceed it."""
+def _link(radius: int):
+    """Spanning forests of the links below each top node."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cols = [[], [], []] + ([[]] if total is not None else [])
+        cols = [[], [], []]
         for batch in batches:
             for c, x in zip(cols, batch.columns, strict=True):
                 c.append(x.to_numpy(zero_copy_only=False))
         if not cols[0]:
             return
-        key, fp, node, *second = (np.concatenate(c) for c in cols)
+        key, fp, node = (np.concatenate(c) for c in cols)
         fp = fp.view(np.uint64)
         order = np.lexsort((gray_rank(fp), key))
         key, fp, node = key[order], fp[order], node[order]
-        second = second[0].view(np.uint64)[order] if second else None
-
-        def both_near(i: np.ndarray, j: np.ndarray) -> np.ndarray:
-            differ = np.bitwise_count(fp[i] ^ fp[j])
-            ok = differ <= radius
-            return ok if second is None else ok & (differ + np.bitwise_count(second[i] ^ second[j]) <= total)
-
         nodes, at = np.unique(node, return_inverse=True)
         forest = Forest(len(nodes))
-        bounds = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True])
-        sizes = np.diff(bounds)
-        small = np.repeat(sizes <= 2 * _LEAF, sizes)
-        for shift in range(1, 2 * _LEAF):  # small groups, all at once
-            i = np.flatnonzero(small[:-shift] & (key[shift:] == key[:-shift]))
-            if not len(i):
-                break
-            ok = both_near(i, i + shift)
-            forest.add(at[i[ok]], at[i[ok] + shift])
-        for g in np.flatnonzero(sizes > 2 * _LEAF):
-            part = slice(bounds[g], bounds[g + 1])
-            for i, j in group_links(fp[part], radius):
-                ok = both_near(bounds[g] + i, bounds[g] + j)
-                forest.add(at[part][i[ok]], at[part][j[ok]])
+        for i, j in pairs_below(key, fp, radius):
+            forest.add(at[i], at[j])
         moved = forest.label != np.arange(len(nodes))
         yield pa.RecordBatch.from_arrays([pa.array(nodes[moved]), pa.array(nodes[forest.label[moved]])], names=["a", "b"])
 
