@@ -6,17 +6,20 @@ any, down to single characters. A document's score is the softmax over languages
 the square root of its number of words.
 
 The classifier is fitted on a bounded sample: the ``max_docs`` training documents with the smallest digests of their ids.
-The counts over the sample are made in Spark and cut to the ``max_words`` and ``max_grams`` most frequent entries per
+The counts over the sample are made in Spark and cut to at most the ``max_words`` and ``max_grams`` most frequent entries per
 language (and order), so the broadcast model has a fixed bound for each language.
 
 Defined cases: null text, or one without a letter, is ``und`` with score 0; rows with a null language are not learnt
-from; with nothing to learn from every text is ``und``; ties go to the language that sorts first; repeated rows are
-predicted alike; other columns are ignored by :func:`identify` and kept by :func:`keep_identified`.
+from, nor are rows with a null id, which are predicted and not held out; with nothing to learn from every text is ``und``;
+ties go to the language that sorts first; rows that repeat an id or a text are predicted alike, each by its text; very long
+texts are scored whole; other columns are ignored by :func:`identify` and kept by :func:`keep_identified`.
 """
 
 from __future__ import annotations
 
 import re
+import sys
+import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 
@@ -30,7 +33,22 @@ from .common import checkpointed
 MAX_DOCS, MAX_WORDS, MAX_GRAMS, ORDERS = 20_000, 20_000, 5_000, (4, 3, 2, 1)
 #: Words whose scores a worker keeps.
 KEPT_WORDS = 400_000
-_WORD = re.compile(r"[^\W\d_]+")
+
+
+def _numerals() -> str:
+    """Word characters that are no letters and no decimal digits (fractions, superscripts, number letters), as ranges."""
+    codes = [c for c in range(sys.maxunicode + 1) if chr(c).isalnum() and unicodedata.category(chr(c))[0] != "L"]
+    runs: list[list[int]] = []
+    for c in codes:
+        if runs and runs[-1][1] == c - 1:
+            runs[-1][1] = c
+        else:
+            runs.append([c, c])
+    return "".join(f"{chr(a)}-{chr(b)}" for a, b in runs)
+
+
+#: A run of letters, of Unicode categories L only.
+_WORD = re.compile(rf"[^\W\d_{_numerals()}]+")
 
 
 def grams(word: str, order: int) -> list[str]:
@@ -76,12 +94,16 @@ def fit(docs: DataFrame, max_docs: int = MAX_DOCS, max_words: int = MAX_WORDS, m
     sums = sample.mapInArrow(_counts, "lang string, kind int, item string, n long").groupBy("lang", "kind", "item").agg(F.sum("n").alias("n"))
     sums = checkpointed(sums)
     total = {(r.lang, r.kind): r.total for r in sums.groupBy("lang", "kind").agg(F.sum("n").alias("total")).collect()}
-    # The rank is cut before the shuffle too, and again by salted parts, so no task sees all items of a language.
+    # The cut is found on the numbers of items by frequency, a small table, so no task ranks all items of a language: an item
+    # stays if at most ``most`` items are as frequent as it, so items of one frequency stay or go together.
     most = F.when(F.col("kind") == 0, max_words).otherwise(max_grams)
-    first = Window.partitionBy("lang", "kind", F.pmod(F.xxhash64("item"), F.lit(16))).orderBy(F.desc("n"), "item")
-    last = Window.partitionBy("lang", "kind").orderBy(F.desc("n"), "item")
-    ranked = sums.withColumn("nth", F.row_number().over(first)).filter(F.col("nth") <= max(max_words, max_grams)).filter(F.col("nth") <= most)
-    rows = ranked.withColumn("nth", F.row_number().over(last)).filter(F.col("nth") <= most).drop("nth").collect()
+    upto = F.sum("items").over(Window.partitionBy("lang", "kind").orderBy(F.desc("n")))
+    cuts = sums.groupBy("lang", "kind", "n").agg(F.count(F.lit(1)).alias("items")).withColumn("upto", upto).filter(F.col("upto") <= most).groupBy("lang", "kind").agg(F.min("n").alias("least"))
+    least = {(r.lang, r.kind): r.least for r in cuts.collect()}
+    kept = F.lit(False)
+    for (lang, kind), n in sorted(least.items()):
+        kept = kept | ((F.col("lang") == lang) & (F.col("kind") == kind) & (F.col("n") >= n))
+    rows = sums.filter(kept).collect()
     langs = sorted({r.lang for r in rows})
     place = {lang: i for i, lang in enumerate(langs)}
     counts: dict[tuple[int, str], np.ndarray] = {}

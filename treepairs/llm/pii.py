@@ -1,18 +1,21 @@
 """Personal data: detection and keyed surrogates, with DataFrame functions only.
 
 Entities are e-mail addresses, telephone numbers, payment cards, IBANs, social security numbers, IPv4 addresses, secrets
-(mixed tokens of 20 characters or more) and persons named after a title. A surrogate is a function of a key, the kind
-and the entity's canonical form, so mentions of one entity agree however they are written (coreference); it is written
-in the format of the mention: digits for digits, letters for letters in their case, octets of as many digits, the
-country prefix, mail domain and title kept, a check digit where the original had a right one, names with an ending of the
-title's gender in the script of the name.
+(mixed tokens of 20 characters or more) and persons: names after a title, in any case, or after a cue word, and from there
+on every mention of the same names in the same text, with or without a title. A surrogate is a function of a key, the kind
+and the entity's canonical form, so mentions of one entity agree however they are written (coreference); a person's names are
+entities of their own, so "Mr Smith", "John Smith" and "SMITH" agree. It is written in the format of the mention: digits for
+digits, letters for letters of the same script in their case, octets of as many digits, the country prefix, mail domain and
+title kept, check digits where the original had right ones (cards and IBANs), given names with an ending of the gender that
+most titles before them have.
 
 Distinctness: surrogates of all entities of the corpus are compared with each other and with all real entities; whoever
 collides takes the next attempt, until no collision is left. From the third attempt on, formats that may be exhausted
 (short mail names, short octets, names) get longer.
 
-Defined cases: null and empty texts are returned as they are with no entities; rows that repeat an id or have a null one
-are treated alike; an empty table gives an empty result; other columns are kept by :func:`replace_entities`, where
+Defined cases: null and empty texts are returned as they are with no entities; entities are looked up by text, so rows that
+repeat an id or have a null one do not meet; rows that repeat a text get the same one; very long texts are handled whole, in
+one row; an empty table gives an empty result; other columns are kept by :func:`replace_entities`, whatever their names, and
 ``text`` and ``n_entities`` are set.
 """
 
@@ -21,29 +24,34 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, unused
 
-# Titles before a person's name, by gender.
+# Titles before a person's name, by gender, and words before a person's full name.
 FEMALE_TITLES = ["Mrs", "Ms", "Miss", "Frau", "Señora", "Sra", "Madame", "Mme", "Госпожа", "Κυρία"]
 MALE_TITLES = ["Mr", "Herr", "Señor", "Sr", "Monsieur", "Господин", "Κύριος"]
+TITLES = ["Dr", "Prof", "Professor"]
+CUES = ["met", "contact", "named", "dear", "name is", "name:", "signed", "regards,", "sincerely,", "attn:", "heißt", "s'appelle", "se llama"]
 
 MAIL = r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}][\p{L}\p{N}._%+-]*+@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)+"
-NAME = r"(?<!\p{L})(?:" + "|".join(FEMALE_TITLES + MALE_TITLES) + r")\.? \p{Lu}\p{Ll}++(?: \p{Lu}\p{Ll}++)?"
+_TITLE = "(?iu:" + "|".join(sorted(FEMALE_TITLES + MALE_TITLES + TITLES, key=len, reverse=True)) + ")"
+_CUE = r"(?<=(?<!\p{L})(?iu:" + "|".join(CUES) + ") )"
+_WORD = r"(?:\p{Lu}\p{Ll}++|\p{Lu}{2,}+)(?!\p{L})"
+NAME = rf"(?<!\p{{L}}){_TITLE}\.? {_WORD}(?: {_WORD})?"
+CUED = rf"{_CUE}(?!{_TITLE}\b){_WORD} {_WORD}"
 PHONE = r"(?<![0-9+])\+[0-9]{1,3}[ .-]?\(?[0-9]{1,4}\)?(?:[ .-]?[0-9]{2,4}){2,4}(?![0-9])|(?<![0-9])\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9])|(?<![0-9-])[0-9]{3}-[0-9]{3}-[0-9]{4}(?![0-9-])"
 _OCTET = r"(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
 ADDRESS = rf"(?<![0-9.]){_OCTET}(?:\.{_OCTET}){{3}}(?![0-9]|\.[0-9])"
 SOCIAL = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
-IBAN = r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}(?![0-9A-Za-z])"
+IBAN = r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}(?:[A-Z0-9]{11,30}|(?: [A-Z0-9]{4}){2,7}(?: [A-Z0-9]{1,3})?)(?![0-9A-Za-z])"
 CARD = r"(?<![0-9A-Za-z])[0-9]{4}(?:[ -]?[0-9]{4}){2}[ -]?[0-9]{1,7}(?![0-9A-Za-z])"
 SECRET = r"(?<![0-9A-Za-z_-])(?=[A-Za-z_-]*[0-9])(?=[0-9_-]*[A-Za-z])[0-9A-Za-z_-]{20,}(?![0-9A-Za-z_-])"
-ENTITY = "|".join([MAIL, NAME, PHONE, ADDRESS, SOCIAL, IBAN, CARD, SECRET])
-#: What every entity has: a digit, an at sign or a title. Most texts have none, and this is quick to see.
-HINT = "[0-9@]|[" + "".join(sorted({t[0] for t in FEMALE_TITLES + MALE_TITLES})) + "](?:" + "|".join(sorted({t[1:] for t in FEMALE_TITLES + MALE_TITLES}, key=len, reverse=True)) + r")\.? \p{Lu}"
-ROUNDS = 12
+ENTITY = "|".join([MAIL, NAME, CUED, PHONE, ADDRESS, SOCIAL, IBAN, CARD, SECRET])
+#: What every entity has: a digit, an at sign, a title or a cue. Most texts have none, and this is quick to see.
+HINT = f"[0-9@]|{_TITLE}\\.? \\p{{Lu}}|(?iu:" + "|".join(CUES) + r") \p{Lu}"
 
 
 def kind_of(entity: Column) -> Column:
-    whole = [("email", MAIL), ("name", NAME), ("phone", PHONE), ("ip", ADDRESS), ("ssn", SOCIAL), ("iban", IBAN), ("card", CARD)]
+    whole = [("email", MAIL), ("name", r"[\p{L}.' ]+"), ("phone", PHONE), ("ip", ADDRESS), ("ssn", SOCIAL), ("iban", IBAN), ("card", CARD)]
     out = F.lit("secret")
     for name, pattern in reversed(whole):
         out = F.when(entity.rlike(f"^(?:{pattern})$"), name).otherwise(out)
@@ -51,8 +59,14 @@ def kind_of(entity: Column) -> Column:
 
 
 def canonical(kind: Column, entity: Column) -> Column:
+    """The form in which mentions agree; a telephone number without a country prefix is one of the North American plan."""
     digits = F.regexp_replace(entity, "[^0-9]", "")
-    return F.when(kind.isin("phone", "card", "ssn"), digits).when(kind == "name", F.regexp_replace(entity, r"\.? ", " ")).otherwise(F.lower(entity))
+    return F.when((kind == "phone") & ~entity.startswith("+"), F.concat(F.lit("1"), digits)).when(kind.isin("phone", "card", "ssn"), digits).when(kind == "iban", F.lower(F.replace(entity, F.lit(" "), F.lit("")))).otherwise(F.lower(entity))
+
+
+def _names(entity: Column) -> Column:
+    """The names of a person's mention, without the title."""
+    return F.split(F.regexp_replace(entity, rf"^{_TITLE}\.? ", ""), " ")
 
 
 def _byte(stream: Column, i: Column) -> Column:
@@ -65,11 +79,12 @@ def _letter(first: str, count: int, byte: Column) -> Column:
 
 
 def _spelled(stream: Column, text: Column, hexadecimal: Column) -> Column:
-    """Digits for digits and letters for letters, a-f for hexadecimal tokens."""
+    """Digits for digits and letters for letters of their script, a-f for hexadecimal tokens."""
 
     def one(c: Column, i: Column) -> Column:
         b = _byte(stream, i)
-        return F.when(c.rlike("[0-9]"), _letter("0", 10, b)).when(c.rlike(r"\p{L}"), F.when(hexadecimal, _letter("a", 6, b)).otherwise(_letter("a", 26, b))).otherwise(c)
+        letter = F.when(c.rlike(r"\p{IsCyrillic}"), _letter("а", 32, b)).when(c.rlike(r"\p{IsGreek}"), _letter("α", 17, b)).when(hexadecimal, _letter("a", 6, b)).otherwise(_letter("a", 26, b))
+        return F.when(c.rlike("[0-9]"), _letter("0", 10, b)).when(c.rlike(r"\p{L}"), letter).otherwise(c)
 
     return F.array_join(F.transform(F.split(text, ""), one), "")
 
@@ -93,15 +108,13 @@ def _syllables(stream: Column, at: int, count: Column, script: Column) -> Column
     return F.array_join(F.transform(F.sequence(F.lit(1), count), one), "")
 
 
-def _person(stream: Column, canon: Column, attempt: Column) -> Column:
-    title = F.split_part(canon, F.lit(" "), F.lit(1))
-    female = title.isin(FEMALE_TITLES)
-    script = F.when(canon.rlike(r"\p{IsCyrillic}\p{Ll}*$"), "cyrillic").when(canon.rlike(r"\p{IsGreek}\p{Ll}*$"), "greek").otherwise("latin")
-    count = F.lit(3) + attempt.cast("int")
-    ending = F.when(script == "cyrillic", F.when(female, "на").otherwise("ан")).when(script == "greek", F.when(female, "να").otherwise("νος")).otherwise(F.when(female, "na").otherwise("no"))
-    first, last = F.concat(F.initcap(_syllables(stream, 0, count, script)), ending), F.initcap(_syllables(stream, 20, count, script))
-    two = F.size(F.split(canon, " ")) > 2
-    return F.concat_ws(" ", title, first, F.when(two, last))
+def _person(stream: Column, canon: Column, gender: Column, attempt: Column) -> Column:
+    """One name in lower case, with an ending of the gender (f, m or none) in the script of the name."""
+    script = F.when(canon.rlike(r"\p{IsCyrillic}"), "cyrillic").when(canon.rlike(r"\p{IsGreek}"), "greek").otherwise("latin")
+    endings = {"cyrillic": ("на", "ан", "ов"), "greek": ("να", "νος", "ης"), "latin": ("na", "no", "er")}
+    by_gender = lambda e: F.when(gender == "f", e[0]).when(gender == "m", e[1]).otherwise(e[2])
+    ending = F.when(script == "cyrillic", by_gender(endings["cyrillic"])).when(script == "greek", by_gender(endings["greek"])).otherwise(by_gender(endings["latin"]))
+    return F.concat(_syllables(stream, 0, F.lit(3) + attempt.cast("int"), script), ending)
 
 
 def _luhn(number: Column) -> Column:
@@ -111,7 +124,25 @@ def _luhn(number: Column) -> Column:
     return F.concat(head, digit[0].cast("string"))
 
 
-def candidate(key: str, kind: Column, canon: Column, attempt: Column) -> Column:
+def _remainder(number: Column) -> Column:
+    """The IBAN remainder of a lower-case number, letters read as 10 to 35."""
+
+    def step(r: Column, c: Column) -> Column:
+        value = F.ascii(c) - F.when(c.rlike("[a-z]"), F.lit(87)).otherwise(F.lit(48))
+        return F.pmod(r * F.when(value > 9, F.lit(100)).otherwise(F.lit(10)) + value, F.lit(97))
+
+    turned = F.concat(F.substring(number, F.lit(5), F.length(number)), F.substring(number, F.lit(1), F.lit(4)))
+    return F.aggregate(F.split(turned, ""), F.lit(0), step)
+
+
+def _iban(canon: Column, spelled: Column) -> Column:
+    """Country, check digits and account; the digits are made right where the original had right ones."""
+    country, account = F.substring(canon, F.lit(1), F.lit(2)), F.substring(spelled, F.lit(5), F.length(spelled))
+    digits = F.lpad((98 - _remainder(F.concat(country, F.lit("00"), account))).cast("string"), 2, "0")
+    return F.when(_remainder(canon) == 1, F.concat(country, digits, account)).otherwise(spelled)
+
+
+def candidate(key: str, kind: Column, canon: Column, gender: Column, attempt: Column) -> Column:
     """The surrogate's canonical form."""
     seed = F.concat_ws("\x1f", F.lit(key), kind, canon, attempt.cast("string"))
     stream = F.concat(F.sha2(seed, 256), F.sha2(F.concat(F.lit("+"), seed), 256))
@@ -122,60 +153,90 @@ def candidate(key: str, kind: Column, canon: Column, attempt: Column) -> Column:
     kept = F.when(kind == "phone", F.greatest(F.length(canon) - 10, F.lit(0))).when(kind == "iban", F.lit(2)).otherwise(F.lit(0))
     spelled = F.concat(F.substring(canon, F.lit(1), kept), _spelled(stream, F.substring(canon, kept + 1, F.length(canon)), canon.rlike("^[0-9a-f]+$")))
     card = F.when(F.call_function("luhn_check", canon), _luhn(spelled)).otherwise(spelled)
-    return F.when(kind == "email", mail).when(kind == "ip", _octets(stream, canon, attempt >= 3)).when(kind == "name", _person(stream, canon, attempt)).when(kind == "card", card).otherwise(spelled)
+    return F.when(kind == "email", mail).when(kind == "ip", _octets(stream, canon, attempt >= 3)).when(kind == "name", _person(stream, canon, gender, attempt)).when(kind == "card", card).when(kind == "iban", _iban(canon, spelled)).otherwise(spelled)
+
+
+def _cased(name: Column, like: Column) -> Column:
+    return F.when((F.length(like) > 1) & (F.upper(like) == like), F.upper(name)).otherwise(F.initcap(name))
 
 
 def written(kind: Column, entity: Column, surrogate: Column) -> Column:
     """The surrogate in the format of the mention."""
+    count = F.length(F.regexp_replace(entity, "[^0-9]", ""))
+    spare = F.length(surrogate) - count  # digits of a country prefix that the mention leaves out
 
     def digit(c: Column, i: Column) -> Column:
         nth = F.length(F.regexp_replace(F.substring(entity, F.lit(1), i + 1), "[^0-9]", ""))
-        return F.when(c.rlike("[0-9]"), F.substring(surrogate, nth, F.lit(1))).otherwise(c)
+        return F.when(c.rlike("[0-9]"), F.substring(surrogate, nth + spare, F.lit(1))).otherwise(c)
 
     def letter(c: Column, i: Column) -> Column:
-        s = F.substring(surrogate, i + 1, F.lit(1))
-        return F.when(c.rlike(r"\p{Lu}"), F.upper(s)).otherwise(s)
+        nth = F.length(F.replace(F.substring(entity, F.lit(1), i + 1), F.lit(" "), F.lit("")))
+        s = F.substring(surrogate, nth, F.lit(1))
+        return F.when(c == " ", c).when(c.rlike(r"\p{Lu}"), F.upper(s)).otherwise(s)
 
     chars = F.split(entity, "")
     upper = F.when((kind == "email") & (F.upper(entity) == entity), F.upper(surrogate)).otherwise(surrogate)
-    titled = F.when(entity.contains(". "), F.regexp_replace(surrogate, "^([^ ]+) ", "$1. ")).otherwise(surrogate)
     return (
         F.when(kind.isin("phone", "card", "ssn"), F.array_join(F.transform(chars, digit), ""))
         .when(kind.isin("iban", "secret"), F.array_join(F.transform(chars, letter), ""))
-        .when(kind == "name", titled)
         .otherwise(upper)
     )
 
 
 def surrogates(entities: DataFrame, key: str) -> DataFrame:
-    """kind, canon, surrogate for distinct (kind, canon), without collisions among them or with a real entity."""
+    """kind, canon, surrogate for distinct (kind, canon) with a gender, without collisions among them or with a real entity."""
     real = entities.select("kind", F.col("canon").alias("surrogate")).withColumn("real", F.lit(True))
     state = checkpointed(entities.withColumn("attempt", F.lit(0)))
-    for _ in range(ROUNDS):
-        named = state.withColumn("surrogate", candidate(key, F.col("kind"), F.col("canon"), F.col("attempt")))
+    while True:
+        named = state.withColumn("surrogate", candidate(key, F.col("kind"), F.col("canon"), F.col("gender"), F.col("attempt")))
         order = Window.partitionBy("kind", "surrogate").orderBy("attempt", "canon")
         judged = named.withColumn("nth", F.row_number().over(order)).join(real, ["kind", "surrogate"], "left")
-        judged = checkpointed(judged.select("kind", "canon", "attempt", "surrogate", ((F.col("nth") > 1) | F.col("real").isNotNull()).alias("clash")))
+        judged = checkpointed(judged.select("kind", "canon", "gender", "attempt", "surrogate", ((F.col("nth") > 1) | F.col("real").isNotNull()).alias("clash")))
         if judged.filter("clash").isEmpty():
             return judged.select("kind", "canon", "surrogate")
-        state = judged.select("kind", "canon", (F.col("attempt") + F.col("clash").cast("int")).alias("attempt"))
-    raise RuntimeError(f"surrogates still collide after {ROUNDS} attempts")
+        state = judged.select("kind", "canon", "gender", (F.col("attempt") + F.col("clash").cast("int")).alias("attempt"))
+
+
+def _pattern(text: Column) -> Column:
+    """The entities of a text: the names that it gives with a title or a cue are looked for without one as well."""
+    people = F.array_distinct(F.flatten(F.transform(F.regexp_extract_all(text, F.lit(f"{NAME}|{CUED}"), F.lit(0)), _names)))
+    people = F.filter(people, lambda n: F.length(n) > 1)
+    each = F.array_join(F.transform(people, lambda n: F.concat(F.lower(n), F.lit("|"), F.upper(n), F.lit("|"), F.initcap(n))), "|")
+    one = F.concat(F.lit("(?<!\\p{L})(?:"), each, F.lit(")(?!\\p{L})"))
+    # A name in lower case alone may be a word like another: it counts only as a capitalised or upper-case word.
+    mention = F.concat(F.lit("(?=\\p{Lu})"), one, F.lit("(?: (?=\\p{Lu})"), one, F.lit(")*"))
+    return F.when(F.size(people) > 0, F.concat(F.lit(f"{MAIL}|{NAME}|"), mention, F.lit("|" + ENTITY))).otherwise(F.lit(ENTITY))
+
+
+def _gender(entity: Column) -> Column:
+    title = lambda names: entity.rlike("^(?iu:" + "|".join(names) + r")\.? ")
+    return F.when(title(FEMALE_TITLES), "f").when(title(MALE_TITLES), "m")
 
 
-def replace_entities(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def replace_entities(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
     """All columns, with the entities of the text replaced, and ``n_entities``."""
     text = F.col(text_col)
     some = F.coalesce(text.rlike(HINT) & text.rlike(ENTITY), F.lit(False))
-    found = docs.filter(some).select(F.col(id_col).alias("__id"), F.explode(F.array_distinct(F.regexp_extract_all(text, F.lit(ENTITY), F.lit(0)))).alias("entity"))
-    kind = kind_of(F.col("entity"))
-    found = found.withColumn("kind", kind).withColumn("canon", canonical(F.col("kind"), F.col("entity")))
-    found = checkpointed(found)
-    table = surrogates(found.select("kind", "canon").distinct(), key)
-    mapped = found.join(table, ["kind", "canon"]).select("__id", F.struct("entity", written(F.col("kind"), F.col("entity"), F.col("surrogate")).alias("to")).alias("pair"))
-    maps = mapped.groupBy("__id").agg(F.map_from_entries(F.collect_set("pair")).alias("__map"))
-    cut = F.split(text, ENTITY)
-    named = F.transform(F.regexp_extract_all(text, F.lit(ENTITY), F.lit(0)), lambda e: F.element_at(F.col("__map"), e))
-    woven = F.array_join(F.flatten(F.zip_with(cut, named, lambda c, e: F.array(c, F.coalesce(e, F.lit(""))))), "")
-    touched = docs.filter(some).join(maps, F.col(id_col).eqNullSafe(F.col("__id"))).withColumn("n_entities", F.size(named).cast("long")).withColumn(text_col, woven)
+    digest, pattern, table = (unused([*docs.columns, "n_entities"], n) for n in ("digest", "pattern", "surrogates"))
+    ours = docs.filter(some).withColumn(digest, F.sha2(text.cast("binary"), 256)).withColumn(pattern, _pattern(text))
+    matches = F.regexp_extract_all(text, F.col(pattern), F.lit(0))
+    found = ours.select(F.col(digest).alias("digest"), F.explode(F.array_distinct(matches)).alias("entity")).withColumn("kind", kind_of(F.col("entity")))
+    # A person's names are entities of their own; the first of two takes the gender of the title.
+    names = F.when(F.col("kind") == "name", _names(F.col("entity"))).otherwise(F.array("entity"))
+    parts = found.select("digest", "kind", F.col("entity").alias("whole"), F.size(names).alias("of"), F.posexplode(names).alias("nth", "entity"))
+    parts = parts.withColumn("canon", canonical(F.col("kind"), F.col("entity")))
+    parts = parts.withColumn("vote", F.when((F.col("kind") == "name") & (F.col("nth") == 0) & (F.col("of") > 1), _gender(F.col("whole"))))
+    parts = checkpointed(parts.select("digest", "kind", "entity", "canon", "vote"))
+    votes = F.count_if(F.col("vote") == "f") - F.count_if(F.col("vote") == "m")
+    entities = parts.groupBy("kind", "canon").agg(votes.alias("v"), F.count("vote").alias("cast")).select("kind", "canon", F.when(F.col("cast") == 0, "").when(F.col("v") > 0, "f").otherwise("m").alias("gender"))
+    known = surrogates(entities, key)
+    form = F.when(F.col("kind") == "name", _cased(F.col("surrogate"), F.col("entity"))).otherwise(written(F.col("kind"), F.col("entity"), F.col("surrogate")))
+    mapped = parts.select("digest", "kind", "entity", "canon").distinct().join(known, ["kind", "canon"]).select("digest", F.struct("entity", form.alias("to")).alias("pair"))
+    maps = mapped.groupBy(F.col("digest").alias(digest)).agg(F.map_from_entries(F.collect_set("pair")).alias(table))
+    lookup = lambda e: F.coalesce(F.element_at(F.col(table), e), e)
+    person = lambda e: F.concat(F.regexp_extract(e, rf"^(?:{_TITLE}\.? )?", 0), F.array_join(F.transform(_names(e), lookup), " "))
+    named = F.transform(matches, lambda e: F.when(F.map_contains_key(F.col(table), e), F.element_at(F.col(table), e)).otherwise(person(e)))
+    woven = F.array_join(F.flatten(F.zip_with(F.split(text, F.col(pattern)), named, lambda c, e: F.array(c, F.coalesce(e, F.lit(""))))), "")
+    touched = ours.join(maps, digest).withColumn("n_entities", F.size(matches).cast("long")).withColumn(text_col, woven)
     rest = docs.filter(~some).withColumn("n_entities", F.lit(0).cast("long"))
-    return touched.select(*rest.columns).unionByName(rest)
+    return touched.select(*[F.col(f"`{c}`") for c in rest.columns]).unionByName(rest)
