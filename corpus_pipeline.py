@@ -1,4 +1,7 @@
-"""From documents to token ids: five stages, each written as Parquet and read again before the next."""
+"""From documents to token ids: five stages, each written as Parquet and read again before the next.
+
+What a stage wrote is removed once the next one is written; the last table stays in the shared folder.
+"""
 
 from __future__ import annotations
 
@@ -7,6 +10,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from treepairs.llm import bpe_chunks, decontaminate, exact_dedup, langid, near_copies
+from treepairs.llm.common import remove_folder, shared_folder
 from treepairs.llm.queries import BYTE_VOCABULARY, vocabulary
 
 
@@ -46,9 +50,11 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages over documents; what is between them lies in the shared folder of spark.checkpoint.dir."""
-    folder = f"{spark.conf.get('spark.checkpoint.dir', None) or '/tmp/checkpoints'}/pipeline-{uuid.uuid4()}"
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4()}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            remove_folder(spark, f"{folder}/{k - 1}")
     return docs
