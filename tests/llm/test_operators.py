@@ -313,6 +313,50 @@ def test_token_counts_and_bpe(spark):
         assert r.ids_sha256 == hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest()
 
 
+def test_bpe_chunks_are_encoded_once():
+    encoder = bpe_chunks.ChunkEncoder(vocabulary(BYTE_VOCABULARY))
+    rnd = random.Random(8)
+    word = lambda: "".join(rnd.choice("abcdefghij") for _ in range(rnd.randint(2, 9)))
+    passage = " ".join(word() for _ in range(800))
+    texts = [" ".join(word() for _ in range(rnd.randint(0, 30))) + " " + passage + " " + word() for _ in range(40)]
+    called = []
+    inner = encoder._encode_new
+    encoder._encode_new = lambda pieces: called.append(len(pieces)) or inner(pieces)
+    got = [encoder.encode([t])[0] for t in texts]
+    plain = encoder.library
+    for t, (ids, back) in zip(texts, got, strict=True):
+        want = plain.encode(t, add_special_tokens=False).ids
+        assert np.frombuffer(ids, "<u4").tolist() == want and back == plain.decode(want, skip_special_tokens=False)
+    assert encoder.reused > 0.7 * encoder.seen and max(called[1:]) < 400 < called[0]
+    assert all(c is None or c.ids is not None and not c.units for c in encoder.chunks.values())
+
+
+def test_token_batches_are_balanced_by_bytes():
+    rnd = random.Random(2)
+    pieces = ["é" * rnd.randint(1, 200) for _ in range(300)] + ["a" * 5000]
+    groups = list(token_counts.balanced(pieces, 4000))
+    sizes = [sum(len(p.encode()) for p in g) for g in groups]
+    assert sorted(p for g in groups for p in g) == sorted(pieces) and sizes[0] == 5000
+    assert max(sizes[1:]) <= 4000 and min(sizes[1:]) > 0.8 * max(sizes[1:]) and list(token_counts.balanced([], 10)) == []
+
+
+def test_decontamination_candidates_come_from_the_index():
+    """Most similar windows are found by their fingerprints; those beyond the radius by the count of shingles."""
+    rnd = random.Random(6)
+    items = [(i, " ".join(f"w{rnd.randrange(5000)}" for _ in range(rnd.choice([12, 30, 60])))) for i in range(60)]
+    index, found, windows = decontaminate.Items(items), 0, 0
+    for i, text in items:
+        words = text.split()
+        words[-1] = "changed" if len(words) > 12 else words[-1]
+        around = [f"x{rnd.randrange(50)}" for _ in range(20)]
+        whole = index.matches(around + words + around)
+        near = decontaminate.Items.near
+        alone = {k for k, (_, p) in whole.items() if k in near(index, int(decontaminate._pack(decontaminate._signs(decontaminate._rolled(np.array([index.vocabulary.get(w, -1) for w in (around + words + around)[p : p + len(words)]]), 5)).sum(axis=0, keepdims=True))[0]))}
+        windows += len(whole)
+        found += len(alone)
+    assert windows >= 50 and found > 0.9 * windows
+
+
 def test_bpe_tables_may_start_anew():
     small = bpe_chunks.ChunkEncoder(vocabulary(BYTE_VOCABULARY), units=50, chunks=5)
     big = bpe_chunks.ChunkEncoder(vocabulary(BYTE_VOCABULARY))

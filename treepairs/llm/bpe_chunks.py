@@ -1,17 +1,18 @@
 """BPE encoding and decoding with reuse of content-defined chunks.
 
 A gear rolling hash over the UTF-8 bytes cuts a text where its low bits vanish, so equal passages of different documents
-are cut alike. Each chunk is split once into head, units of the body and tail, at the places where the pre-tokeniser
-certainly cuts (a single space between two characters that are not white space); what is kept for a chunk is this split.
-A chunk join is repaired by taking the tail on its left with the head on its right as one piece and splitting it anew. A
-chunk without a certain cut has no body and is passed on to the next join. Ids and decoded forms are kept for each unit, not
-for each chunk: units are what is encoded once. Their ends are certain cuts, so the ids agree with those of the whole text.
-
-Pieces are reused within a worker through bounded tables. A global chunk table would have to shuffle every text and its
-ids, more than the disk that the operator may use.
-
-Defined cases: null and empty texts have no ids and decode to the empty string; other columns are ignored; an empty table
-gives an empty result; repeated rows give repeated rows.
+are cut alike. A chunk is encoded once: its body, from the first to the last place at which the pre-tokeniser certainly cuts (a
+single space between two characters that are not white space), is kept with its ids and its decoded form, and with the head
+and the tail beside it. A chunk join is repaired by encoding the tail on its left with the head on its right anew; a chunk
+without a certain cut has no body and goes on into the next join, until a chunk with one is met. From there on the ids agree
+with those of the whole text, since a certain cut is an end of a token on either side.
+
+New bodies and joins are split into units at the certain cuts; units that are new to a worker are encoded together as one text
+and their ids parted where the ends of tokens agree with the ends of units. Chunks and units are kept in bounded tables of a
+worker. A global chunk table would have to shuffle every text and its ids, more than the disk that the operator may use.
+
+Defined cases: null and empty texts have no ids and decode to the empty string; rows that repeat an id or have a null one give
+a row each; very long texts are encoded whole; other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -26,12 +27,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 #: A chunk ends where this many low bits of the rolling hash are zero: 256 bytes on average.
 CUT_BITS = 8
 #: The rolling hash looks back over so many bytes.
 ROLL = 16
 #: Units and chunks that a worker keeps; the tables start anew beyond it.
-KEPT_UNITS, KEPT_CHUNKS = 600_000, 60_000
+KEPT_UNITS, KEPT_CHUNKS = 300_000, 60_000
 _KEPT_LENGTH = 200
 #: A piece that begins with a single space and ends without one stands apart from any other such piece.
 _APART = re.compile(r" \S(?:.*\S)?\Z", re.DOTALL)
@@ -65,6 +68,17 @@ def cuts(data: bytes, bits: int = CUT_BITS) -> np.ndarray:
     return ends[(raw[ends] & 0xC0) != 0x80]  # between characters only
 
 
+class Chunk:
+    """Head, units of the body and tail of a chunk; the body's ids and decoded form once it is encoded."""
+
+    __slots__ = ("decoded", "head", "ids", "tail", "units")
+
+    def __init__(self, head: str, units: list[str], tail: str) -> None:
+        self.head, self.units, self.tail = head, units, tail
+        self.ids: bytes | None = None
+        self.decoded = ""
+
+
 class ChunkEncoder:
     """Encodes texts as the library does for the whole text; keeps what it has encoded."""
 
@@ -86,37 +100,42 @@ class ChunkEncoder:
         self.most_units, self.most_chunks = units, chunks
         self.units: dict[str, bytes] = {}
         self.unlike: dict[str, str] = {}  # decoded forms that differ from their pieces
-        self.chunks: dict[str, tuple[str, tuple[str, ...], str] | None] = {}
+        self.chunks: dict[str, Chunk | None] = {}
+        self.seen = self.reused = 0  # chunks with a body, and those of them that were encoded before
 
-    def parts(self, chunk: str) -> tuple[str, tuple[str, ...], str] | None:
-        """Head, units of the body, tail; None without a certain cut. All but the head start with their space."""
-        found = self.chunks.get(chunk, 0)
+    def chunk(self, text: str) -> Chunk | None:
+        """The chunk from the table, or split and put there; None without a certain cut. All but the head start with their space."""
+        found = self.chunks.get(text, 0)
         if found == 0:
-            pieces = _CERTAIN.split(chunk)
-            found = None if len(pieces) == 1 else (pieces[0], tuple([" " + p for p in pieces[1:-1]]), " " + pieces[-1])
+            pieces = _CERTAIN.split(text)
+            found = None if len(pieces) == 1 else Chunk(pieces[0], [" " + p for p in pieces[1:-1]], " " + pieces[-1])
             if len(self.chunks) >= self.most_chunks:
                 self.chunks.clear()
-            self.chunks[chunk] = found
+            self.chunks[text] = found
+            self.seen += found is not None
+        elif found is not None:
+            self.seen += 1
+            self.reused += 1
         return found
 
-    def pieces(self, text: str) -> list[str]:
-        """The text as pieces that the library cuts anyway, joins between chunks repaired."""
+    def parts(self, text: str) -> list[str | Chunk]:
+        """The text as chunks, whose bodies count, and the units of the repaired joins between them."""
         if not text:
             return []
         data = text.encode()
         at, out, held = 0, [], ""
         for end in [*cuts(data).tolist(), len(data)]:
-            chunk = data[at:end].decode()
+            piece = data[at:end].decode()
             at = end
             # A cut may fall beside a space: the certain places at the join itself are found on the joined piece.
-            found = self.parts(chunk)
+            found = self.chunk(piece)
             if found is None:
-                held += chunk
+                held += piece
                 continue
-            joined = held + found[0]
+            joined = held + found.head
             out.extend(self._rejoin(joined) if " " in joined[1:] else [joined] if joined else [])
-            out.extend(found[1])
-            held = found[2]
+            out.append(found)
+            held = found.tail
         out.extend(self._rejoin(held))
         return out
 
@@ -157,20 +176,20 @@ class ChunkEncoder:
             self.units[piece] = raw[first:last]
             first = last
 
-    def encode(self, texts: list[str]) -> list[tuple[bytes, str]]:
-        """For each text its ids, 32-bit little-endian, and their decoded form."""
-        lists = [self.pieces(t) for t in texts]
-        new = set().union(*lists).difference(self.units)
+    def _encode_new(self, pieces: set[str]) -> list[str]:
+        """Put the ids of the pieces into the table; those that were new."""
+        new = pieces.difference(self.units)
         if len(self.units) + len(new) > self.most_units:
             self.units.clear()
             self.unlike.clear()
-            new = set().union(*lists)
+            new = pieces
         fresh = list(new)
         # Pieces that certainly stand apart are encoded as one text; the others one by one.
-        apart = [p for p in fresh if _APART.match(p)]
         block: list[str] = []
         size = 0
-        for piece in apart:
+        for piece in fresh:
+            if not _APART.match(piece):
+                continue
             block.append(piece)
             size += len(piece)
             if size >= BLOCK_CHARS:
@@ -179,11 +198,23 @@ class ChunkEncoder:
         if block:
             self._encode_block(block)
         self._encode_each([p for p in fresh if p not in self.units])
-        get = self.units.__getitem__
+        return fresh
+
+    def encode(self, texts: list[str]) -> list[tuple[bytes, str]]:
+        """For each text its ids, 32-bit little-endian, and their decoded form."""
+        lists = [self.parts(t) for t in texts]
+        open_ = {id(c): c for parts in lists for c in parts if type(c) is Chunk and c.ids is None}
+        wanted = {p for parts in lists for p in parts if type(p) is str}
+        fresh = self._encode_new(wanted.union(*(c.units for c in open_.values())))
+        ids, odd = self.units, self.unlike
+        for c in open_.values():
+            c.ids = b"".join([ids[u] for u in c.units])
+            c.decoded = "".join([odd.get(u, u) for u in c.units]) if odd else "".join(c.units)
+            c.units = []
         out = []
-        for text, pieces in zip(texts, lists, strict=True):
-            decoded = "".join([self.unlike.get(p, p) for p in pieces]) if self.unlike else text
-            out.append((b"".join(map(get, pieces)), decoded))
+        for parts in lists:
+            packed = b"".join([ids[p] if type(p) is str else p.ids for p in parts])
+            out.append((packed, "".join([odd.get(p, p) if type(p) is str else p.decoded for p in parts])))
         for piece in fresh:
             if len(piece) > _KEPT_LENGTH:
                 del self.units[piece]
@@ -214,9 +245,9 @@ def _pairs(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_tokens, ids, decoded."""
-    return _pairs(docs, id_col, text_col).mapInArrow(_encoded(path, False), "doc_id long, n_tokens long, ids array<int>, decoded string")
+    return _pairs(docs, id_col, text_col).mapInArrow(tidy(_encoded(path, False)), "doc_id long, n_tokens long, ids array<int>, decoded string")
 
 
 def encode_digest(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256, made in the worker that encodes."""
-    return _pairs(docs, id_col, text_col).mapInArrow(_encoded(path, True), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return _pairs(docs, id_col, text_col).mapInArrow(tidy(_encoded(path, True)), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -78,11 +79,37 @@ def unused(names: list[str], name: str) -> str:
     return name
 
 
+def tidy(run: Callable) -> Callable:
+    """The kernel, with memory given back to the system after each task: Python workers live on and would keep it."""
+
+    def wrapped(batches: Iterator) -> Iterator:
+        try:
+            yield from run(batches)
+        finally:
+            import ctypes
+
+            import pyarrow as pa
+
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim is not None:
+                trim(0)
+
+    return wrapped
+
+
 def content_digest(text_col: str) -> Column:
     """SHA-256 of the normalised text: a run of separators counts as one space, null as empty."""
     return F.sha2(F.regexp_replace(whole_text(text_col), SEPARATORS, " ").cast("binary"), 256)
 
 
+def repeats(known: DataFrame, id_col: str, digest: str) -> tuple[bool, bool]:
+    """Whether any id repeats, and whether one repeats with different texts."""
+    by_id = known.groupBy(id_col).agg(F.count(F.lit(1)).alias("rows"), (F.min(digest) != F.max(digest)).alias("differ")).filter("rows > 1")
+    found = by_id.agg(F.count(F.lit(1)), F.max("differ")).first()
+    return found[0] > 0, bool(found[1])
+
+
 def one_row_per_text(df: DataFrame, id_col: str, text_col: str, digest: str) -> DataFrame:
     """Of the rows that repeat an id and a normalised text keep the first by text and by the other columns as text, so that
     rows which tie are equal (but for maps)."""

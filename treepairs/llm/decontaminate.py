@@ -1,15 +1,17 @@
 """Benchmark decontamination: fingerprints of item-sized windows, found by multi-index blocks, verified exactly.
 
-Words are runs of letters and digits in lower case, shingles five words (an item of fewer words is one shingle). Texts are
-first scanned for shingles of the items: a window that is similar to an item at 0.8 or more shares shingles with it, so
-nothing is lost, and only stretches of a text around such shingles get windows. A text that is shorter than an item is its
-one window as a whole. Each window as long as an item gets a SimHash fingerprint; eight blocks of eight bits, each looked up with up to two flipped bits, give every item within 23
-differing bits. Candidates are then verified by the weighted Jaccard similarity of the shingles with their counts.
+Words are runs of letters and digits in lower case, shingles five words (an item of fewer words is one shingle). Windows as
+long as an item get a SimHash fingerprint: all windows that hold a shingle of an item of that size, since others share nothing
+with one. A text that is shorter than an item is its one window as a whole. Eight blocks of eight bits, each looked up with up
+to two flipped bits, give every item within 23 differing bits of a window. Candidates are then verified by the weighted
+Jaccard similarity of the shingles with their counts. Similar windows of short items can differ in more bits than that: an
+item of which a window holds 0.88 of the shingles is verified whatever the fingerprint, so no window of 0.8 or more is lost.
 
 The items are gathered in groups of at most ``group_bytes`` of text, the bound of each broadcast; further groups are
 further passes over the documents, so no document or item is left out.
 
-Defined cases: null and empty texts and items without words match nothing; rows that repeat an id give a row each; items
+Defined cases: null and empty texts and items without words match nothing; rows that repeat an id or have a null one give a
+row each; very long texts are searched whole; other columns are ignored by :func:`contaminated`; items
 that repeat a text are all reported; empty tables on either side give an empty result.
 """
 
@@ -25,6 +27,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 SHINGLE, SIMILARITY, BLOCKS, FLIPS = 5, 0.8, 8, 2
 RADIUS = BLOCKS * (FLIPS + 1) - 1
 #: Text of the benchmark that is broadcast at once.
@@ -118,6 +122,7 @@ class Items:
             if not len(hits):
                 continue
             starts: dict[int, set[int]] = defaultdict(set)  # windows by item size
+            sure: dict[tuple[int, int], set[int]] = defaultdict(set)  # items of a window that need no fingerprint
             cut: dict[int, float] = {}  # items longer than the text
             touched = {k for x in set(h[hits].tolist()) for k in self.by_shingle[length][x]}
             for k in touched:
@@ -128,11 +133,16 @@ class Items:
                         both = sum((Counter(h.tolist()) & self.weights[k]).values())
                         cut[k] = both / (len(h) + count - both)
                     continue
-                # A window of 0.8 or more holds 8/9 of the item's shingles, so it starts at most 1/9 before the first.
+                # Every window of the item's size that holds a shingle of the item gets a fingerprint.
                 own = np.array([p for p in hits.tolist() if int(h[p]) in self.weights[k]])
+                for p in own.tolist():
+                    starts[size].update(range(max(0, p - count + 1), min(p, len(words) - size) + 1))
+                # A window of 0.8 or more holds 8/9 of the item's shingles, so it starts at most 1/9 before the first: these
+                # windows are compared with the item wherever their fingerprints lie, so the radius loses nothing.
                 enough = np.searchsorted(own, own + count) - np.arange(len(own)) >= 0.88 * count
                 for p in own[enough].tolist():
-                    starts[size].update(range(max(0, p - count // 8), min(p, len(words) - size) + 1))
+                    for q in range(max(0, p - count // 8), min(p, len(words) - size) + 1):
+                        sure[q, size].add(k)
             out.update((k, (similarity, 0)) for k, similarity in cut.items() if similarity >= SIMILARITY)
             for size, wanted in starts.items():
                 count = size - length + 1
@@ -150,7 +160,7 @@ class Items:
                         np.cumsum(_signs(h[low:high]), axis=0, out=sums[1:])
                         prints = _pack(sums[g - low + count] - sums[g - low])
                         for p, fp in zip(g.tolist(), prints.tolist(), strict=True):
-                            for k in self.near(fp):
+                            for k in self.near(fp) | sure.get((p, size), set()):
                                 if self.sizes[k] == size and self.lengths[k] == length:
                                     window = Counter(h[p : p + count].tolist())
                                     both = sum((window & self.weights[k]).values())
@@ -193,7 +203,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, group_bytes: int = GROUP
     kinds = "doc_id long, item_id long, similarity double, first_word long"
     pairs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     share = docs.sparkSession.sparkContext.broadcast
-    found = [pairs.mapInArrow(_found(share(Items(g)), False, 1), kinds) for g in item_groups(benchmark, group_bytes)]
+    found = [pairs.mapInArrow(tidy(_found(share(Items(g)), False, 1)), kinds) for g in item_groups(benchmark, group_bytes)]
     return reduce(DataFrame.unionByName, found) if found else docs.sparkSession.createDataFrame([], kinds)
 
 
@@ -201,5 +211,5 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, group_bytes: int = GROUP_B
     """The rows without a match, with all their columns; no shuffle."""
     share = docs.sparkSession.sparkContext.broadcast
     for group in item_groups(benchmark, group_bytes):
-        docs = docs.mapInArrow(_found(share(Items(group)), True, docs.columns.index(text_col)), docs.schema)
+        docs = docs.mapInArrow(tidy(_found(share(Items(group)), True, docs.columns.index(text_col))), docs.schema)
     return docs

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SEPARATORS, content_digest, one_row_per_text, shuffle_width, unused
+from .common import SEPARATORS, content_digest, one_row_per_text, repeats, shuffle_width, tidy, unused
 
 _RUN = re.compile(SEPARATORS.encode())
 _HEAD = struct.Struct("<32sIIq")
@@ -212,9 +212,9 @@ def _grace(limit: int):
 def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket_bytes: int = BUCKET_BYTES) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256 (of the normalised text)."""
     pairs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    collapsed = pairs.mapInArrow(_collapse, "bucket long, digest binary, content binary, ids binary, nulls long")
+    collapsed = pairs.mapInArrow(tidy(_collapse), "bucket long, digest binary, content binary, ids binary, nulls long")
     dealt = collapsed.repartition(shuffle_width(docs.sparkSession), "bucket")
-    return dealt.mapInArrow(_grace(bucket_bytes), "doc_id long, keep_id long, group_size long, kept boolean, text_sha256 string")
+    return dealt.mapInArrow(tidy(_grace(bucket_bytes)), "doc_id long, keep_id long, group_size long, kept boolean, text_sha256 string")
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -222,5 +222,8 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     stays; rows that repeat an id with different texts are judged each by its text."""
     digest = unused(docs.columns, "digest")
     kept = exact_groups(docs, id_col, text_col).filter("kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias(id_col), F.col("text_sha256").alias(digest)).distinct()
-    stay = docs.filter(F.col(id_col).isNotNull()).withColumn(digest, content_digest(text_col)).join(kept, [id_col, digest], "left_semi")
-    return one_row_per_text(stay, id_col, text_col, digest).select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))
+    known = docs.filter(F.col(id_col).isNotNull()).withColumn(digest, content_digest(text_col))
+    stay = known.join(kept, [id_col, digest], "left_semi")
+    if repeats(known, id_col, digest)[0]:
+        stay = one_row_per_text(stay, id_col, text_col, digest)
+    return stay.select([F.col(f"`{c}`") for c in docs.columns]).unionByName(docs.filter(F.col(id_col).isNull()))

@@ -28,11 +28,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, tidy
 
 MAX_DOCS, MAX_WORDS, MAX_GRAMS, ORDERS = 20_000, 20_000, 5_000, (4, 3, 2, 1)
 #: Words whose scores a worker keeps.
-KEPT_WORDS = 400_000
+KEPT_WORDS = 150_000
 
 
 def _numerals() -> str:
@@ -91,7 +91,7 @@ def fit(docs: DataFrame, max_docs: int = MAX_DOCS, max_words: int = MAX_WORDS, m
     if edge is None:
         return {"langs": [], "logs": {}}
     sample = train.filter(digest <= F.lit(edge)).select(F.col(text_col), F.col(lang_col))
-    sums = sample.mapInArrow(_counts, "lang string, kind int, item string, n long").groupBy("lang", "kind", "item").agg(F.sum("n").alias("n"))
+    sums = sample.mapInArrow(tidy(_counts), "lang string, kind int, item string, n long").groupBy("lang", "kind", "item").agg(F.sum("n").alias("n"))
     sums = checkpointed(sums)
     total = {(r.lang, r.kind): r.total for r in sums.groupBy("lang", "kind").agg(F.sum("n").alias("total")).collect()}
     # The cut is found on the numbers of items by frequency, a small table, so no task ranks all items of a language: an item
@@ -181,10 +181,10 @@ def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **
     """doc_id, held_out, lang_pred, score; the model is fitted on the rows that are not held out."""
     shared = docs.sparkSession.sparkContext.broadcast(fit(docs, id_col=id_col, text_col=text_col, **bounds))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(held_out(id_col), F.lit(False)).alias("held_out"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(_predictor(shared, False, 2, 0.0), "doc_id long, held_out boolean, lang_pred string, score double")
+    return rows.mapInArrow(tidy(_predictor(shared, False, 2, 0.0)), "doc_id long, held_out boolean, lang_pred string, score double")
 
 
 def keep_identified(docs: DataFrame, least: float = 0.5, text_col: str = "text", **bounds) -> DataFrame:
     """The rows whose language is identified with a score of at least ``least``, with all their columns."""
     shared = docs.sparkSession.sparkContext.broadcast(fit(docs, text_col=text_col, **bounds))
-    return docs.mapInArrow(_predictor(shared, True, docs.columns.index(text_col), least), docs.schema)
+    return docs.mapInArrow(tidy(_predictor(shared, True, docs.columns.index(text_col), least)), docs.schema)

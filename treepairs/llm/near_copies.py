@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, checkpointed, content_digest, one_row_per_text, shuffle_width, unused
+from .common import Scratch, checkpointed, content_digest, one_row_per_text, repeats, shuffle_width, tidy, unused
 from .components import components
 from .shingles import mixed, shingle_sets
 from .simhash import gray_rank, pairs_below
@@ -40,22 +40,30 @@ _SIGNED = ", ".join(["doc_id long", "n long", *(f"{c} long" for c in (*_PRINTS,
 _BLOCKS = 8
 #: Rows of one top node that are compared at once.
 _NODE_ROWS = 4096
-#: Shingles that come last in the order of the prefixes: the most frequent ones, of those that some batch holds more than three times.
+#: Shingles that come last in the order of the prefixes: the most frequent ones, of those that some slice holds more than twice.
 _LAST = 1 << 18
 #: A shingle in the prefixes of more texts than this is compared in cells, of blocks of so many texts.
 _HOT = 4096
 #: Postings in one task, rows of fingerprints in one task, and pairs that are held at once.
 _POSTINGS, _ROWS, _AT_ONCE = 1 << 20, 1 << 20, 1 << 20
+#: Rows of an Arrow batch that are worked on at once.
+_SLICE = 2048
 #: Candidates that are tested all at once.
 _FEW_PAIRS = 1 << 14
 
 
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for at in range(0, batch.num_rows, _SLICE):
+            yield batch.slice(at, _SLICE)
+
+
 def _signatures(shingle: int):
-    """A row for each text: number of shingles, fingerprint, parities, sums that tell sets apart; the first row of a batch
-    carries the batch's frequent shingles."""
+    """A row for each text: number of shingles, fingerprint, parities, sums that tell sets apart; the first row of a slice
+    carries the slice's frequent shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             ids = batch.column(0)
             every = [np.empty(0, np.uint64)]
             rows = []
@@ -66,7 +74,7 @@ def _signatures(shingle: int):
             if not rows:
                 continue
             values, times = np.unique(np.concatenate(every), return_counts=True)
-            values, times = values[times > 3].view(np.int64), times[times > 3]
+            values, times = values[times > 2].view(np.int64), times[times > 2]
             lists = [pa.array([x, *[None] * (len(ids) - 1)], pa.list_(pa.int64())) for x in (values, times)]
             cols = [pa.array(np.ascontiguousarray(np.concatenate(c))) for c in zip(*rows, strict=True)]
             yield pa.RecordBatch.from_arrays([ids, *cols, *lists], names=["doc_id", "n", *_PRINTS, *_BITS, *_SUMS, "frequent", "times"])
@@ -122,7 +130,7 @@ def simhash_candidates(classes: DataFrame, radius: int = 18, total: int = 30) ->
     # The top bit decides first: a signed order of the ranks' upper halves is enough to part a node in Gray order.
     ranked = keyed.withColumn("rank", F.shiftrightunsigned(gray, 1))
     ranges = max(shuffle_width(classes.sparkSession), len(tops) * classes.count() // _ROWS)
-    linked = ranked.repartitionByRange(ranges, "key", "rank").drop("rank").mapInArrow(_neighbours(radius, total), "a long, b long")
+    linked = ranked.repartitionByRange(ranges, "key", "rank").drop("rank").mapInArrow(tidy(_neighbours(radius, total)), "a long, b long")
     return linked.unionByName(same).distinct()
 
 
@@ -137,7 +145,7 @@ def _prefixes(shingle: int, threshold: float, last: np.ndarray):
     values = last[by_value]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             prefixes: list[bytes] = []
             for _, s in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), shingle):
                 rank = np.zeros(len(s.values), np.int64)
@@ -210,7 +218,7 @@ def _hot_counts(values: np.ndarray):
     """key, group, n: entries of the shingles that may be hot, by group, summed within a batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             e = _entries(batch.columns)
             e = e[_found_in(values, e["key"])[0]]
             both, n = np.unique(np.column_stack([e["key"], e["group"]]), axis=0, return_counts=True)
@@ -223,7 +231,7 @@ def _postings(buckets: int, hot: tuple[np.ndarray, ...]):
     """doc_id, n, prefix, group to packed entries by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             e = _entries(batch.columns)
             is_hot, nth = _found_in(hot[0], e["key"])
             if is_hot.any():
@@ -286,17 +294,17 @@ def prefix_candidates(texts: DataFrame, classes: DataFrame, frequent: DataFrame,
     """a, b: every pair of classes of different groups that may have the similarity."""
     spark = texts.sparkSession
     last = np.array([r.value for r in frequent.orderBy(F.desc("n"), "value").limit(_LAST).select("value").collect()], np.int64)
-    prefixes = texts.mapInArrow(_prefixes(shingle, threshold, last.view(np.uint64)), "doc_id long, prefix binary")
+    prefixes = texts.mapInArrow(tidy(_prefixes(shingle, threshold, last.view(np.uint64))), "doc_id long, prefix binary")
     sized = _grouped(classes.filter("n > 0").select("doc_id", "n"), groups, "doc_id", "group")
     rows = scratch.table(prefixes.join(sized, "doc_id").select("doc_id", "n", "prefix", "group"))
-    parts = rows.mapInArrow(_hot_counts(np.sort(last)), "key long, group long, n long").groupBy("key", "group").agg(F.sum("n").alias("n"))
+    parts = rows.mapInArrow(tidy(_hot_counts(np.sort(last))), "key long, group long, n long").groupBy("key", "group").agg(F.sum("n").alias("n"))
     whole = parts.groupBy("key").agg(F.sum("n").alias("all"), F.max_by("group", F.struct("n", "group")).alias("main"), F.max("n").alias("most")).filter(F.col("all") > _HOT)
     hot = np.array([(r.key, r.main, -(-r.most // _HOT), -(-(r["all"] - r.most) // _HOT)) for r in whole.collect()], np.int64).reshape(-1, 4)
     hot = hot[np.argsort(hot[:, 0])]
     total = rows.agg(F.sum(F.length("prefix") / 8)).first()[0] or 0
     tasks = max(shuffle_width(spark), int(total) // _POSTINGS)
-    packed = rows.mapInArrow(_postings(8 * tasks, tuple(np.ascontiguousarray(hot[:, i]) for i in range(4))), "bucket long, entries binary")
-    return packed.repartition(tasks, "bucket").mapInArrow(_sharing(threshold), "a long, b long").distinct()
+    packed = rows.mapInArrow(tidy(_postings(8 * tasks, tuple(np.ascontiguousarray(hot[:, i]) for i in range(4)))), "bucket long, entries binary")
+    return packed.repartition(tasks, "bucket").mapInArrow(tidy(_sharing(threshold)), "a long, b long").distinct()
 
 
 def may_be_similar(pairs: DataFrame, classes: DataFrame, threshold: float) -> DataFrame:
@@ -310,7 +318,7 @@ def may_be_similar(pairs: DataFrame, classes: DataFrame, threshold: float) -> Da
 
 def _sets(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _slices(batches):
             at = 0
             for _, s in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), shingle):
                 lists = pa.ListArray.from_arrays(pa.array(s.bounds.astype(np.int32)), pa.array(s.values.view(np.int64)))
@@ -323,7 +331,7 @@ def _sets(shingle: int):
 def shingle_lists(texts: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
     """doc_id, shingles of the texts that occur in pairs."""
     ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    return texts.join(ids, "doc_id", "left_semi").mapInArrow(_sets(shingle), "doc_id long, shingles array<long>")
+    return texts.join(ids, "doc_id", "left_semi").mapInArrow(tidy(_sets(shingle)), "doc_id long, shingles array<long>")
 
 
 def similar(pairs: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
@@ -368,7 +376,7 @@ def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, id_co
     """doc_id, group: ids of documents with a near copy of a smaller id, and the smallest id of their group."""
     scratch = Scratch(docs.sparkSession)
     texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    signed = scratch.table(texts.mapInArrow(_signatures(shingle), _SIGNED))
+    signed = scratch.table(texts.mapInArrow(tidy(_signatures(shingle)), _SIGNED))
     frequent = signed.filter("frequent IS NOT NULL").select(F.explode(F.arrays_zip("frequent", "times")).alias("f")).groupBy(F.col("f.frequent").alias("value")).agg(F.sum("f.times").alias("n"))
     kinds = ["n", *_SUMS]
     classes = scratch.table(signed.groupBy(*kinds).agg(F.min("doc_id").alias("doc_id"), *(F.first(c).alias(c) for c in (*_PRINTS, *_BITS))))
@@ -391,8 +399,8 @@ def keep_one_of_group(docs: DataFrame, shingle: int = 5, threshold: float = 0.8,
     """The rows that stay: one of each group of near-duplicates, the one with the smallest id, and every row with a null id."""
     digest, number = unused(docs.columns, "digest"), unused(docs.columns, "number")
     known = docs.filter(F.col(id_col).isNotNull()).withColumn(digest, content_digest(text_col))
-    several = known.groupBy(id_col).agg(F.min(digest).alias("low"), F.max(digest).alias("high")).filter("low <> high")
-    if several.isEmpty():
+    repeated, several = repeats(known, id_col, digest)
+    if not several:
         gone = copy_groups(docs, shingle, threshold, id_col, text_col).select(F.col("doc_id").alias(id_col))
         stay = known.join(gone, id_col, "left_anti")
     else:  # numbers in the order of (id, digest) take the place of the ids
@@ -400,4 +408,6 @@ def keep_one_of_group(docs: DataFrame, shingle: int = 5, threshold: float = 0.8,
         numbered = known.join(numbers, [id_col, digest])
         gone = copy_groups(numbered, shingle, threshold, number, text_col).select(F.col("doc_id").alias(number))
         stay = numbered.join(gone, number, "left_anti")
-    return one_row_per_text(stay, id_col, text_col, digest).select(docs.columns).unionByName(docs.filter(F.col(id_col).isNull()))
+    if repeated:
+        stay = one_row_per_text(stay, id_col, text_col, digest)
+    return stay.select([F.col(f"`{c}`") for c in docs.columns]).unionByName(docs.filter(F.col(id_col).isNull()))

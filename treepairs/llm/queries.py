@@ -26,7 +26,7 @@ def op1_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return simhash.near_groups(documents(spark, sf_dir), shingle=4, radius=4, blocks=5, choose=1)
+    return simhash.near_groups(documents(spark, sf_dir), shingle=4, radius=4, blocks=7, choose=3)
 
 
 def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SEPARATORS, checkpointed, shuffle_width
+from .common import SEPARATORS, checkpointed, shuffle_width, tidy
 from .components import Forest, components
 
 _RUN = re.compile(SEPARATORS.encode())
@@ -76,7 +76,7 @@ def _prints(shingle: int):
 def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fp (the 64 bits as a signed long)."""
     pairs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return pairs.mapInArrow(_prints(shingle), "doc_id long, fp long")
+    return pairs.mapInArrow(tidy(_prints(shingle)), "doc_id long, fp long")
 
 
 def gray_rank(fp: np.ndarray) -> np.ndarray:
@@ -177,7 +177,7 @@ def block_masks(blocks: int, choose: int) -> list[int]:
     return [sum(c) for c in combinations(single, choose)]
 
 
-def near_groups(docs: DataFrame, shingle: int = 4, radius: int = 4, blocks: int = 5, choose: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_groups(docs: DataFrame, shingle: int = 4, radius: int = 4, blocks: int = 7, choose: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id. Complete for a radius of at most ``blocks - choose``; beyond it,
     pairs are found that agree in ``choose`` blocks."""
     prints = checkpointed(fingerprints(docs, shingle, id_col, text_col))
@@ -185,7 +185,7 @@ def near_groups(docs: DataFrame, shingle: int = 4, radius: int = 4, blocks: int
     signed = [m - (1 << 64) if m >> 63 else m for m in block_masks(blocks, choose)]
     top = F.array(*[F.struct(F.lit(i).alias("i"), F.col("fp").bitwiseAND(F.lit(m)).alias("v")) for i, m in enumerate(signed)])
     keyed = nodes.withColumn("top", F.explode(top)).select(F.xxhash64("top.i", "top.v").alias("key"), "fp", "node")
-    links = keyed.repartition(shuffle_width(docs.sparkSession), "key").mapInArrow(_link(radius), "a long, b long")
+    links = keyed.repartition(shuffle_width(docs.sparkSession), "key").mapInArrow(tidy(_link(radius)), "a long, b long")
     found = components(links)
     named = nodes.join(found, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
     out = prints.join(named, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
