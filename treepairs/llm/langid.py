@@ -32,7 +32,7 @@ from .common import checkpointed, tidy
 
 MAX_DOCS, MAX_WORDS, MAX_GRAMS, ORDERS = 20_000, 20_000, 5_000, (4, 3, 2, 1)
 #: Words whose scores a worker keeps.
-KEPT_WORDS = 150_000
+KEPT_WORDS = 300_000
 
 
 def _numerals() -> str:

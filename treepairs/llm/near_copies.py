@@ -161,7 +161,7 @@ def _prefixes(shingle: int, threshold: float, last: np.ndarray):
     return run
 
 
-_ENTRY = np.dtype([("key", "<i8"), ("doc", "<i8"), ("group", "<i8"), ("n", "<i4"), ("place", "<i4"), ("side", "<i4")])
+_ENTRY = np.dtype([("key", "<i8"), ("doc", "<i8"), ("group", "<i8"), ("odd0", "<i8"), ("odd1", "<i8"), ("n", "<i4"), ("place", "<i4"), ("side", "<i4")])
 
 
 def _repeated(times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -196,12 +196,12 @@ def _cells(e: np.ndarray, nth: np.ndarray, main: np.ndarray, main_blocks: np.nda
 
 
 def _entries(columns: list[pa.Array]) -> np.ndarray:
-    """The entries of doc_id, n, prefix, group."""
+    """The entries of doc_id, n, prefix, group, odd0, odd1."""
     prefixes = [np.frombuffer(p, np.int64) for p in columns[2].to_pylist()]
     row, place = _repeated(np.array([len(p) for p in prefixes], np.int64))
     e = np.zeros(len(row), _ENTRY)
     e["key"], e["place"], e["side"] = np.concatenate([np.empty(0, np.int64), *prefixes]), place, 2
-    for name, i in (("doc", 0), ("n", 1), ("group", 3)):
+    for name, i in (("doc", 0), ("n", 1), ("group", 3), ("odd0", 4), ("odd1", 5)):
         e[name] = columns[i].to_numpy(zero_copy_only=False)[row]
     return e
 
@@ -228,7 +228,7 @@ def _hot_counts(values: np.ndarray):
 
 
 def _postings(buckets: int, hot: tuple[np.ndarray, ...]):
-    """doc_id, n, prefix, group to packed entries by bucket."""
+    """doc_id, n, prefix, group, odd0, odd1 to packed entries by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in _slices(batches):
@@ -247,14 +247,15 @@ def _postings(buckets: int, hot: tuple[np.ndarray, ...]):
 
 
 def _sharing(threshold: float):
-    """Pairs of different groups that share a shingle of both prefixes and whose sizes and places allow the similarity."""
+    """Pairs of different groups that share a shingle of both prefixes and whose sizes, places and parities allow the
+    similarity (the parities of 256 classes are folded to 128 here)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e = np.concatenate([np.empty(0, _ENTRY), *(np.frombuffer(b, _ENTRY) for batch in batches for b in batch.column(1).to_pylist())])
         e = e[np.lexsort((e["n"], e["key"]))]
         again = e["key"][1:] == e["key"][:-1]
         e = e[(np.r_[again, False] | np.r_[False, again])[: len(e)]]
-        key, doc, group, n, place, side = (e[c].astype(np.int64) for c in e.dtype.names)
+        key, doc, group, odd0, odd1, n, place, side = (e[c].astype(np.int64) for c in e.dtype.names)
         found, held = [], 0
 
         def batch_of(pairs: list[np.ndarray]) -> pa.RecordBatch:
@@ -270,7 +271,10 @@ def _sharing(threshold: float):
             least = np.ceil(threshold / (1 + threshold) * (n[live] + n[other]) - 1e-9)
             ok = (group[live] != group[other]) & (np.minimum(n[live] - place[live], n[other] - place[other]) >= least)
             ok &= (side[live] == 2) | (side[live] != side[other])
-            i, j = doc[live[ok]], doc[other[ok]]
+            i, j = live[ok], other[ok]
+            differ = sum(np.bitwise_count((x[i] ^ x[j]).view(np.uint64)).astype(np.int64) for x in (odd0, odd1))
+            ok = differ <= (1 - threshold) / (1 + threshold) * (n[i] + n[j]) + 1e-6
+            i, j = doc[i[ok]], doc[j[ok]]
             if len(i):
                 found.append(np.column_stack([np.minimum(i, j), np.maximum(i, j)]))
                 held += len(i)
@@ -295,8 +299,9 @@ def prefix_candidates(texts: DataFrame, classes: DataFrame, frequent: DataFrame,
     spark = texts.sparkSession
     last = np.array([r.value for r in frequent.orderBy(F.desc("n"), "value").limit(_LAST).select("value").collect()], np.int64)
     prefixes = texts.mapInArrow(tidy(_prefixes(shingle, threshold, last.view(np.uint64))), "doc_id long, prefix binary")
-    sized = _grouped(classes.filter("n > 0").select("doc_id", "n"), groups, "doc_id", "group")
-    rows = scratch.table(prefixes.join(sized, "doc_id").select("doc_id", "n", "prefix", "group"))
+    odd = [F.col("x0").bitwiseXOR(F.col("x2")).alias("odd0"), F.col("x1").bitwiseXOR(F.col("x3")).alias("odd1")]
+    sized = _grouped(classes.filter("n > 0").select("doc_id", "n", *odd), groups, "doc_id", "group")
+    rows = scratch.table(prefixes.join(sized, "doc_id").select("doc_id", "n", "prefix", "group", "odd0", "odd1"))
     parts = rows.mapInArrow(tidy(_hot_counts(np.sort(last))), "key long, group long, n long").groupBy("key", "group").agg(F.sum("n").alias("n"))
     whole = parts.groupBy("key").agg(F.sum("n").alias("all"), F.max_by("group", F.struct("n", "group")).alias("main"), F.max("n").alias("most")).filter(F.col("all") > _HOT)
     hot = np.array([(r.key, r.main, -(-r.most // _HOT), -(-(r["all"] - r.most) // _HOT)) for r in whole.collect()], np.int64).reshape(-1, 4)
