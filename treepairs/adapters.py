@@ -73,6 +73,17 @@ def _user_activity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "events", "user_id", "event_type", "ts").select(F.col("user_id").alias("obj_id"), F.col("event_type").alias("k1"), F.hour("ts").alias("k2"))
 
 
+def _activity_on(days: bool) -> Callable[[SparkSession, str], DataFrame]:
+    """The activity of users at weekends or on the other days."""
+
+    def leaves(spark: SparkSession, sf_dir: str) -> DataFrame:
+        at_weekend = F.dayofweek("ts").isin(1, 7)
+        rows = table(spark, sf_dir, "events", "user_id", "event_type", "ts").filter(at_weekend if days else ~at_weekend)
+        return rows.select(F.col("user_id").alias("obj_id"), F.col("event_type").alias("k1"), F.hour("ts").alias("k2"))
+
+    return leaves
+
+
 def _customer_days(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = F.col("o_orderdate")
     return table(spark, sf_dir, "orders", "o_custkey", "o_orderdate").select(F.col("o_custkey").alias("obj_id"), F.year(d).alias("k1"), F.month(d).alias("k2"), F.dayofmonth(d).alias("k3"))
@@ -86,7 +97,7 @@ def _part_market(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _lexical(obj: Column, text: Column) -> list[Column]:
-    return [obj.alias("obj_id"), F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit("[a-z]+"), F.lit(0)))).alias("k4")]
+    return [obj.alias("obj_id"), F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit(r"\p{L}+"), F.lit(0)))).alias("k4")]
 
 
 def _prefixes(rows: DataFrame) -> DataFrame:
@@ -125,6 +136,8 @@ SETS: dict[str, LevelledSet] = {
     "supplier_product": LevelledSet(_supplier_product, ("k1", "k2"), _product),
     "part_product": LevelledSet(_product, ("k1", "k2"), _product),
     "user_activity": LevelledSet(_user_activity, ("k1", "k2")),
+    "weekday_activity": LevelledSet(_activity_on(False), ("k1", "k2"), _user_activity),
+    "weekend_activity": LevelledSet(_activity_on(True), ("k1", "k2"), _user_activity),
     "customer_days": LevelledSet(_customer_days, ("k1", "k2", "k3")),
     "part_market": LevelledSet(_part_market, ("k1", "k2")),
     "doc_words": LevelledSet(_doc_words, ("k1", "k2", "k3", "k4")),

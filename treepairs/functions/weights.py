@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from decimal import Decimal
 from fractions import Fraction
+from math import lcm
 
 #: A rule gives, for a tree of some height, the scaled weight of an edge into each level and the scale.
 Rule = Callable[[int], tuple[dict[int, int], int]]
@@ -31,11 +32,7 @@ def by_level(weights: list[float | str | Decimal | Fraction]) -> Rule:
     def rule(height: int) -> tuple[dict[int, int], int]:
         if len(exact) < height or any(w <= 0 for w in exact):
             raise ValueError(f"{height} positive weights are needed")
-        scale = 1
-        for w in exact:
-            scale = scale * w.denominator // Fraction(scale, w.denominator).numerator if scale % w.denominator else scale
-        while any((w * scale).denominator != 1 for w in exact):
-            scale *= next(w.denominator for w in exact if (w * scale).denominator != 1)
+        scale = lcm(*(w.denominator for w in exact))
         return {i + 1: int(w * scale) for i, w in enumerate(exact[: max(height, 1)])}, scale
 
     return rule

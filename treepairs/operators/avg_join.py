@@ -16,11 +16,14 @@ COUNTERS = ["pops", "examined", "complete"]
 
 def avgdist_topk(objects: DataFrame, tree: Ontology, k: int = 10, right: DataFrame | None = None, refine: str = "stepwise", order: str = "bfs", engine: str = "auto", metrics: Metrics | None = None, block_rows: int = dense.BLOCK_ROWS) -> DataFrame:
     """rank, a, b, dist. ``refine``: pairs are ordered by the case bounds at the root (``complete``) or by the exact
-    across costs at the root as well (``stepwise``) before their distance is computed."""
+    across costs at the root as well (``stepwise``) before their distance is computed. ``order`` is that of the sequential
+    engine (``bfs`` or ``dfs``); the block kernel has no order of descent and takes ``bfs`` only."""
+    if order not in ("bfs", "dfs") or (order == "dfs" and engine != "progressive"):
+        raise ValueError(f"order {order} needs the progressive engine")
     if k <= 0:
         return objects.sparkSession.createDataFrame([], "rank int, a long, b long, dist double")
     if engine == "progressive":
-        return progressive(objects, tree, k, refine, order).filter("rank > 0").select("rank", "a", "b", "dist")
+        return progressive(objects, tree, k, refine, order, right=right).filter("rank > 0").select("rank", "a", "b", "dist")
     found = dense.search(objects, tree, "avg", k, right, refine=refine, block_rows=block_rows, checkpoint=checkpoint)
     if metrics is not None:
         found = checkpoint(found)
@@ -30,13 +33,16 @@ def avgdist_topk(objects: DataFrame, tree: Ontology, k: int = 10, right: DataFra
     return ranked(answers(found), k)
 
 
-def progressive(objects: DataFrame, tree: Ontology, k: int, refine: str = "stepwise", order: str = "bfs", group=None) -> DataFrame:
+def progressive(objects: DataFrame, tree: Ontology, k: int, refine: str = "stepwise", order: str = "bfs", group=None, right: DataFrame | None = None) -> DataFrame:
     """The best-first search; beyond the objects of a sequential search the block kernel, as in ``emd_join.progressive``."""
-    if group is None and beyond_sequential(objects):
-        found = dense.search(objects, tree, "avg", k, refine=refine, checkpoint=checkpoint)
+    if group is None and beyond_sequential(objects, right):
+        found = dense.search(objects, tree, "avg", k, right, refine=refine, checkpoint=checkpoint)
         return block_counts(found, k, {"pops": "none", "examined": "bounds", "complete": "exact"})
-    scale, height = tree.scale, tree.height
-    return run_sequential(item_rows(objects, tree, 0, group), lambda items: avg_best_first(items, k, scale, height, refine, order), COUNTERS)
+    scale, height, two = tree.scale, tree.height, right is not None
+    rows = item_rows(objects, tree, 0, group)
+    if two:
+        rows = rows.unionByName(item_rows(right, tree, 1, group))
+    return run_sequential(rows, lambda items: avg_best_first(items, k, scale, height, refine, order, two), COUNTERS)
 
 
 def ordered_lists(objects: DataFrame, tree: Ontology) -> DataFrame:

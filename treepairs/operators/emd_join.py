@@ -20,13 +20,15 @@ def emd_topk(objects: DataFrame, tree: Ontology, k: int = 10, right: DataFrame |
 
     ``variant``: the bound that orders and filters pairs. ``edge``: EMD of the cut tree by its closed form; ``l1_reduced``:
     half L1 over the reduced terms; ``l1_full``: over all terms; ``emd_reduced``: as ``edge`` at height 1; ``brute``: none.
-    ``dedupe``: search among distinct descriptions and expand afterwards, the same answers; ``curated``: leave repeated
-    descriptions out of the set, as for the published data.
+    ``dedupe``: search among distinct descriptions of one set and expand afterwards, the same answers (two sets are searched
+    as they are); ``curated``: leave repeated descriptions out of each set, as for the published data.
     """
     if variant not in VARIANTS:
         raise ValueError(variant)
     if k <= 0:
         return objects.sparkSession.createDataFrame([], "rank int, a long, b long, dist double")
+    if curated and right is not None:
+        objects, right = dedupe_objects(objects)[0], dedupe_objects(right)[0]
     if engine == "progressive":
         return progressive(objects, tree, k, right, variant, h or 1).filter("rank > 0").select("rank", "a", "b", "dist")
     if (dedupe or curated) and right is None:
@@ -69,5 +71,5 @@ def progressive(objects: DataFrame, tree: Ontology, k: int, right: DataFrame | N
     factor = least if variant == "l1_full" else min(1.0, tree.least_top_edge / tree.scale if h == 1 else least)
     if variant in ("emd_reduced", "brute"):
         height = h if variant == "emd_reduced" else 0
-        return run_sequential(rows, lambda items: emd_reduced_first(items, k, scale, height), COUNTERS)
+        return run_sequential(rows, lambda items: emd_reduced_first(items, k, scale, height, two), COUNTERS)
     return run_sequential(rows, lambda items: emd_threshold(items, k, scale, variant, h, factor, least, two, halved), COUNTERS)

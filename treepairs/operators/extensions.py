@@ -11,6 +11,7 @@ from ..functions.columns import ratio
 from ..ontology import Ontology
 from . import dense
 from .distance import DISTANCES
+from .min_join import nearest
 from .objects import subtree_minima
 from .search import answers, checkpoint, ranked
 
@@ -38,14 +39,19 @@ def knn(objects: DataFrame, tree: Ontology, queries: DataFrame, k: int = 5, meas
 
     A cell of the kernel gives the k+1 best of each of its queries, one more for the query itself.
     """
-    found = answers(dense.search(queries, tree, measure, k + 1, objects, per_left=True, checkpoint=checkpoint)).filter("a <> b") if measure != "min" else _min_to(queries, objects, tree)
+    found = answers(dense.search(queries, tree, measure, k + 1, objects, per_left=True, checkpoint=checkpoint)).filter("a <> b") if measure != "min" else _min_to(queries, objects, tree, k)
     w = Window.partitionBy("a").orderBy("dist", "b")
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select(F.col("a").alias("query"), "rank", "b", "dist")
 
 
-def _min_to(queries: DataFrame, objects: DataFrame, tree: Ontology) -> DataFrame:
+def _min_to(queries: DataFrame, objects: DataFrame, tree: Ontology, k: int) -> DataFrame:
+    """a, b, dist of the queries and the first k+1 objects of each node that they touch, itself left out.
+
+    The distance to one of the k nearest is met at a node where it is among the first k+1: k others at least would be before
+    it in the order otherwise. So a node's rows number (queries below it) x (k+1), whatever the objects.
+    """
     x = subtree_minima(queries, tree).select("node_id", F.col("obj_id").alias("a"), F.col("dist").alias("da"))
-    y = subtree_minima(objects, tree).select("node_id", F.col("obj_id").alias("b"), F.col("dist").alias("db"))
+    y = nearest(subtree_minima(objects, tree), k + 1).select("node_id", F.col("obj_id").alias("b"), F.col("dist").alias("db"))
     return x.join(y, "node_id").filter("a <> b").groupBy("a", "b").agg(ratio(F.min(F.col("da") + F.col("db")), F.lit(tree.scale)).alias("dist"))
 
 
@@ -87,7 +93,7 @@ def multi_topk(sets: list[tuple[DataFrame, Ontology]], k: int = 10, agg: str = "
         size = min(everything, 4 * size)
 
 
-def single_link(objects: DataFrame, tree: Ontology, cut: float, rounds: int = 50) -> DataFrame:
+def single_link(objects: DataFrame, tree: Ontology, cut: float) -> DataFrame:
     """obj_id, cluster (its smallest object): single linkage under MIN, joined at distances up to ``cut``.
 
     Objects near one node are linked in a star to the smallest of the nearest, never to each other; labels then spread
@@ -101,7 +107,7 @@ def single_link(objects: DataFrame, tree: Ontology, cut: float, rounds: int = 50
     links = near.join(hub, "node_id").filter((F.col("dist") + F.col("hd") <= limit) & (F.col("obj_id") != F.col("hub"))).select(F.col("obj_id").alias("x"), F.col("hub").alias("y")).distinct()
     links = checkpoint(links.unionByName(links.select(F.col("y").alias("x"), F.col("x").alias("y"))).distinct())
     label = checkpoint(objects.select("obj_id").distinct().withColumn("cluster", F.col("obj_id")))
-    for _ in range(rounds):
+    while True:
         heard = links.join(label, F.col("x") == F.col("obj_id")).groupBy("y").agg(F.min("cluster").alias("m"))
         step = label.join(heard, F.col("obj_id") == F.col("y"), "left").select("obj_id", F.least("cluster", "m").alias("cluster"), F.col("cluster").alias("was"))
         jump = step.select(F.col("obj_id").alias("cluster"), F.col("cluster").alias("up"))
@@ -109,4 +115,3 @@ def single_link(objects: DataFrame, tree: Ontology, cut: float, rounds: int = 50
         if step.filter("cluster <> was").isEmpty():
             return step.select("obj_id", "cluster")
         label = step.select("obj_id", "cluster")
-    raise RuntimeError(f"the clusters did not settle within {rounds} rounds")

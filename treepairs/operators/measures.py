@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..ontology import Ontology
 from .avg_join import progressive as avg_progressive
 from .emd_join import progressive as emd_progressive
+from .objects import dedupe_objects
 
 
 def eta_emd(objects: DataFrame, tree: Ontology, k: int, variant: str = "l1_reduced", h: int = 1) -> DataFrame:
@@ -16,8 +17,9 @@ def eta_emd(objects: DataFrame, tree: Ontology, k: int, variant: str = "l1_reduc
 
 
 def eta_avg(objects: DataFrame, tree: Ontology, k: int, refine: str = "stepwise", order: str = "bfs") -> DataFrame:
-    """As :func:`eta_emd`; eta is the share of pairs whose distance was completed, ``examined`` counts pairs popped."""
-    return _eta(avg_progressive(objects, tree, k, refine, order), objects, "complete")
+    """As :func:`eta_emd`; eta is the share of pairs examined, those taken from the heap, and ``completed`` the share of pairs
+    whose distance was completed."""
+    return _eta(avg_progressive(objects, tree, k, refine, order), objects, "examined").withColumn("completed", F.col("complete") / F.col("pairs"))
 
 
 def _eta(found: DataFrame, objects: DataFrame, counter: str) -> DataFrame:
@@ -36,9 +38,18 @@ def purity(topk: DataFrame, categories: DataFrame, cuts: tuple[int, ...] = (10,
 
 
 def zero_pairs(objects: DataFrame) -> DataFrame:
-    """zero: pairs at MIN distance 0, those that share a term, counted without making pairs of objects twice."""
-    x, y = objects.select("term_id", F.col("obj_id").alias("a")), objects.select("term_id", F.col("obj_id").alias("b"))
-    return x.join(y, "term_id").filter("a < b").select("a", "b").distinct().agg(F.count(F.lit(1)).alias("zero"))
+    """zero: pairs at MIN distance 0, those that share a term.
+
+    Equal descriptions are one class: pairs inside a class count by its size, and only classes meet over their terms.
+    """
+    kept, rep = dedupe_objects(objects)
+    size = rep.groupBy("rep").agg(F.count(F.lit(1)).alias("n"))
+    x, y = kept.select("term_id", F.col("obj_id").alias("a")), kept.select("term_id", F.col("obj_id").alias("b"))
+    met = x.join(y, "term_id").filter("a < b").select("a", "b").distinct()
+    sized = met.join(size.select(F.col("rep").alias("a"), F.col("n").alias("na")), "a").join(size.select(F.col("rep").alias("b"), F.col("n").alias("nb")), "b")
+    across = sized.agg(F.coalesce(F.sum(F.col("na") * F.col("nb")), F.lit(0)).alias("x"))
+    inside = size.agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0)).cast("long").alias("y"))
+    return across.crossJoin(inside).select((F.col("x") + F.col("y")).alias("zero"))
 
 
 def tightness(bounds: DataFrame, exact: DataFrame) -> DataFrame:

@@ -145,17 +145,17 @@ def emd_threshold(items: list[Item], k: int, scale: int, variant: str = "l1_redu
     return best.rows(), dict(counts)
 
 
-def emd_reduced_first(items: list[Item], k: int, scale: int, h: int = 1) -> tuple[list[tuple[float, int, int]], dict[str, int]]:
+def emd_reduced_first(items: list[Item], k: int, scale: int, h: int = 1, two_sided: bool = False) -> tuple[list[tuple[float, int, int]], dict[str, int]]:
     """The baseline: EMD on the cut tree for every pair, then exact distances in that order."""
     _, rows = dimensions(items, "edge", h, scale)
-    order = sorted((sum(abs(rows[p].get(v, 0.0) - rows[q].get(v, 0.0)) for v in rows[p].keys() | rows[q].keys()), p, q) for p in range(len(items)) for q in range(p + 1, len(items)))
+    order = sorted((sum(abs(rows[p].get(v, 0.0) - rows[q].get(v, 0.0)) for v in rows[p].keys() | rows[q].keys()), p, q) for p in range(len(items)) for q in range(p + 1, len(items)) if not (two_sided and items[p].side == items[q].side))
     best, exact = Best(k), 0
     for d, p, q in order:
         if d > best.kth + 1e-12:
             break
         exact += 1
-        a, b = sorted((items[p].id, items[q].id))
-        best.add(emd_exact(items[p], items[q], scale), a, b)
+        a, b = sorted((items[p], items[q]), key=lambda x: x.side if two_sided else x.id)
+        best.add(emd_exact(a, b, scale), a.id, b.id)
     return best.rows(), {"bounds": len(order), "emd": exact, "full_l1": 0, "calls": 0, "new": len(order), "most_calls": 0}
 
 
@@ -208,13 +208,15 @@ class Descent:
         return out, exact
 
 
-def avg_best_first(items: list[Item], k: int, scale: int, height: int, refine: str = "stepwise", order: str = "bfs") -> tuple[list[tuple[float, int, int]], dict[str, int]]:
+def avg_best_first(items: list[Item], k: int, scale: int, height: int, refine: str = "stepwise", order: str = "bfs", two_sided: bool = False) -> tuple[list[tuple[float, int, int]], dict[str, int]]:
     """Best pair first over the ordered list pairs; ``stepwise`` descends a level at a time, ``complete`` at once.
 
+    With two sides a pair of one side only makes its successors.
+
     ``dfs`` goes to the deepest level of a popped pair before another pair is looked at, as long as its bound is below
     the kth distance. A pair's successors are made at its first pop only.
     """
-    items = sorted(items, key=lambda x: x.id)
+    items = sorted(items, key=lambda x: (x.side, x.id))
     dsc = Descent(items, scale)
     lists: dict[tuple[str, str], list[int]] = defaultdict(list)
     for i, x in enumerate(items):
@@ -249,10 +251,12 @@ def avg_best_first(items: list[Item], k: int, scale: int, height: int, refine: s
             break
         counts["pops"] += 1
         if place is not None:
-            counts["examined"] += 1
             a, b, p, q = place
             push(a, b, p + 1, q)
             push(a, b, p, q + 1)
+            if two_sided and items[i].side == items[j].side:
+                continue
+            counts["examined"] += 1
         while not exact:
             if refine == "complete":
                 d, exact = avg_exact(items[i], items[j], scale), True

@@ -12,6 +12,7 @@ from .ontology import Ontology, dag_to_tree
 from .operators import avg_join, baselines, bounds, emd_join, every_pair, extensions, flow, measures, min_join, objects, relational
 from .operators.distance import DISTANCES, all_pairs, emd_distance, sandwich
 from .operators.ordered_pairs import ordered_gaps
+from .registry_variants import QUERIES as VARIANTS
 from .sql import LEAVES, closure_sql, counts_sql, distances_sql, key_sql, knn_sql, range_sql, topk_sql
 from .streaming.windows import stream_topk_windows, windows_topk_sql
 
@@ -347,7 +348,7 @@ def _given(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
-for _name, (_query, _text) in relational.QUERIES.items():
+for _name, (_query, _text) in (relational.QUERIES | VARIANTS).items():
     _add(_name, _query, _text)
 
 

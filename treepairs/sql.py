@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 _GEO = "SELECT {obj} AS obj_id, n_regionkey AS k1, n_nationkey AS k2, l_suppkey AS k3 FROM (SELECT DISTINCT {obj}, l_suppkey FROM lineitem) JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey"
-_WORDS = "SELECT obj_id, substr(k4, 1, 1) AS k1, substr(k4, 1, 2) AS k2, substr(k4, 1, 3) AS k3, k4 FROM (SELECT DISTINCT {obj} AS obj_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '[a-z]+')) AS k4 FROM {table})"
+_WORDS = "SELECT obj_id, substr(k4, 1, 1) AS k1, substr(k4, 1, 2) AS k2, substr(k4, 1, 3) AS k3, k4 FROM (SELECT DISTINCT {obj} AS obj_id, unnest(regexp_extract_all(lower(coalesce(text, '')), '\\p{{L}}+')) AS k4 FROM {table})"
 _BITS = "list_aggregate(list_transform(embedding[{a}:{b}], lambda x: CASE WHEN x >= 0 THEN '1' ELSE '0' END), 'string_agg', '')"
 
 #: name: (query of distinct leaf rows, number of levels)
@@ -20,6 +20,8 @@ LEAVES: dict[str, tuple[str, int]] = {
     "supplier_product": ("SELECT DISTINCT l_suppkey AS obj_id, p_type AS k1, p_brand AS k2 FROM lineitem JOIN part ON l_partkey = p_partkey", 2),
     "part_product": ("SELECT p_partkey AS obj_id, p_type AS k1, p_brand AS k2 FROM part", 2),
     "user_activity": ("SELECT DISTINCT user_id AS obj_id, event_type AS k1, hour(ts) AS k2 FROM events", 2),
+    "weekday_activity": ("SELECT DISTINCT user_id AS obj_id, event_type AS k1, hour(ts) AS k2 FROM events WHERE dayofweek(ts) NOT IN (0, 6)", 2),
+    "weekend_activity": ("SELECT DISTINCT user_id AS obj_id, event_type AS k1, hour(ts) AS k2 FROM events WHERE dayofweek(ts) IN (0, 6)", 2),
     "customer_days": ("SELECT DISTINCT o_custkey AS obj_id, year(o_orderdate) AS k1, month(o_orderdate) AS k2, day(o_orderdate) AS k3 FROM orders", 3),
     "part_market": ("SELECT DISTINCT l_partkey AS obj_id, c_mktsegment AS k1, c_nationkey AS k2 FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey", 2),
     "doc_words": (_WORDS.format(obj="doc_id", table="documents"), 4),

@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..checkpoints import shared_folder
 from ..functions.columns import ratio
 from ..ontology import Ontology, node_key
 from ..operators.min_join import mindist_topk, nearest, node_pairs
@@ -65,7 +66,7 @@ def stream_topk_windows(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFra
 
     The terms go to a table in the shared folder, which survives lost executors; the answer is that of the batch query.
     """
-    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
+    base = shared_folder(spark)
     out = f"{base}/stream-{uuid.uuid4()}"
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
