@@ -33,11 +33,17 @@ TITLES = ["Dr", "Prof", "Professor"]
 CUES = ["met", "contact", "named", "dear", "name is", "name:", "signed", "regards,", "sincerely,", "attn:", "heißt", "s'appelle", "se llama"]
 
 MAIL = r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}][\p{L}\p{N}._%+-]*+@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)+"
-_TITLE = "(?iu:" + "|".join(sorted(FEMALE_TITLES + MALE_TITLES + TITLES, key=len, reverse=True)) + ")"
+def _any_case(words: list[str]) -> str:
+    """One of the words in any case; a look at the first letter rules most places out."""
+    first = "".join(sorted({c for w in words for c in (w[0].lower(), w[0].upper())}))
+    return f"(?=[{first}])(?iu:" + "|".join(sorted(words, key=len, reverse=True)) + ")"
+
+
+_TITLE = _any_case(FEMALE_TITLES + MALE_TITLES + TITLES)
 _CUE = r"(?<=(?<!\p{L})(?iu:" + "|".join(CUES) + ") )"
 _WORD = r"(?:\p{Lu}\p{Ll}++|\p{Lu}{2,}+)(?!\p{L})"
 NAME = rf"(?<!\p{{L}}){_TITLE}\.? {_WORD}(?: {_WORD})?"
-CUED = rf"{_CUE}(?!{_TITLE}\b){_WORD} {_WORD}"
+CUED = rf"(?=\p{{Lu}}){_CUE}(?!{_TITLE}\b){_WORD} {_WORD}"
 PHONE = r"(?<![0-9+])\+[0-9]{1,3}[ .-]?\(?[0-9]{1,4}\)?(?:[ .-]?[0-9]{2,4}){2,4}(?![0-9])|(?<![0-9])\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9])|(?<![0-9-])[0-9]{3}-[0-9]{3}-[0-9]{4}(?![0-9-])"
 _OCTET = r"(?:25[0-5]|2[0-4][0-9]|1[0-9]{2}|[0-9]{1,2})"
 ADDRESS = rf"(?<![0-9.]){_OCTET}(?:\.{_OCTET}){{3}}(?![0-9]|\.[0-9])"
@@ -47,7 +53,7 @@ CARD = r"(?<![0-9A-Za-z])[0-9]{4}(?:[ -]?[0-9]{4}){2}[ -]?[0-9]{1,7}(?![0-9A-Za-
 SECRET = r"(?<![0-9A-Za-z_-])(?=[A-Za-z_-]*[0-9])(?=[0-9_-]*[A-Za-z])[0-9A-Za-z_-]{20,}(?![0-9A-Za-z_-])"
 ENTITY = "|".join([MAIL, NAME, CUED, PHONE, ADDRESS, SOCIAL, IBAN, CARD, SECRET])
 #: What every entity has: a digit, an at sign, a title or a cue. Most texts have none, and this is quick to see.
-HINT = f"[0-9@]|{_TITLE}\\.? \\p{{Lu}}|(?iu:" + "|".join(CUES) + r") \p{Lu}"
+HINT = f"[0-9@]|{_TITLE}\\.? \\p{{Lu}}|{_any_case(CUES)} \\p{{Lu}}"
 
 
 def kind_of(entity: Column) -> Column:
