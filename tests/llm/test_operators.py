@@ -127,6 +127,23 @@ def test_substring_dedup(docs, rows):
     assert sum(r.n_removed for r in got) > 200
 
 
+@pytest.mark.parametrize("remove", [suffix_dedup.remove_repeated_bytes, debruijn.remove_repeated_words])
+def test_buckets_rise_with_the_bytes_of_the_texts(spark, docs, remove, monkeypatch):
+    from treepairs.llm import span_jobs
+
+    few = {tuple(r) for r in remove(docs).collect()}
+    width = span_jobs.shuffle_width(spark)
+    assert span_jobs.dealing(docs, "text") == (2 * width, width)
+    assert span_jobs.dealing(docs.limit(0), "text") == (2 * width, width)
+    size = sum(len((r.text or "").encode()) for r in docs.collect())
+    monkeypatch.setattr(span_jobs, "BUCKET_BYTES", size // 40)
+    monkeypatch.setattr(span_jobs, "PACKED_BYTES", 5000)
+    monkeypatch.setattr(suffix_dedup, "MOST_RANGES", 7)
+    buckets, tasks = span_jobs.dealing(docs, "text")
+    assert buckets >= 40 and tasks == -(-buckets // span_jobs.BUCKETS_A_TASK)
+    assert {tuple(r) for r in remove(docs).collect()} == few
+
+
 def brute_print(text, shingle):
     words = [w for w in SPACE.split("".join(c.lower() if c.isascii() else c for c in text or "")) if w]
     if not words:

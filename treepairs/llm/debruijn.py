@@ -21,8 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import shuffle_width
-from .span_jobs import batch_of, blobs, doc_bucket, repeated_spans
+from .span_jobs import batch_of, blobs, by_bucket, dealing, doc_bucket, repeated_spans
 from .spans import OPEN, RUN, merged
 
 WINDOW, GRAM = 20, 7
@@ -93,10 +92,10 @@ def later_edges(lines: Iterator[bytes], window: int) -> np.ndarray:
 
 def _comparer(window: int, buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        blobs_ = [blob for batch in batches for blob in batch.column(2).to_pylist()]
-        runs = later_edges((line for blob in blobs_ for line in zlib.decompress(blob).split(b"\n")), window)
-        if len(runs):
-            yield batch_of(list(blobs(doc_bucket(runs["doc"], buckets), runs, 1)))
+        for bucket in by_bucket(batches):
+            runs = later_edges((line for _, blob in bucket for line in zlib.decompress(blob).split(b"\n")), window)
+            if len(runs):
+                yield batch_of(list(blobs(doc_bucket(runs["doc"], buckets), runs, 1)))
 
     return run
 
@@ -116,5 +115,5 @@ def remove_repeated_words(docs: DataFrame, window: int = WINDOW, gram: int = GRA
     """doc_id, n_words, n_removed, kept_sha256 and, if asked for, the kept words joined by single spaces."""
     fields = [("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string()), ("kept", pa.string())][: 4 if with_text else 3]
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + (", kept string" if with_text else "")
-    buckets = 2 * shuffle_width(docs.sparkSession)
-    return repeated_spans(docs, window, gram, word_symbols, deal, _opener(window), _comparer(window, buckets), _remove, fields, schema, id_col, text_col)
+    dealt = dealing(docs, text_col)
+    return repeated_spans(docs, dealt, window, gram, word_symbols, deal, _opener(window), _comparer(window, dealt[0]), _remove, fields, schema, id_col, text_col)

@@ -22,13 +22,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shuffle_width
-from .span_jobs import batch_of, blobs, doc_bucket, repeated_spans
+from .span_jobs import batch_of, blobs, by_bucket, dealing, doc_bucket, repeated_spans
 from .spans import OPEN, RUN, Powers, merged, mixed, pieces, records
 
 WINDOW, GRAM = 100, 32
 #: Documents from which the splitters come.
 SAMPLE_DOCS = 2_000
+#: Ranges that the splitters make at most; more buckets part each range by a digest of the key.
+MOST_RANGES = 2_048
 _SYMBOL = (mixed(np.arange(1, 257, dtype=np.uint64)) & ~np.uint64(255)) | np.arange(256, dtype=np.uint64)
 _PART = np.dtype([("doc", "<i8"), ("start", "<u4"), ("size", "<u4")])
 
@@ -119,13 +120,12 @@ def _opener(window: int):
 
 def _comparer(window: int, buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        heads, bodies = [], []
-        for batch in batches:
-            for n, blob in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+        for bucket in by_bucket(batches):
+            heads, bodies = [], []
+            for n, blob in bucket:
                 raw = zlib.decompress(blob)
                 heads.append(np.frombuffer(raw[: n * _PART.itemsize], _PART))
                 bodies.append(np.frombuffer(raw[n * _PART.itemsize :], np.uint8))
-        if heads:
             runs = later_windows(np.concatenate(bodies), np.concatenate(heads), window)
             if len(runs):
                 yield batch_of(list(blobs(doc_bucket(runs["doc"], buckets), runs, 1)))
@@ -146,12 +146,16 @@ def _remove(text: bytes, starts: list[int], ends: list[int]) -> tuple[int, int,
 def remove_repeated_bytes(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, with_text: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if asked for, the kept bytes, which may cut characters."""
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).filter("doc_id IS NOT NULL")
-    buckets = 2 * shuffle_width(docs.sparkSession)
-    edges = splitters(rows, window, gram, buckets)
+    dealt = dealing(rows, "text")
+    ranges = min(dealt[0], MOST_RANGES)
+    edges, within = splitters(rows, window, gram, ranges), -(-dealt[0] // ranges)
 
     def deal(key: np.ndarray, n: int) -> np.ndarray:
-        return np.searchsorted(edges, key, "right") % n
+        place = np.searchsorted(edges, key, "right")
+        if within > 1:
+            place = place * within + (mixed(key) % np.uint64(within)).astype(np.int64)
+        return place % n
 
     fields = [("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("kept", pa.binary())][: 5 if with_text else 4]
     schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if with_text else "")
-    return repeated_spans(docs, window, gram, byte_symbols, deal, _opener(window), _comparer(window, buckets), _remove, fields, schema, id_col, text_col, leading=True)
+    return repeated_spans(docs, dealt, window, gram, byte_symbols, deal, _opener(window), _comparer(window, dealt[0]), _remove, fields, schema, id_col, text_col, leading=True)
