@@ -212,7 +212,7 @@ def copies_of_copies():
 @pytest.mark.parametrize("hot", [4096, 3])
 def test_near_copies_against_all_pairs(spark, monkeypatch, hot):
     monkeypatch.setattr(near_copies, "_HOT", hot)
-    monkeypatch.setattr(near_copies, "_FEW_PAIRS", 1 << 14 if hot > 3 else 0)
+    monkeypatch.setattr(near_copies, "_PAIRS_OF_TEXT", 4 if hot > 3 else 0)
     texts = copies_of_copies()
     want = {d: r for d, r in near_roots(texts).items() if r != d}
     docs = spark.createDataFrame([(t, d, "clash") for d, t in texts.items()], "text string, doc_id long, component string")

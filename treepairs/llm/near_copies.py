@@ -48,8 +48,10 @@ _HOT = 4096
 _POSTINGS, _ROWS, _AT_ONCE = 1 << 20, 1 << 20, 1 << 20
 #: Rows of an Arrow batch that are worked on at once.
 _SLICE = 2048
-#: Candidates that are tested all at once.
-_FEW_PAIRS = 1 << 14
+#: A round sends the sets of all texts once more, to save at most one set for a pair: it pays beyond so many pairs for a text.
+_PAIRS_OF_TEXT = 4
+#: Ids that are broadcast to find their texts (8 MB).
+_FEW_IDS = 1 << 20
 
 
 def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -161,7 +163,7 @@ def _prefixes(shingle: int, threshold: float, last: np.ndarray):
     return run
 
 
-_ENTRY = np.dtype([("key", "<i8"), ("doc", "<i8"), ("group", "<i8"), ("odd0", "<i8"), ("odd1", "<i8"), ("n", "<i4"), ("place", "<i4"), ("side", "<i4")])
+_ENTRY = np.dtype([("key", "<i8"), ("doc", "<i8"), ("group", "<i8"), ("odd0", "<i8"), ("odd1", "<i8"), ("before", "<i8"), ("before2", "<i8"), ("n", "<i4"), ("place", "<i4"), ("side", "<i1")])
 
 
 def _repeated(times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -196,13 +198,15 @@ def _cells(e: np.ndarray, nth: np.ndarray, main: np.ndarray, main_blocks: np.nda
 
 
 def _entries(columns: list[pa.Array]) -> np.ndarray:
-    """The entries of doc_id, n, prefix, group, odd0, odd1."""
+    """The entries of doc_id, n, prefix, group, odd0, odd1, each with the two shingles before it in its prefix (0: none)."""
     prefixes = [np.frombuffer(p, np.int64) for p in columns[2].to_pylist()]
     row, place = _repeated(np.array([len(p) for p in prefixes], np.int64))
     e = np.zeros(len(row), _ENTRY)
     e["key"], e["place"], e["side"] = np.concatenate([np.empty(0, np.int64), *prefixes]), place, 2
     for name, i in (("doc", 0), ("n", 1), ("group", 3), ("odd0", 4), ("odd1", 5)):
         e[name] = columns[i].to_numpy(zero_copy_only=False)[row]
+    for name, back in (("before", 1), ("before2", 2)):
+        e[name][back:] = np.where(place[back:] >= back, e["key"][:-back], 0)
     return e
 
 
@@ -248,14 +252,17 @@ def _postings(buckets: int, hot: tuple[np.ndarray, ...]):
 
 def _sharing(threshold: float):
     """Pairs of different groups that share a shingle of both prefixes and whose sizes, places and parities allow the
-    similarity (the parities of 256 classes are folded to 128 here)."""
+    similarity (the parities of 256 classes are folded to 128 here).
+
+    A pair is left out where one of the two shingles before is shared as well: it has been found there, since smaller places
+    pass every test that larger ones pass and the smaller set (then the smaller id) takes the first side at every shingle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e = np.concatenate([np.empty(0, _ENTRY), *(np.frombuffer(b, _ENTRY) for batch in batches for b in batch.column(1).to_pylist())])
-        e = e[np.lexsort((e["n"], e["key"]))]
+        e = e[np.lexsort((e["doc"], e["n"], e["key"]))]
         again = e["key"][1:] == e["key"][:-1]
         e = e[(np.r_[again, False] | np.r_[False, again])[: len(e)]]
-        key, doc, group, odd0, odd1, n, place, side = (e[c].astype(np.int64) for c in e.dtype.names)
+        key, doc, group, odd0, odd1, *before, n, place, side = (e[c].astype(np.int64) for c in e.dtype.names)
         found, held = [], 0
 
         def batch_of(pairs: list[np.ndarray]) -> pa.RecordBatch:
@@ -272,6 +279,11 @@ def _sharing(threshold: float):
             ok = (group[live] != group[other]) & (np.minimum(n[live] - place[live], n[other] - place[other]) >= least)
             ok &= (side[live] == 2) | (side[live] != side[other])
             i, j = live[ok], other[ok]
+            known = np.zeros(len(i), bool)
+            for x in before:
+                for y in before:
+                    known |= (x[i] == y[j]) & (x[i] != 0)
+            i, j = i[~known], j[~known]
             differ = sum(np.bitwise_count((x[i] ^ x[j]).view(np.uint64)).astype(np.int64) for x in (odd0, odd1))
             ok = differ <= (1 - threshold) / (1 + threshold) * (n[i] + n[j]) + 1e-6
             i, j = doc[i[ok]], doc[j[ok]]
@@ -335,7 +347,9 @@ def _sets(shingle: int):
 
 def shingle_lists(texts: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
     """doc_id, shingles of the texts that occur in pairs."""
-    ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    ids = checkpointed(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
+    if ids.count() <= _FEW_IDS:  # else the texts are shuffled
+        ids = F.broadcast(ids)
     return texts.join(ids, "doc_id", "left_semi").mapInArrow(tidy(_sets(shingle)), "doc_id long, shingles array<long>")
 
 
@@ -367,9 +381,10 @@ def _closest(pairs: DataFrame) -> DataFrame:
 
 
 def joined_groups(scratch: Scratch, groups: DataFrame, pairs: DataFrame, lists: DataFrame, threshold: float, rounds: int = 2) -> DataFrame:
-    """The groups after all similar pairs among the candidates have been joined; few pairs need no rounds."""
+    """The groups after all similar pairs among the candidates have been joined; few pairs for a text need no rounds."""
+    most = _PAIRS_OF_TEXT * lists.count() if rounds else 0
     for _ in range(rounds):
-        if pairs.count() <= _FEW_PAIRS:
+        if pairs.count() <= most:
             break
         tried = scratch.table(_closest(pairs))
         groups = _merged(scratch, groups, similar(tried, lists, threshold))
