@@ -11,7 +11,7 @@ Texts with the same set of shingles are one class from the start. Then
    shingles, two sets of that similarity share one of the first ones of both. Only pairs of different groups are looked at.
    A shingle that many texts have is compared block by block, in cells of their own.
 3. Candidates of both kinds are cut by the parity of the shingles in 256 classes, which no pair of the similarity fails, and
-   decided by the shingle sets. In two rounds every text tests its closest open candidate and what is linked then is merged;
+   by those in 4,096 classes, and decided by the shingle sets. In two rounds every text tests its closest open candidate and what is linked then is merged;
    all pairs that are still between different groups are tested after that. No link between different groups is lost.
 
 Defined cases: ASCII case and runs of separators do not count; a text of fewer words is one shingle; texts without words
@@ -50,6 +50,8 @@ _POSTINGS, _ROWS, _AT_ONCE = 1 << 20, 1 << 20, 1 << 20
 _SLICE = 2048
 #: A round sends the sets of all texts once more, to save at most one set for a pair: it pays beyond so many pairs for a text.
 _PAIRS_OF_TEXT = 4
+#: Classes of the parities that are compared before sets are.
+_WIDE = 4096
 #: Ids that are broadcast to find their texts (8 MB).
 _FEW_IDS = 1 << 20
 
@@ -339,25 +341,36 @@ def _sets(shingle: int):
             at = 0
             for _, s in shingle_sets(batch.column(1).cast(pa.binary()).to_pylist(), shingle):
                 lists = pa.ListArray.from_arrays(pa.array(s.bounds.astype(np.int32)), pa.array(s.values.view(np.int64)))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(s)), lists], names=["doc_id", "shingles"])
+                wide = pa.array(list(s.parities(_WIDE)), pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(s)), pa.array(s.sizes, pa.int64()), wide, lists], names=["doc_id", "n", "wide", "shingles"])
                 at += len(s)
 
     return run
 
 
-def shingle_lists(texts: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
-    """doc_id, shingles of the texts that occur in pairs."""
+def _rows_of(df: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The rows whose ids occur in pairs."""
     ids = checkpointed(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
-    if ids.count() <= _FEW_IDS:  # else the texts are shuffled
+    if ids.count() <= _FEW_IDS:  # else the rows are shuffled
         ids = F.broadcast(ids)
-    return texts.join(ids, "doc_id", "left_semi").mapInArrow(tidy(_sets(shingle)), "doc_id long, shingles array<long>")
+    return df.join(ids, "doc_id", "left_semi")
+
+
+def shingle_lists(texts: DataFrame, pairs: DataFrame, shingle: int) -> DataFrame:
+    """doc_id, n, wide, shingles of the texts that occur in pairs: size, parities in many classes, and the set."""
+    return _rows_of(texts, pairs).mapInArrow(tidy(_sets(shingle)), "doc_id long, n long, wide array<long>, shingles array<long>")
 
 
-def similar(pairs: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
-    """The pairs whose sets have the similarity."""
-    side = lambda name: lists.select(F.col("doc_id").alias(name), F.col("shingles").alias(f"{name}s"))
-    shared = F.size(F.array_intersect("as", "bs"))
-    return pairs.join(side("a"), "a").join(side("b"), "b").filter(shared >= F.lit(threshold) * (F.size("as") + F.size("bs") - shared)).select("a", "b")
+def similar(pairs: DataFrame, lists: DataFrame, threshold: float, scratch: Scratch) -> DataFrame:
+    """The pairs whose sets have the similarity: those whose parities allow it first, so that few sets are sent."""
+    side = lambda df, name, *cols: df.select(F.col("doc_id").alias(name), *(F.col(c).alias(f"{name}_{c}") for c in cols))
+    differ = F.aggregate(F.zip_with("a_wide", "b_wide", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    close = pairs.join(side(lists, "a", "n", "wide"), "a").join(side(lists, "b", "n", "wide"), "b")
+    close = scratch.table(close.filter(differ <= F.lit((1 - threshold) / (1 + threshold)) * (F.col("a_n") + F.col("b_n")) + F.lit(1e-6)).select("a", "b"))
+    sets = _rows_of(lists.select("doc_id", "shingles"), close)
+    shared = F.size(F.array_intersect("a_shingles", "b_shingles"))
+    both = close.join(side(sets, "a", "shingles"), "a").join(side(sets, "b", "shingles"), "b")
+    return both.filter(shared >= F.lit(threshold) * (F.size("a_shingles") + F.size("b_shingles") - shared)).select("a", "b")
 
 
 def _as_links(groups: DataFrame) -> DataFrame:
@@ -387,9 +400,9 @@ def joined_groups(scratch: Scratch, groups: DataFrame, pairs: DataFrame, lists:
         if pairs.count() <= most:
             break
         tried = scratch.table(_closest(pairs))
-        groups = _merged(scratch, groups, similar(tried, lists, threshold))
+        groups = _merged(scratch, groups, similar(tried, lists, threshold, scratch))
         pairs = scratch.table(_between(pairs.join(tried, ["a", "b"], "left_anti"), groups))
-    return _merged(scratch, groups, similar(pairs, lists, threshold))
+    return _merged(scratch, groups, similar(pairs, lists, threshold, scratch))
 
 
 def copy_groups(docs: DataFrame, shingle: int = 5, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

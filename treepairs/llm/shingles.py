@@ -135,12 +135,17 @@ class ShingleSets:
         total = np.r_[np.uint64(0), np.cumsum(mixed(self.values, k))]
         return total[self.bounds[1:]] - total[self.bounds[:-1]]
 
-    def parities(self) -> np.ndarray:
-        """Four words of each set: whether the hashes in each of 256 classes are odd in number. Two sets differ in at least
-        as many hashes as these words do in bits."""
-        kind = (mixed(self.values, 9) >> np.uint64(56)).astype(np.int64)
-        odd = np.bincount(self.owner * 256 + kind, minlength=256 * len(self)).reshape(-1, 256) & 1
-        return np.packbits(odd.astype(np.uint8), axis=1).view(np.int64)
+    def parities(self, classes: int = 256) -> np.ndarray:
+        """Bits of each set, as words: whether the hashes in each class (a power of two) are odd in number. Two sets differ in
+        at least as many hashes as these words do in bits."""
+        kind = (mixed(self.values, 9) >> np.uint64(65 - classes.bit_length())).astype(np.int64)
+        words = [np.empty((0, classes // 64), np.int64)]
+        for low in range(0, len(self), 128):
+            high = min(low + 128, len(self))
+            at = slice(self.bounds[low], self.bounds[high])
+            odd = np.bincount((self.owner[at] - low) * classes + kind[at], minlength=classes * (high - low)).reshape(-1, classes) & 1
+            words.append(np.packbits(odd.astype(np.uint8), axis=1).view(np.int64))
+        return np.concatenate(words)
 
 
 def shingle_sets(texts: list[bytes | None], shingle: int) -> Iterator[tuple[int, ShingleSets]]:
