@@ -32,16 +32,6 @@ def _search(name: str, data: str, measure: str, run: Callable, k: int = K, sql:
     _add(name, lambda spark, sf: run(*SETS[data].load(spark, sf)), topk_sql(data, measure, k) if sql is True else sql or None)
 
 
-def _pairs(o: DataFrame, x: int, y: int) -> DataFrame:
-    """The pairs of the objects whose ids have the remainders x and y modulo 97: those of the SQL of the queries ``.._sql_pairs``.
-
-    They hold the functions on given pairs to their SQL; the queries without that ending take every pair.
-    """
-    ids = o.select("obj_id").distinct()
-    a, b = ids.filter(F.col("obj_id") % 97 == x).select(F.col("obj_id").alias("a")), ids.filter(F.col("obj_id") % 97 == y).select(F.col("obj_id").alias("b"))
-    return a.crossJoin(b).filter("a < b")
-
-
 # -- earth mover's distance -------------------------------------------------------------------------------------------
 _search("emd_topk_parts_geo", "part_geo", "emd", lambda o, t: emd_join.emd_topk(o, t, K))
 _search("emd_topk_customers_product", "customer_product", "emd", lambda o, t: emd_join.emd_topk(o, t, K))
@@ -101,24 +91,21 @@ _add("emd_flow_small", _flow_small, f"WITH {distances_sql('page_groups', 'emd')}
 
 
 def _ladder(spark: SparkSession, sf: str) -> DataFrame:
-    o, tree = SETS["part_geo"].load(spark, sf)
-    p = _pairs(o, 1, 2)
+    o, tree = SETS["page_groups"].load(spark, sf)
+    p = all_pairs(o)
     out = p
     for h in (1, 2, 3):
         out = out.join(bounds.emd_reduced(p, o, tree, h).withColumnRenamed("bound", f"h{h}"), ["a", "b"])
     return out
 
 
-_W97 = "AND x.obj_id % 97 = 1 AND y.obj_id % 97 = 2"
-
-
 def _ladder_sql() -> str:
-    parts = [f"q{h} AS (WITH {distances_sql('part_geo', 'emd', upto=h, where=_W97)} SELECT a, b, dist FROM d)" for h in (1, 2, 3)]
+    parts = [f"q{h} AS (WITH {distances_sql('page_groups', 'emd', upto=h)} SELECT a, b, dist FROM d)" for h in (1, 2, 3)]
     return "WITH " + ", ".join(parts) + " SELECT q1.a, q1.b, q1.dist AS h1, q2.dist AS h2, q3.dist AS h3 FROM q1 JOIN q2 ON q1.a = q2.a AND q1.b = q2.b JOIN q3 ON q1.a = q3.a AND q1.b = q3.b"
 
 
 _add("emd_bounds_ladder", lambda s, sf: every_pair.emd_ladder(*SETS["part_geo"].load(s, sf), (1, 2, 3)))
-_add("emd_bounds_ladder_sql_pairs", _ladder, _ladder_sql())
+_add("emd_bounds_ladder_pages", _ladder, _ladder_sql())
 
 # -- minimum distance -------------------------------------------------------------------------------------------------
 _search("min_topk_customers_product", "customer_product", "min", lambda o, t: min_join.mindist_topk(o, t, K))
@@ -157,27 +144,27 @@ _add("avg_build_levels", lambda s, sf: objects.avg_build(*SETS["customer_days"].
 
 
 def _cases(spark: SparkSession, sf: str) -> DataFrame:
-    o, tree = SETS["customer_days"].load(spark, sf)
-    return bounds.avg_bound(_pairs(o, 1, 2), o, tree)
+    o, tree = SETS["page_groups"].load(spark, sf)
+    return bounds.avg_bound(all_pairs(o), o, tree)
 
 
 _add("avg_case_bounds", lambda s, sf: bounds.avg_bound(None, *SETS["customer_days"].load(s, sf)))
-_add("avg_case_bounds_sql_pairs", _cases, f"""
-WITH {counts_sql('customer_days')}, sp AS (SELECT obj_id, count(*) AS k, min(node) AS node FROM c WHERE lv = 1 GROUP BY obj_id),
+_add("avg_case_bounds_pages", _cases, f"""
+WITH {counts_sql('page_groups')}, sp AS (SELECT obj_id, count(*) AS k, min(node) AS node FROM c WHERE lv = 1 GROUP BY obj_id),
 o AS (SELECT sz.obj_id, n, 7 * n AS w, k, node FROM sz JOIN sp USING (obj_id)),
 p AS (SELECT x.obj_id AS a, y.obj_id AS b, x.n AS na, y.n AS nb, x.w AS wa, y.w AS wb, CASE WHEN x.k = 1 AND y.k = 1 AND x.node = y.node THEN '1a' WHEN x.k = 1 AND y.k = 1 THEN '1b' WHEN x.k = 1 OR y.k = 1 THEN '3' ELSE '2' END AS "case", x.k AS ka
-  FROM o x JOIN o y ON x.obj_id < y.obj_id {_W97})
+  FROM o x JOIN o y ON x.obj_id < y.obj_id)
 SELECT a, b, "case", CAST(CASE "case" WHEN '1a' THEN 0 WHEN '1b' THEN nb * wa + na * wb WHEN '3' THEN CASE WHEN ka = 1 THEN wa ELSE wb END ELSE wa + wb END AS DOUBLE) / CAST(na * nb * 4 AS DOUBLE) AS bound FROM p""")
 
 
 def _descend(spark: SparkSession, sf: str) -> DataFrame:
-    o, tree = SETS["customer_days"].load(spark, sf)
-    p = _pairs(o, 1, 2)
+    o, tree = SETS["page_groups"].load(spark, sf)
+    p = all_pairs(o)
     return bounds.avg_descend(p, o, tree, 3)  # the deepest level: the exact distance
 
 
 _add("avg_descend_levels", lambda s, sf: every_pair.avg_descend(*SETS["customer_days"].load(s, sf), 3))
-_add("avg_descend_levels_sql_pairs", _descend, f"WITH {distances_sql('customer_days', 'avg', where=_W97)} SELECT a, b, dist AS bound FROM d")
+_add("avg_descend_levels_pages", _descend, f"WITH {distances_sql('page_groups', 'avg')} SELECT a, b, dist AS bound FROM d")
 _add("avg_knn", _knn("avg"), knn_sql("part_geo", "avg", 5, "x.obj_id % 100 = 0"))
 _add("avg_range", lambda s, sf: extensions.range_join(*SETS["customer_days"].load(s, sf), 2.0, "avg"), range_sql("customer_days", "avg", 2.0))
 
@@ -280,8 +267,8 @@ _add("zero_pairs", lambda s, sf: measures.zero_pairs(SETS["page_groups"].objects
 
 
 def _tight(spark: SparkSession, sf: str) -> DataFrame:
-    o, tree = SETS["part_geo"].load(spark, sf)
-    p = _pairs(o, 1, 2)
+    o, tree = SETS["page_groups"].load(spark, sf)
+    p = all_pairs(o)
     exact = emd_distance(p, o, tree)
     kinds = {"edge_1": bounds.emd_reduced(p, o, tree, 1), "edge_2": bounds.emd_reduced(p, o, tree, 2), "l1_reduced": bounds.l1_reduced(p, o, tree), "l1_full": bounds.l1_full(p, o, tree)}
     out = None
@@ -292,28 +279,28 @@ def _tight(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _tight_sql() -> str:
-    e = f"e AS (WITH {distances_sql('part_geo', 'emd', where=_W97)} SELECT a, b, dist FROM d)"
-    rows = [f"q{h} AS (WITH {distances_sql('part_geo', 'emd', upto=h, where=_W97)} SELECT a, b, dist FROM d)" for h in (1, 2)]
-    l1 = lambda lv, f: f"(WITH {counts_sql('part_geo')}, x AS (SELECT c.*, n FROM c JOIN sz USING (obj_id) WHERE lv = {lv}), s AS (SELECT x.obj_id AS a, y.obj_id AS b, CAST(sum(least(x.c * y.n, y.c * x.n)) AS BIGINT) AS m FROM x JOIN x y ON x.node = y.node AND x.obj_id < y.obj_id {_W97} GROUP BY 1, 2), p AS (SELECT x.obj_id AS a, y.obj_id AS b, x.n * y.n AS den FROM sz x JOIN sz y ON x.obj_id < y.obj_id {_W97}) SELECT p.a, p.b, CAST(den - coalesce(m, 0) AS DOUBLE) / den * {f} AS dist FROM p LEFT JOIN s ON p.a = s.a AND p.b = s.b)"
+    e = f"e AS (WITH {distances_sql('page_groups', 'emd')} SELECT a, b, dist FROM d)"
+    rows = [f"q{h} AS (WITH {distances_sql('page_groups', 'emd', upto=h)} SELECT a, b, dist FROM d)" for h in (1, 2)]
+    l1 = lambda lv, f: f"(WITH {counts_sql('page_groups')}, x AS (SELECT c.*, n FROM c JOIN sz USING (obj_id) WHERE lv = {lv}), s AS (SELECT x.obj_id AS a, y.obj_id AS b, CAST(sum(least(x.c * y.n, y.c * x.n)) AS BIGINT) AS m FROM x JOIN x y ON x.node = y.node AND x.obj_id < y.obj_id GROUP BY 1, 2), p AS (SELECT x.obj_id AS a, y.obj_id AS b, x.n * y.n AS den FROM sz x JOIN sz y ON x.obj_id < y.obj_id) SELECT p.a, p.b, CAST(den - coalesce(m, 0) AS DOUBLE) / den * {f} AS dist FROM p LEFT JOIN s ON p.a = s.a AND p.b = s.b)"
     rows += [f"q3 AS {l1(1, 1.0)}", f"q4 AS {l1(3, 0.25)}"]
     union = " UNION ALL ".join(f"SELECT '{n}' AS bound, count(*) AS pairs, count(*) FILTER (WHERE q.dist > e.dist + 1e-9) AS violations, round(avg(CASE WHEN e.dist > 0 THEN q.dist / e.dist END), 6) AS mean_ratio FROM e JOIN q{i} q ON e.a = q.a AND e.b = q.b" for i, n in enumerate(("edge_1", "edge_2", "l1_reduced", "l1_full"), 1))
     return f"WITH {e}, {', '.join(rows)} {union}"
 
 
 _add("bound_tightness", lambda s, sf: every_pair.tightness(*SETS["part_geo"].load(s, sf)).withColumn("mean_ratio", F.round("mean_ratio", 6)))
-_add("bound_tightness_sql_pairs", _tight, _tight_sql())
+_add("bound_tightness_pages", _tight, _tight_sql())
 
 
 def _sandwich(spark: SparkSession, sf: str) -> DataFrame:
-    o, tree = SETS["part_geo"].load(spark, sf)
-    p = _pairs(o, 1, 2)
+    o, tree = SETS["page_groups"].load(spark, sf)
+    p = all_pairs(o)
     n = sandwich(p, o, tree).agg(F.count(F.lit(1)).alias("violations"))
     return p.agg(F.count(F.lit(1)).alias("pairs")).crossJoin(n)
 
 
 _add("sandwich_check", lambda s, sf: every_pair.sandwich(*SETS["part_geo"].load(s, sf)))
-_add("sandwich_check_sql_pairs", _sandwich, f"""
-WITH m AS (WITH {distances_sql('part_geo', 'min', where=_W97)} SELECT a, b, dist FROM d), e AS (WITH {distances_sql('part_geo', 'emd', where=_W97)} SELECT a, b, dist FROM d), v AS (WITH {distances_sql('part_geo', 'avg', where=_W97)} SELECT a, b, dist FROM d)
+_add("sandwich_check_pages", _sandwich, f"""
+WITH m AS (WITH {distances_sql('page_groups', 'min')} SELECT a, b, dist FROM d), e AS (WITH {distances_sql('page_groups', 'emd')} SELECT a, b, dist FROM d), v AS (WITH {distances_sql('page_groups', 'avg')} SELECT a, b, dist FROM d)
 SELECT count(*) AS pairs, count(*) FILTER (WHERE m.dist > e.dist OR e.dist > v.dist) AS violations FROM m JOIN e ON m.a = e.a AND m.b = e.b JOIN v ON m.a = v.a AND m.b = v.b""")
 _add("list_sizes_min", lambda s, sf: min_join.list_sizes(*SETS["part_geo"].load(s, sf), K), f"""
 WITH {counts_sql('part_geo')}, g AS (SELECT lv AS level, node, count(*) AS n FROM c GROUP BY ALL UNION ALL SELECT 0, 'root', count(*) FROM sz)
@@ -335,14 +322,14 @@ WITH g AS (SELECT x.s_nationkey AS dim, least(x.s_suppkey, y.s_suppkey) AS a, gr
 r AS (SELECT *, row_number() OVER (PARTITION BY dim ORDER BY gap, a, b) AS nth FROM g) SELECT CAST(nth AS INTEGER) AS nth, a, b, round(gap, 6) AS gap FROM r WHERE nth <= 5""")
 _add("stream_topk_windows", stream_topk_windows, windows_topk_sql())
 _add("distances_given_pairs", lambda s, sf: every_pair.distances(*SETS["part_market"].load(s, sf)).select("a", "b", "emd", "avg", "min"))
-_add("distances_given_pairs_sql_pairs", lambda s, sf: _given(s, sf), f"""
-WITH m AS (WITH {distances_sql('part_market', 'min', where=_W97)} SELECT a, b, dist FROM d), e AS (WITH {distances_sql('part_market', 'emd', where=_W97)} SELECT a, b, dist FROM d), v AS (WITH {distances_sql('part_market', 'avg', where=_W97)} SELECT a, b, dist FROM d)
+_add("distances_given_pairs_pages", lambda s, sf: _given(s, sf), f"""
+WITH m AS (WITH {distances_sql('page_groups', 'min')} SELECT a, b, dist FROM d), e AS (WITH {distances_sql('page_groups', 'emd')} SELECT a, b, dist FROM d), v AS (WITH {distances_sql('page_groups', 'avg')} SELECT a, b, dist FROM d)
 SELECT m.a, m.b, m.dist AS min, e.dist AS emd, v.dist AS avg FROM m JOIN e ON m.a = e.a AND m.b = e.b JOIN v ON m.a = v.a AND m.b = v.b""")
 
 
 def _given(spark: SparkSession, sf: str) -> DataFrame:
-    o, tree = SETS["part_market"].load(spark, sf)
-    out = p = _pairs(o, 1, 2)
+    o, tree = SETS["page_groups"].load(spark, sf)
+    out = p = all_pairs(o)
     for name, f in DISTANCES.items():
         out = out.join(f(p, o, tree).select("a", "b", F.col("dist").alias(name)), ["a", "b"])
     return out
