@@ -316,9 +316,13 @@ def test_registered_queries_take_every_pair(spark, name):
     counts = {r.pairs for r in got.select("pairs").collect()} if "pairs" in got.columns else {got.count()}
     assert counts == {n * (n - 1) // 2}
     if "pairs" not in got.columns:
-        held = {(r.a, r.b): r for r in entry.queries()[f"{name}_sql_pairs"](spark, sf).collect()}
-        same_rows = {(r.a, r.b): r for r in got.filter("a % 97 = 1 AND b % 97 = 2").collect()}
-        assert held and {k: r.asDict() for k, r in held.items()} == {k: r.asDict() for k, r in same_rows.items()}
+        from treepairs.operators import every_pair
+
+        o, t = SETS["page_groups"].load(spark, sf)
+        every = {"emd_bounds_ladder": lambda: every_pair.emd_ladder(o, t, (1, 2, 3)), "avg_case_bounds": lambda: bounds.avg_bound(None, o, t), "avg_descend_levels": lambda: every_pair.avg_descend(o, t, 3), "distances_given_pairs": lambda: every_pair.distances(o, t)}
+        held = {(r.a, r.b): r.asDict() for r in entry.queries()[f"{name}_pages"](spark, sf).collect()}
+        same_rows = {(r.a, r.b): {c: r[c] for c in next(iter(held.values()))} for r in every[name]().collect()}
+        assert held and held == same_rows
 
 
 def test_sequential_searches_beyond_their_limit(case, monkeypatch):
