@@ -235,6 +235,15 @@ def test_gaps(spark):
     assert ordered_gaps(df, 4).count() == 8
 
 
+def test_gaps_with_ties(spark):
+    """Many equal values and equal gaps: the first pairs are those of the smallest ids."""
+    values = [(v, i) for i, v in enumerate([5.0, 1.0, 5.0, 3.0] * 9)]
+    df = spark.createDataFrame([(0, i, v) for v, i in values], "dim int, id long, value double")
+    for limit in (3, 400):
+        want = sorted((abs(x - y), min(i, j), max(i, j)) for (x, i), (y, j) in combinations(values, 2))[:limit]
+        assert [(r.gap, r.a, r.b) for r in ordered_gaps(df, limit).orderBy("nth").collect()] == want
+
+
 def test_halved_threshold_is_exact(spark):
     """The published threshold may stop early; it must still run and give k pairs, the halved one must be exact."""
     for seed in range(3):
