@@ -65,3 +65,30 @@ def test_zero_pairs_by_classes(spark):
 
 def test_level_weights_have_the_least_scale():
     assert by_level(["1.5", "0.25"])(2) == ({1: 6, 2: 1}, 4)
+
+
+def test_cells_of_every_pair_in_many_blocks(spark):
+    """Blocks of four objects: matrix, term pairs, cut average and nearest pairs equal the joins on given pairs."""
+    from treepairs.operators import every_pair
+    from treepairs.operators.bounds import avg_reduced
+    from treepairs.operators.classes import Classes, expanded
+    from treepairs.operators.dense import packed
+    from treepairs.operators.distance import DISTANCES, all_pairs
+
+    from test_searches import best, load, random_set
+
+    o, t = load(spark, 3)
+    p = all_pairs(o).cache()
+    dist = lambda df, name="dist": {(r["a"], r["b"]): r[name] for r in df.collect()}
+    for measure in ("emd", "avg", "min"):
+        want = dist(DISTANCES[measure](p, o, t))
+        got = dist(every_pair.matrix(o, t, measure, block_rows=4))
+        assert {k: d for k, d in got.items() if k[0] < k[1]} == want and len(got) == len(want) + 15
+        if measure != "emd":
+            assert dist(every_pair.naive(o, t, measure, block_rows=4)) == want
+    assert dist(every_pair.avg_reduced(o, t, 1, block_rows=4), "bound") == dist(avg_reduced(p, o, t, 1), "bound")
+    want = dist(DISTANCES["avg"](p, o, t))
+    classes = Classes.of(packed(o, t, "avg"), lambda df: df.cache())
+    assert classes.table.count() == len({tuple(sorted(terms)) for terms in random_set(3)[1].values()}) == 13
+    found = expanded(every_pair.nearest(classes.kept(o), t, "avg", 7, block_rows=4), classes, 7)
+    assert [(r.dist, r.a, r.b) for r in found.orderBy("dist", "a", "b").limit(7).collect()] == best(want, 7)
