@@ -92,3 +92,53 @@ def test_cells_of_every_pair_in_many_blocks(spark):
     assert classes.table.count() == len({tuple(sorted(terms)) for terms in random_set(3)[1].values()}) == 13
     found = expanded(every_pair.nearest(classes.kept(o), t, "avg", 7, block_rows=4), classes, 7)
     assert [(r.dist, r.a, r.b) for r in found.orderBy("dist", "a", "b").limit(7).collect()] == best(want, 7)
+
+
+@pytest.mark.parametrize("measure", ["emd", "avg"])
+def test_searches_make_a_set_once(spark, measure):
+    """Sets of many blocks are read once, kept as term numbers, and give the answers of the joins on given pairs."""
+    from treepairs.operators import dense
+    from treepairs.operators.distance import DISTANCES, all_pairs
+    from treepairs.operators.search import answers, checkpoint
+
+    from test_searches import best, load
+
+    o, t = load(spark, 3)
+    want = {(r.a, r.b): r.dist for r in DISTANCES[measure](all_pairs(o), o, t).collect()}
+    rows, seen = o.collect(), spark.sparkContext.accumulator(0)
+
+    def read(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    once = spark.createDataFrame(rows, o.schema).coalesce(1).mapInArrow(read, "obj_id long, term_id string")
+    found = answers(dense.search(once, t, measure, 7, block_rows=4, checkpoint=checkpoint))
+    assert [(r.dist, r.a, r.b) for r in found.orderBy("dist", "a", "b").limit(7).collect()] == best(want, 7)
+    assert seen.value == len(rows)
+    found = answers(dense.search(o, t, measure, None, radius=1.0, block_rows=4, checkpoint=checkpoint))
+    assert {(r.a, r.b): r.dist for r in found.collect()} == {p: d for p, d in want.items() if d <= 1.0}
+
+
+def test_numbered_nodes_equal_packed_ones(spark):
+    """Blocks made of term numbers hold the same nodes, counts and sums as those of packed rows, for terms at inner nodes too."""
+    from treepairs.ontology import Ontology
+    from treepairs.operators.coded import Coded
+    from treepairs.operators.dense import Block, packed
+
+    t = Ontology.from_rows(spark, {"r": None, "a": "r", "b": "r", "a1": "a", "a2": "a", "a11": "a1", "b1": "b", "b2": "b"}, {"a": 5, "b": 3, "a1": 2, "a2": 4, "a11": 1, "b1": 7, "b2": 2}, 10)
+    terms = {1: ["r"], 2: ["a"], 3: ["a", "a1", "a11"], 4: ["a11", "b2"], 5: ["b", "b1", "b2", "a2"], 6: ["r", "a", "b"]}
+    o = spark.createDataFrame([(i, v) for i, vs in terms.items() for v in vs], "obj_id long, term_id string")
+    coded = Coded.of(t, spark)
+    names = {r.code: r.term_id for r in coded.codes.collect()}
+    for measure in ("emd", "avg"):
+        codes = {}
+        y = Block(packed(o, t, measure).orderBy("obj_id").toArrow(), codes)
+        back = {c: v for v, c in codes.items()}
+        x_rows = coded.rows(coded.described(o), measure).orderBy("obj_id").toArrow()
+        x = Block(x_rows, coded.numbers.value)
+        for f in ("id", "n", "s", "single", "at"):
+            assert getattr(x, f).tolist() == getattr(y, f).tolist(), f
+        nodes = lambda b, name: {(int(b.row[i]), name[int(b.node[i])], int(b.level[i]), int(b.w[i]), int(b.c[i]), int(b.d[i])) for i in range(len(b.node))}
+        assert nodes(x, names) == nodes(y, back)
+        assert x_rows.column("self").to_pylist() == packed(o, t, measure).orderBy("obj_id").toArrow().column("self").to_pylist()
