@@ -142,3 +142,40 @@ def test_numbered_nodes_equal_packed_ones(spark):
         nodes = lambda b, name: {(int(b.row[i]), name[int(b.node[i])], int(b.level[i]), int(b.w[i]), int(b.c[i]), int(b.d[i])) for i in range(len(b.node))}
         assert nodes(x, names) == nodes(y, back)
         assert x_rows.column("self").to_pylist() == packed(o, t, measure).orderBy("obj_id").toArrow().column("self").to_pylist()
+
+
+@pytest.mark.parametrize("measure", ["emd", "avg"])
+def test_nearest_of_each_sent_object(spark, measure, monkeypatch):
+    """Limits from nearly exact distances: the k best of each sent object, with fewer exact distances than pass by pass."""
+    import numpy as np
+    import pyarrow as pa
+
+    from treepairs.operators import streamed
+    from treepairs.operators.coded import Coded
+    from treepairs.operators.dense import Spec
+    from treepairs.operators.distance import DISTANCES, all_pairs
+
+    from test_searches import load
+
+    o, t = load(spark, 3)
+    coded = Coded.of(t, spark)
+    rows = coded.rows(coded.described(o), measure).select("obj_id", "terms").orderBy("obj_id").toArrow().combine_chunks()
+    want = {}
+    for r in DISTANCES[measure](all_pairs(o), o, t).collect():
+        for x, y in ((r.a, r.b), (r.b, r.a)):
+            want.setdefault(x, []).append((r.dist, y))
+    spec = Spec(measure, 4, None, t.scale, t.height, 1, True, per_left=True)
+    results = {}
+    for held in (5, 1000):
+        monkeypatch.setattr(streamed, "STEP_ROWS", 3)
+        monkeypatch.setattr(streamed, "HELD_ROWS", held)
+        for run in (streamed._passed, streamed._nearest):
+            found = pa.Table.from_batches(run(spec, True, lambda: rows, coded.numbers)(iter(rows.to_batches()))).to_pylist()
+            got = {}
+            for r in found:
+                if r["a"] is not None and r["a"] != r["b"]:
+                    got.setdefault(r["a"], []).append((r["dist"], r["b"]))
+            assert {a: sorted(x)[:3] for a, x in got.items()} == {a: sorted(x)[:3] for a, x in want.items()}
+            results[held, run.__name__] = sum(r["exact"] for r in found)
+    assert results[1000, "_nearest"] < results[1000, "_passed"]
+    assert np.isfinite(list(results.values())).all()
