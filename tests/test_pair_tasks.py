@@ -16,3 +16,19 @@ def test_case_bounds_of_every_pair(spark, monkeypatch, most):
     want = sorted(map(tuple, bounds.avg_bound(all_pairs(o), o, t).collect()))
     assert sorted(map(tuple, got.collect())) == want and {r[2] for r in want} <= {"1a", "1b", "2", "3"}
     assert got.rdd.getNumPartitions() >= bounds.TASKS_PER_CORE * spark.sparkContext.defaultParallelism
+
+
+@pytest.mark.parametrize(("sent", "rows", "cells"), [(8_000_000, 1 << 18, 1 << 22), (8_000_000, 7, 10), (3, 7, 10)])
+def test_cut_average_of_every_pair(spark, monkeypatch, sent, rows, cells):
+    """Nothing is shuffled by pair where the counts can be sent; with ``sent`` 3 the cells follow."""
+    from treepairs.operators import every_pair
+
+    for name, value in (("SENT_COUNTS", sent), ("PAIR_ROWS", rows), ("CUT_CELLS", cells)):
+        monkeypatch.setattr(every_pair, name, value)
+    o, t = SETS["user_activity"].load(spark, "/root/testdata/sf0.001")
+    for level in (0, 1, 2):
+        got = every_pair.avg_reduced(o, t, level)
+        want = bounds.avg_reduced(all_pairs(o), o, t, level).collect()
+        found = got.collect()
+        assert len(found) == len(want) == 105 and {(r.a, r.b): r.bound for r in found} == {(r.a, r.b): r.bound for r in want}
+        assert ("Exchange" in got._jdf.queryExecution().toString()) == (sent == 3)
