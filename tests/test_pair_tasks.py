@@ -32,3 +32,22 @@ def test_cut_average_of_every_pair(spark, monkeypatch, sent, rows, cells):
         found = got.collect()
         assert len(found) == len(want) == 105 and {(r.a, r.b): r.bound for r in found} == {(r.a, r.b): r.bound for r in want}
         assert ("Exchange" in got._jdf.queryExecution().toString()) == (sent == 3)
+
+
+@pytest.mark.parametrize(("name", "rows", "sent", "h"), [("customer_product", 40, 2_000, None), ("customer_days", 64, 4_000_000, 1), ("customer_days", 30, 500, None)])
+def test_one_set_in_passes(spark, monkeypatch, name, rows, sent, h):
+    """The k best pairs of a set of many blocks, with no row shuffled for a pair of blocks."""
+    from treepairs.operators import dense, every_pair, passed
+    from treepairs.operators.emd_join import emd_topk
+    from treepairs.operators.search import ranked
+
+    def dealt(*_):
+        raise AssertionError("rows are dealt into cells")
+
+    monkeypatch.setattr(dense, "_dealt", dealt)
+    monkeypatch.setattr(dense.Classes, "inside", lambda *_: (0, float("inf")))  # as if no two objects were equal
+    monkeypatch.setattr(passed, "PARTS_PER_CORE", 1)
+    monkeypatch.setattr(passed, "SENT_TERMS", sent)
+    o, t = SETS[name].load(spark, "/root/testdata/sf0.001")
+    want = list(map(tuple, ranked(every_pair.nearest(o, t, "emd", 7), 7).collect()))
+    assert len(want) == 7 and list(map(tuple, emd_topk(o, t, 7, h=h, block_rows=rows).collect())) == want
